@@ -21,3 +21,11 @@ def position_within(df: DataFrame, key: Column, spread: list[Column], order: lis
     numbered = keyed.withColumn("_rn", F.row_number().over(Window.partitionBy("_key", "_sub").orderBy(*order)))
     joined = numbered.join(cells, F.col("_key").eqNullSafe(F.col("_k2")) & (F.col("_sub") == F.col("_s2")))
     return joined.withColumn(out, (F.col("_before") + F.col("_rn") - 1).cast("long")).drop("_key", "_sub", "_k2", "_s2", "_before", "_rn")
+
+
+def salted_join(rows: DataFrame, small: DataFrame, key: str, small_key: str, spread: Column, lots: int = 16) -> DataFrame:
+    """An inner equi-join in which a hot key of ``rows`` is dealt over ``lots`` tasks; ``small`` has a row a key, repeated for each."""
+    salt = F.pmod(spread, F.lit(lots)).cast("int")
+    left = rows.withColumn("_lot", salt)
+    right = small.withColumn("_lot2", F.explode(F.sequence(F.lit(0), F.lit(lots - 1))))
+    return left.join(right, (F.col(key) == F.col(small_key)) & (F.col("_lot") == F.col("_lot2"))).drop("_lot", "_lot2")

@@ -21,7 +21,10 @@ def run_sql(spark, folder: str, body: str):
     used = [t for t in TABLES if re.search(rf"\b{t}\b", body)]
     ctes = ", ".join(f"{t} as (select * from parquet.`{folder}/{t}.parquet`)" for t in used)
     body = body.strip()
-    return spark.sql(f"with {ctes}, {body[5:]}" if body.lower().startswith("with ") else f"with {ctes} {body}")
+    for start in ("with recursive ", "with "):
+        if body.startswith(start):
+            return spark.sql(f"{start}{ctes}, {body[len(start):]}")
+    return spark.sql(f"with {ctes} {body}")
 
 
 def both(name: str, body: str, oracle: str | None = None) -> None:
@@ -53,14 +56,14 @@ both("op_agg_percentile", "select o_orderstatus, percentile(o_totalprice, 0.5) m
 both("op_agg_maxby", "select o_custkey, max_by(o_orderkey, struct(o_totalprice, -o_orderkey)) best from orders group by 1", "select o_custkey, o_orderkey best from (select *, row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) r from orders) where r = 1")
 both("op_agg_listagg", "select user_id, array_join(array_sort(collect_set(event_type)), ',') kinds from events group by 1", "select user_id, string_agg(distinct event_type, ',' order by event_type) kinds from events group by 1")
 both("op_agg_stats", "select l_returnflag, round(stddev_samp(l_quantity), 6) sd, round(var_pop(l_quantity), 6) v, round(corr(l_quantity, l_extendedprice), 6) c, round(covar_pop(l_quantity, l_discount), 6) cv from lineitem group by 1")
-both("op_agg_approx", "select l_returnflag, approx_count_distinct(l_partkey) parts from lineitem group by 1")
-both("op_win_rank", "select o_orderkey, rank() over w rk, dense_rank() over w dr, row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) rn from orders window w as (partition by o_custkey order by o_orderstatus)")
+workload("op_agg_approx")(lambda spark, d: run_sql(spark, d, "select l_returnflag, approx_count_distinct(l_partkey) parts, hll_sketch_estimate(hll_sketch_agg(l_partkey)) hll, round(approx_percentile(l_quantity, 0.5), 2) med from lineitem group by 1"))
+both("op_win_rank", "select o_orderkey, cast(rank() over w as bigint) rk, cast(dense_rank() over w as bigint) dr, cast(row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) as bigint) rn from orders window w as (partition by o_custkey order by o_orderstatus)")
 both("op_win_frame_rows", "select event_id, round(avg(value) over (partition by user_id order by ts, event_id rows between 2 preceding and current row), 6) ma from events")
 both("op_win_frame_range", "select event_id, round(sum(value) over (partition by user_id order by s range between 3600 preceding and current row), 6) hour_sum from (select *, unix_seconds(cast(ts as timestamp)) s from events)", "select event_id, round(sum(value) over (partition by user_id order by s range between 3600 preceding and current row), 6) hour_sum from (select *, floor(epoch(ts))::bigint s from events)")
 both("op_win_lag", "select event_id, lag(event_id) over w prev, lead(event_id) over w next from events window w as (partition by user_id order by ts, event_id)")
-both("op_win_ntile", "select c_custkey, ntile(4) over w q, round(percent_rank() over w, 6) pr, round(cume_dist() over w, 6) cd from customer window w as (partition by c_nationkey order by c_acctbal, c_custkey)")
+both("op_win_ntile", "select c_custkey, cast(ntile(4) over w as bigint) q, round(percent_rank() over w, 6) pr, round(cume_dist() over w, 6) cd from customer window w as (partition by c_nationkey order by c_acctbal, c_custkey)")
 both("op_win_first_last", "select distinct o_custkey, first_value(o_orderstatus) over w f, last_value(o_orderstatus) over w l from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey rows between unbounded preceding and unbounded following)")
-both("op_win_sessionise", "with g as (select event_id, user_id, ts, case when ts > lag(ts) over (partition by user_id order by ts, event_id) + interval 30 minutes then 1 else 0 end n from events) select event_id, sum(n) over (partition by user_id order by ts, event_id rows unbounded preceding) session_no from g")
+both("op_win_sessionise", "with g as (select event_id, user_id, ts, case when ts > lag(ts) over (partition by user_id order by ts, event_id) + interval 30 minutes then 1 else 0 end n from events) select event_id, cast(sum(n) over (partition by user_id order by ts, event_id rows unbounded preceding) as bigint) session_no from g")
 both("op_sort_multi", "select o_orderkey, o_orderpriority from orders order by o_orderpriority asc, o_totalprice desc nulls last, o_orderkey")
 both("op_topk", "select o_orderkey, o_totalprice from orders order by o_totalprice desc, o_orderkey limit 10")
 both("op_group_topk", "select n_regionkey, c_custkey from (select n_regionkey, c_custkey, row_number() over (partition by n_regionkey order by c_acctbal desc, c_custkey) r from customer join nation on c_nationkey = n_nationkey) t where r <= 3")
@@ -72,9 +75,9 @@ both("op_exists_subq", "select c_custkey from customer c where exists (select 1
 both("op_scalar_subq", "select c_custkey from customer c where c_acctbal > (select avg(c_acctbal) from customer x where x.c_nationkey = c.c_nationkey)")
 both("op_in_subq", "select n_name from nation where n_nationkey in (select s_nationkey from supplier where s_acctbal > 5000)")
 both("op_cte_recursive", "with recursive up(n) as (select 1 union all select n + 1 from up where n < 20) select n, count(c_custkey) c from up left join customer on c_nationkey = n group by 1")
-both("op_str", "select p_partkey, upper(p_name) u, substr(p_name, 2, 4) s, replace(p_name, ' ', '-') r, length(p_name) n from part")
+both("op_str", "select p_partkey, upper(p_name) u, substr(p_name, 2, 4) s, replace(p_name, ' ', '-') r, cast(length(p_name) as bigint) n from part")
 both("op_str_tokens", "select lang, count(*) words from (select lang, explode(filter(split(text, '\\\\s+'), x -> x <> '')) w from documents) t group by 1", "select lang, count(*) words from (select lang, unnest(list_filter(regexp_split_to_array(text, '\\s+'), lambda x: x <> '')) w from documents) t group by 1")
-both("op_str_similarity", "select a.p_partkey a, b.p_partkey b, levenshtein(a.p_name, b.p_name) dist from part a join part b on a.p_brand = b.p_brand and a.p_size = b.p_size and a.p_partkey < b.p_partkey")
+both("op_str_similarity", "select a.p_partkey a, b.p_partkey b, cast(levenshtein(a.p_name, b.p_name) as bigint) dist from part a join part b on a.p_brand = b.p_brand and a.p_size = b.p_size and a.p_partkey < b.p_partkey")
 both("op_date", "select o_orderkey, year(o_orderdate) y, month(o_orderdate) m, quarter(o_orderdate) q, date_trunc('month', o_orderdate) t, datediff(date '2000-01-01', o_orderdate) dd from orders".replace("date_trunc('month', o_orderdate) t", "cast(trunc(o_orderdate, 'month') as date) t"), "select o_orderkey, year(o_orderdate)::int y, month(o_orderdate)::int m, quarter(o_orderdate)::int q, date_trunc('month', o_orderdate)::date t, datediff('day', o_orderdate::date, date '2000-01-01')::int dd from orders")
 both("op_math", "select l_orderkey, l_linenumber, l_partkey, l_suppkey, round(sqrt(l_quantity), 6) s, floor(l_extendedprice) f, round(power(l_discount, 2), 6) p, greatest(l_tax, l_discount) g from lineitem", "select l_orderkey, l_linenumber, l_partkey, l_suppkey, round(sqrt(l_quantity), 6) s, floor(l_extendedprice)::bigint f, round(power(l_discount, 2), 6) p, greatest(l_tax, l_discount) g from lineitem")
 both("op_array", "select vec_id, size(embedding) n, round(aggregate(embedding, cast(0 as double), (a, x) -> a + x), 5) s, cast(array_max(embedding) as double) m from embeddings", "select vec_id, len(embedding)::int n, round(list_sum(list_transform(embedding, lambda x: x::double)), 5) s, list_max(embedding)::double m from embeddings")
