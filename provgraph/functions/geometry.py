@@ -81,9 +81,14 @@ def overlap_of(a, b) -> float:
     return max(total, 0.0)
 
 
-@F.pandas_udf("double")
-def polygon_overlap_area(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([overlap_of(x, y) for x, y in zip(a, b)], dtype=np.float64)
+def polygon_overlap_area(a: Column | str, b: Column | str) -> Column:
+    """Shared area of two columns of rings, in Arrow batches; null or empty rings share none."""
+
+    @F.pandas_udf("double")
+    def clipped(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([overlap_of(x, y) for x, y in zip(a, b)], dtype=np.float64)
+
+    return clipped(a, b)
 
 
 def reproject_tm(lon: Column, lat: Column, *, lon0: float, k0: float = 0.9996, fe: float = 500_000.0, fn: float = 0.0, a: float = 6378137.0, f: float = 1 / 298.257223563) -> tuple[Column, Column]:
