@@ -5,8 +5,9 @@ signatures that differ in at most 15 of 40 values have, by the pigeonhole princi
 most one difference; every chunk therefore gives one key for each value left out, and equal keys make
 candidates.  (At similarity 0.8 a pair lacks such a chunk with probability 2e-5, at 0.85 with 5e-7.)
 Equal sets meet before that.  In a bucket of equal keys every member is compared with the bucket's
-least member; where that leaves several components, blocks of bounded size compare members of
-different components, first by signature, then on full sets.  Links are confirmed on full sets.
+least and its greatest member; where that leaves several components, blocks of bounded size compare
+members of different components, each pair in the first bucket that it shares, first by signature,
+then on full sets.  Links are confirmed on full sets.
 """
 from __future__ import annotations
 
@@ -25,12 +26,13 @@ from provgraph.operators.components import connected
 
 CHUNKS, VALUES, ERRORS = 8, 5, 1
 SIZE = CHUNKS * VALUES
-#: Pairs whose signatures differ in more values are taken as unlinked: at similarity 0.8 that has probability 1e-7.
-MOST_DIFFERENT = 22
+#: Pairs whose signatures differ in more values are taken as unlinked: at similarity 0.8 that has probability 2e-6.
+MOST_DIFFERENT = 20
 BLOCK_ROWS = 1024
 BROADCAST_ROWS = 500_000
 _SEEDS = mix(np.arange(1, SIZE + 1, dtype=U64)) | U64(1)
 _KEPT = [(c, [c * VALUES + v for v in keep]) for c in range(CHUNKS) for keep in combinations(range(VALUES), VALUES - ERRORS)]
+_CHUNK_OF = np.array([c for c, _ in _KEPT])
 _COEF = mix(np.arange(101, 101 + VALUES, dtype=U64)) | U64(1)
 
 
@@ -98,11 +100,18 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, n: int) -> DataFrame:
     return found.groupBy("fp").agg(F.first("items").alias("items"))
 
 
-def _differ(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Number of different values between each row of a and each of b."""
-    out = np.zeros((len(a), len(b)), np.uint8)
-    for j in range(a.shape[1]):
-        out += a[:, j, None] != b[None, :, j]
+def _first_here(a: np.ndarray, b: np.ndarray, at: int) -> np.ndarray:
+    """Which pairs of signatures (rows of a and b) are near and have key ``at`` as the first that they share."""
+    other = a != b
+    in_chunk = other.reshape(len(other), CHUNKS, VALUES).sum(axis=2, dtype=np.uint8)
+    out = (in_chunk.sum(axis=1) <= MOST_DIFFERENT) & ((in_chunk <= ERRORS).argmax(axis=1) == _CHUNK_OF[at])
+    some = np.flatnonzero(out)
+    earlier = [k for k in range(at) if _CHUNK_OF[k] == _CHUNK_OF[at]]
+    shares = lambda k: ~other[some][:, _KEPT[k][1]].any(axis=1)
+    first = shares(at)
+    for k in earlier:
+        first &= ~shares(k)
+    out[some] = first
     return out
 
 
@@ -122,10 +131,11 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
 
     # Sets of k shingles can only link with sets of at least k * percent / 100: small ones with equal sets alone.
     least = next(k for k in range(1, 200) if 100 * k >= percent * (k + 1))
-    keyed = groups.where(F.col("n") >= least).select("nid", F.explode("keys").alias("key"))
+    keyed = groups.where(F.col("n") >= least).select("nid", F.posexplode("keys").alias("at", "key"))
     leaders = keyed.groupBy("key").agg(F.min("nid").alias("leader"), F.max("nid").alias("other"), F.count(F.lit(1)).alias("held")).where("leader < other")
-    members = cut(keyed.join(leaders.select(F.col("key").alias("k"), "leader", "held"), F.col("key") == F.col("k")).select("key", "nid", "leader", "held"))
-    pairs = members.where("nid <> leader").select("leader", "nid").distinct()
+    members = cut(keyed.join(leaders.select(F.col("key").alias("k"), "leader", "other", "held"), F.col("key") == F.col("k")).select("key", "at", "nid", "leader", "other", "held"))
+    ends = F.explode(F.array(F.struct(F.col("leader").alias("l")), F.struct(F.col("other").alias("l")))).alias("e")
+    pairs = members.select("nid", ends).where("nid <> e.l").select(F.least("nid", "e.l").alias("leader"), F.greatest("nid", "e.l").alias("nid")).distinct()
     about = groups.select("nid", "fp", "n", "sig", "th", "min_id")
     side = lambda x: about.select(F.col("nid").alias(f"_{x}"), *[F.col(c).alias(f"{c}_{x}") for c in ("fp", "n", "sig", "th", "min_id")])
     differ = F.aggregate(F.sequence(F.lit(0), F.lit(SIZE - 1)), F.lit(0), lambda acc, i: acc + (F.substring("sig_a", 2 * i + 1, F.lit(2)) != F.substring("sig_b", 2 * i + 1, F.lit(2))).cast("int"))
@@ -141,40 +151,43 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
     links = cut(full.where(100 * both >= percent * (F.size("items_a") + F.size("items_b") - both)).select(F.col("fp_a").alias("src"), F.col("fp_b").alias("dst")))
     comp = cut(connected(links))
 
-    # Buckets of three and more that still hold several components: compare across them.
+    # Buckets of four and more that still hold several components: compare across them.
     placed = groups.join(comp, F.col("fp") == F.col("node"), "left").select(F.col("nid").alias("_nid"), "fp", "n", "sig", "th", "min_id", F.coalesce("component", "fp").alias("comp"))
-    rest = members.where("held > 2").join(placed.select("_nid", "comp"), F.col("nid") == F.col("_nid"))
+    rest = members.where("held > 3").join(placed.select("_nid", "comp"), F.col("nid") == F.col("_nid"))
     mixed = rest.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("rows")).where("lo <> hi").select(F.col("key").alias("k"), "rows")
-    rest = members.where("held > 2").join(mixed, F.col("key") == F.col("k")).join(placed, F.col("nid") == F.col("_nid"))
+    rest = members.where("held > 3").join(mixed, F.col("key") == F.col("k")).join(placed, F.col("nid") == F.col("_nid"))
     parts = F.ceil(F.col("rows") / BLOCK_ROWS).cast("int")
     own = F.pmod(F.xxhash64("fp"), parts.cast("long")).cast("int")
     spots = F.transform(F.sequence(F.lit(0), parts - 1), lambda j: F.struct(F.least(own, j).alias("i"), F.greatest(own, j).alias("j")))
-    dealt = rest.withColumn("spot", F.explode(spots)).select("key", F.col("spot.i").alias("i"), F.col("spot.j").alias("j"), "fp", "n", "sig", "comp", "th", "min_id", (F.col("leader") == F.col("nid")).alias("leads"))
+    dealt = rest.withColumn("spot", F.explode(spots)).select("key", F.col("spot.i").alias("i"), F.col("spot.j").alias("j"), "at", "fp", "n", "sig", "comp", "th", "min_id", ((F.col("leader") == F.col("nid")) | (F.col("other") == F.col("nid"))).alias("leads"))
 
     def unsettled(pdf: pd.DataFrame) -> pd.DataFrame:
         sig = np.frombuffer(b"".join(pdf["sig"]), np.uint16).reshape(len(pdf), SIZE)
         n, comp, leads = pdf["n"].to_numpy(), pd.factorize(pdf["comp"])[0], pdf["leads"].to_numpy()
-        keep = np.zeros(len(pdf), bool)
+        keep, at = np.zeros(len(pdf), bool), int(pdf["at"].iloc[0])
         for i in range(0, len(pdf), 256):
             s = slice(i, i + 256)
             ok = (comp[s, None] != comp[None, :]) & ~(leads[s, None] | leads[None, :])
             ok &= 100 * np.minimum(n[s, None], n[None, :]) >= percent * np.maximum(n[s, None], n[None, :])
             r, c = np.nonzero(ok)
-            near = (sig[i + r] != sig[c]).sum(axis=1) <= MOST_DIFFERENT if len(r) else np.empty(0, bool)
-            keep[i + r[near]] = True
-            keep[c[near]] = True
-        return pdf.loc[keep, ["key", "i", "j", "fp", "comp", "th", "min_id"]]
-
-    open_rows = cut(dealt.groupBy("key", "i", "j").applyInPandas(unsettled, "key long, i int, j int, fp binary, comp binary, th long, min_id long"))
+            for k in range(0, len(r), 65_536):
+                a, b = i + r[k : k + 65_536], c[k : k + 65_536]
+                here = _first_here(sig[a], sig[b], at)
+                keep[a[here]] = True
+                keep[b[here]] = True
+        return pdf.loc[keep, ["key", "i", "j", "at", "fp", "sig", "comp", "th", "min_id"]]
+
+    open_rows = cut(dealt.groupBy("key", "i", "j").applyInPandas(unsettled, "key long, i int, j int, at int, fp binary, sig binary, comp binary, th long, min_id long"))
     if not open_rows.isEmpty():
         more = _sets_of(base, open_rows.select("fp", "th", "min_id").distinct(), shingle).select(F.col("fp").alias("f"), "items")
-        rows = open_rows.join(more, F.col("fp") == F.col("f")).select("key", "i", "j", "fp", "comp", "items")
+        rows = open_rows.join(more, F.col("fp") == F.col("f")).select("key", "i", "j", "at", "fp", "sig", "comp", "items")
 
         def settle(pdf: pd.DataFrame) -> pd.DataFrame:
             comp, items, fp = pd.factorize(pdf["comp"])[0].copy(), list(pdf["items"]), list(pdf["fp"])
-            out = []
+            sig, at, out = np.frombuffer(b"".join(pdf["sig"]), np.uint16).reshape(len(pdf), SIZE), int(pdf["at"].iloc[0]), []
             for a in range(len(fp)):
-                for b in np.flatnonzero(comp[:a] != comp[a]):
+                others = np.flatnonzero(comp[:a] != comp[a])
+                for b in others[_first_here(np.broadcast_to(sig[a], (len(others), SIZE)), sig[others], at)]:
                     x, y = len(items[a]), len(items[b])
                     if comp[b] == comp[a] or 100 * min(x, y) < percent * max(x, y):
                         continue
