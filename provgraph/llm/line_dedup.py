@@ -14,6 +14,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.ranking import salted_join
 from provgraph.llm import bloom
 from provgraph.llm.words import U64, bytes_of
 
@@ -64,7 +65,7 @@ def mark_repeats(docs: DataFrame, *, least: int = MIN_CODE_POINTS, bits: int = b
 
     found = held.mapInArrow(suspects, "doc_id long, th long, line int, key binary")
     first = found.groupBy("key").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select(F.col("key").alias("k"), "first")
-    return found.join(first, F.col("key") == F.col("k")).where("doc_id > first").groupBy("doc_id", "th").agg(F.collect_set("line").alias("lines"))
+    return salted_join(found, first, "key", "k", F.xxhash64("doc_id")).where("doc_id > first").groupBy("doc_id", "th").agg(F.collect_set("line").alias("lines"))
 
 
 def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", **options) -> DataFrame:
