@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 
 from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of
 
-POSITIVES, UNLABELLED, CHECKED = 4_000, 8_000, 8_000
-FEATURES = 800
+POSITIVES, UNLABELLED, CHECKED = 3_000, 5_000, 5_000
+FEATURES = 700
 PREFIXES = (4, 5, 6, 7, 8, 9, 10, 12)
 THRESHOLD = 0.7
 
@@ -80,12 +80,13 @@ class Model:
 
 def nnpu(x: np.ndarray, positive: np.ndarray, prior: float, *, rounds: int = 300, rate: float = 0.02, decay: float = 1e-4, floor: float = 0.0) -> tuple[np.ndarray, float]:
     """Weights and bias of a linear classifier under the non-negative risk, with the logistic loss and full-batch Adam."""
-    p, u = x[positive], x[~positive]
+    p, u = x[positive], x[~positive]  # float32, like all products below: no copies in double
     w, bias = np.zeros(x.shape[1]), float(np.log(prior / (1 - prior)))
     m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
     sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -30, 30)))
     for t in range(1, rounds + 1):
-        zp, zu = p @ w + bias, u @ w + bias
+        w32 = w.astype(np.float32)
+        zp, zu = (p @ w32).astype(float) + bias, (u @ w32).astype(float) + bias
         sp, su = sig(zp), sig(zu)
         negative = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
         g_plus = prior * (sp - 1) / len(p)
@@ -94,7 +95,7 @@ def nnpu(x: np.ndarray, positive: np.ndarray, prior: float, *, rounds: int = 300
             gp, gu = g_plus + g_pn, g_u
         else:
             gp, gu = -g_pn, -g_u
-        g = np.append(p.T @ gp + u.T @ gu + decay * w, gp.sum() + gu.sum())
+        g = np.append(gp.astype(np.float32) @ p + gu.astype(np.float32) @ u + decay * w, gp.sum() + gu.sum())
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         step = rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
         w, bias = w - step[:-1], bias - step[-1]
@@ -166,20 +167,22 @@ def fit(docs: DataFrame, labels: DataFrame, *, positives: int = POSITIVES, unlab
                 d, f, n = model.counted(b)
                 v = model.values(d, n, b.count)
                 cut = np.searchsorted(d, np.arange(hi - lo + 1)).astype(np.int32)
-                lists = [pa.ListArray.from_arrays(pa.array(cut), pa.array(x)) for x in (f.astype(np.int64), v[0] if len(d) else np.empty(0), v[1] if len(d) else np.empty(0))]
+                lists = [pa.ListArray.from_arrays(pa.array(cut), pa.array(x)) for x in (f.astype(np.int32), v[0].astype(np.float32), v[1].astype(np.float32))]
                 yield pa.RecordBatch.from_arrays([ids.slice(lo, hi - lo), *lists], ["doc_id", "f", "a", "r"])
 
-    rows = sample.mapInArrow(encode, "doc_id long, f array<bigint>, a array<double>, r array<double>").dropDuplicates(["doc_id"]).toPandas()
+    rows = sample.mapInArrow(encode, "doc_id long, f array<int>, a array<float>, r array<float>").dropDuplicates(["doc_id"]).toPandas()
+    k = rows["doc_id"].map(chosen).to_numpy()
     x = np.zeros((len(rows), 2 * len(hashes)), np.float32)
     for i, (f, a, r) in enumerate(zip(rows["f"], rows["a"], rows["r"])):
         f = np.asarray(f, np.int64)
         x[i, f], x[i, len(hashes) + f] = a, r
-    k = rows["doc_id"].map(chosen).to_numpy()
     use = k != -1
+    del rows
     w, model.bias = nnpu(x[use], k[use] == 1, prior)
     model.weight = w.reshape(2, -1)
     labelled = k != 0 if (k == -1).any() else np.ones(len(k), bool)
-    model.scale = _calibrate(x[labelled] @ w + model.bias, (k[labelled] == 1).astype(int))
+    margin = (x @ w.astype(np.float32)).astype(float) + model.bias
+    model.scale = _calibrate(margin[labelled], (k[labelled] == 1).astype(int))
     return model
 
 
