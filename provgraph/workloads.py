@@ -5,7 +5,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from provgraph.operators import fusion, provenance
-from provgraph.plans import city, formats, learning, relational  # noqa: F401  they register their queries
+from provgraph.plans import city, formats, learning, questioning, relational  # noqa: F401  they register their queries
 from provgraph.plans.registry import QUERIES, SQL
 from provgraph.sources.overlay import Layers
 from provgraph.streaming import events  # noqa: F401
