@@ -120,6 +120,8 @@ def rules() -> list[Rule]:
     out = []
     for label, keyword, ident, name in FAMILIES:
         for priority, confidence, form in FORMS:
+            if "licen" in name:  # the name says it already
+                form = form.replace("(?:N) licen[cs]e", "(?:N)")
             body = form.replace("(?:I)", f"(?:{ident})").replace("(?:N)", f"(?:{name})")
             out.append(Rule(len(out), label, "licen" if priority == 4 else keyword, EDGE[0] + body + EDGE[1], priority, confidence))
     return out
