@@ -20,7 +20,7 @@ TREES = 4
 SAMPLE = 16_384
 LEAF_SAMPLE = 128
 #: Share of the rows whose leaves a query opens, counted in all trees together.
-SHARE = 2.4
+SHARE = 1.3
 ROW_BLOCK = 8192
 QUERY_BLOCK = 512
 
