@@ -72,9 +72,11 @@ class FMIndex:
         self.start = np.concatenate([[0], np.cumsum(count)])[: self.size]
         self.base = self.matrix.rank(np.arange(self.size), np.zeros(self.size, I64))
         self.lcp = self._lcp(kept, n)
-        whose = np.repeat(owner, sizes)[self.sa]
-        self.least_owner = self._table(whose, np.minimum)
-        self.least_lcp = self._table(self.lcp, np.minimum)
+        del kept, rank
+        # Owners as ranks and common lengths as bytes keep the tables small.
+        self.owners, place = np.unique(owner, return_inverse=True)
+        self.least_owner = self._table(np.repeat(place, sizes)[self.sa].astype(np.int32), np.minimum)
+        self.least_lcp = self._table(self.lcp.astype(np.int8 if 2 * depth < 127 else np.int32), np.minimum)
 
     def _lcp(self, kept: list[np.ndarray], n: int) -> np.ndarray:
         """lcp[i]: common words of rows i - 1 and i, up to the sorted depth; the ends are -1."""
@@ -124,7 +126,7 @@ class FMIndex:
         for x in np.unique(k):
             m = k == x
             out[m] = np.minimum(self.least_owner[x][lo[m]], self.least_owner[x][hi[m] - (1 << int(x))])
-        return out
+        return self.owners[out]
 
     def matching_statistics(self, texts: list[np.ndarray]) -> list[tuple[np.ndarray, np.ndarray]]:
         """Per streamed text and start: the longest match's length, up to ``depth``, and the least owner of such a match (-1: no match)."""

@@ -28,7 +28,8 @@ from provgraph.llm.words import BLANK, U64, blocks, bytes_of, window_hashes
 WINDOW = 50
 SEED_WORDS = 8
 SHARD_BYTES = 1 << 20
-HOT_PASSAGES = 2000
+HOT_PASSAGES = 10_000
+OUT_ROWS = 500
 
 
 def _minima(h: np.ndarray, width: int) -> np.ndarray:
@@ -58,8 +59,12 @@ def passages(b, window: int, seed: int):
     return doc[new], h[least[new]], starts[new], np.diff(np.concatenate([new, [len(starts)]]))
 
 
-def _suspects(docs: DataFrame, window: int, seed: int, bits: int) -> DataFrame:
-    """(doc_id, th, at, windows, seed, content): passages whose minimizer may be in two documents."""
+def _suspects(docs: DataFrame, window: int, seed: int, bits: int) -> tuple[DataFrame, DataFrame]:
+    """Passages whose minimizer may be in two documents: where they are, and what they say.
+
+    The first table is (doc_id, th, at, seed, ch, size), the second (doc_id, seed, ch, content).  The
+    words go into one shuffle and are never written, which costs a second reading of the texts.
+    """
 
     def keys(batch):
         for _, _, b in blocks(bytes_of(batch.column("text")), BLANK):
@@ -70,7 +75,7 @@ def _suspects(docs: DataFrame, window: int, seed: int, bits: int) -> DataFrame:
 
     twice = docs.sparkSession.sparkContext.broadcast(bloom.twice_filter(docs.select("text"), keys, bits))
 
-    def emit(batches):
+    def emit(batches, places: bool):
         for batch in batches:
             ids, ths = batch.column("doc_id"), batch.column("th")
             for lo, _, b in blocks(bytes_of(batch.column("text")), BLANK):
@@ -78,13 +83,16 @@ def _suspects(docs: DataFrame, window: int, seed: int, bits: int) -> DataFrame:
                 which = np.flatnonzero(bloom.member(twice.value, m, bits)) if len(m) else []
                 doc, m, at, n = doc[which], m[which], at[which], n[which]
                 content = [b" ".join(b.raw[b.s[i] : b.e[i + k + window - 2]].split()) for i, k in zip(at, n)]
-                row = pa.array(doc + lo)
-                yield pa.RecordBatch.from_arrays(
-                    [ids.take(row), ths.take(row), pa.array((at - b.first[doc]).astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(m.view(np.int64)), pa.array(content, pa.binary())],
-                    ["doc_id", "th", "at", "windows", "seed", "content"],
-                )
+                ch = pa.array([hashlib.md5(c).digest() for c in content], pa.binary())
+                row, seeds = pa.array(doc + lo), pa.array(m.view(np.int64))
+                if places:
+                    at, size = (at - b.first[doc]).astype(np.int32), np.array([len(c) for c in content], np.int32)
+                    yield pa.RecordBatch.from_arrays([ids.take(row), ths.take(row), pa.array(at), seeds, ch, pa.array(size)], ["doc_id", "th", "at", "seed", "ch", "size"])
+                else:
+                    yield pa.RecordBatch.from_arrays([ids.take(row), seeds, ch, pa.array(content, pa.binary())], ["doc_id", "seed", "ch", "content"])
 
-    return docs.mapInArrow(emit, "doc_id long, th long, at int, windows int, seed long, content binary")
+    where = docs.mapInArrow(lambda x: emit(x, True), "doc_id long, th long, at int, seed long, ch binary, size int")
+    return where, docs.mapInArrow(lambda x: emit(x, False), "doc_id long, seed long, ch binary, content binary")
 
 
 def search_shard(pdf: pd.DataFrame, window: int) -> pd.DataFrame:
@@ -103,14 +111,16 @@ def search_shard(pdf: pd.DataFrame, window: int) -> pd.DataFrame:
 def repeats(docs: DataFrame, *, window: int = WINDOW, seed: int = SEED_WORDS, bits: int = bloom.BITS, shard_bytes: int = SHARD_BYTES, hot: int = HOT_PASSAGES) -> DataFrame:
     """(doc_id, th, starts): windows of the document that a smaller doc_id has too.  ``docs``: doc_id, text, th."""
     seed = min(seed, window)
-    occ = _suspects(docs.where("doc_id is not null"), window, seed, bits).withColumn("ch", F.unhex(F.md5("content")))
+    occ, said = _suspects(docs.where("doc_id is not null"), window, seed, bits)
     occ = cut_table(occ)
-    distinct = occ.groupBy("seed", "ch").agg(F.min("doc_id").alias("owner"), F.max("doc_id").alias("last"), F.first("content").alias("content"))
-    by_seed = distinct.groupBy("seed").agg(F.min("owner").alias("lo"), F.max("last").alias("hi"), F.count(F.lit(1)).alias("n"), F.sum(F.octet_length("content")).alias("size")).where("lo < hi")
-    by_seed = cut(by_seed.select(F.col("seed").alias("s"), "n", "size"))
-    total = by_seed.agg(F.sum("size"), F.sum(F.when(F.col("n") > hot, F.col("size") * 30))).first()
-    shards = max(1, -(-((total[0] or 0) + (total[1] or 0)) // shard_bytes))
-    shared = distinct.join(by_seed, F.col("seed") == F.col("s")).withColumn("is_hot", F.col("n") > hot).select("seed", "ch", "owner", "content", "is_hot")
+    # Different passages per minimizer, counted without their words.
+    per_seed = occ.groupBy("seed", "ch").agg(F.first("size").alias("size")).groupBy("seed").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("size"))
+    hot_seeds = cut(per_seed.where(F.col("n") > hot).select(F.col("seed").alias("s"), "size"))
+    total = occ.agg(F.sum("size")).first()[0] or 0
+    n_hot, hot_size = hot_seeds.agg(F.count(F.lit(1)), F.sum("size")).first()
+    shards = max(1, -(-(total + 30 * (hot_size or 0)) // shard_bytes))
+    met = lambda rows: rows.groupBy("seed", "ch").agg(F.min("doc_id").alias("owner"), F.first("content").alias("content"))
+    is_hot = F.col("seed") == F.col("s")
 
     def windows_of(rows):
         for pdf in rows:
@@ -129,20 +139,26 @@ def repeats(docs: DataFrame, *, window: int = WINDOW, seed: int = SEED_WORDS, bi
         dealt = rows.withColumn("shard", F.pmod(key, F.lit(int(shards))))
         return dealt.groupBy("shard").applyInPandas(lambda pdf: find(pdf), "ch binary, firsts array<bigint>")
 
-    plain = by_shard(shared.where("not is_hot").select("ch", "owner", "content", "seed"), F.xxhash64("seed"))
-    if by_seed.where(F.col("n") > hot).isEmpty():
-        firsts = plain
+    if not n_hot:
+        firsts = by_shard(met(said).select("ch", "owner", "content", "seed"), F.xxhash64("seed"))
     else:
-        cuts = shared.where("is_hot").mapInPandas(windows_of, "ch binary, owner long, i int, content binary, wh binary")
-        met = cuts.groupBy(F.col("wh").alias("ch")).agg(F.min("owner").alias("owner"), F.first("content").alias("content"))
-        found = by_shard(met, F.xxhash64("ch")).select(F.col("ch").alias("w"), F.col("firsts")[0].alias("first"))
-        back = cuts.join(found, F.col("wh") == F.col("w")).groupBy("ch").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "first"))), lambda x: x["first"]).alias("firsts"))
+        plain = met(said.join(_small(hot_seeds), is_hot, "left_anti"))
+        plain = by_shard(plain.select("ch", "owner", "content", "seed"), F.xxhash64("seed"))
+        cuts = met(said.join(_small(hot_seeds), is_hot, "left_semi")).mapInPandas(windows_of, "ch binary, owner long, i int, content binary, wh binary")
+        once = cuts.groupBy(F.col("wh").alias("ch")).agg(F.min("owner").alias("owner"), F.first("content").alias("content"))
+        found = by_shard(once, F.xxhash64("ch")).select(F.col("ch").alias("w"), F.col("firsts")[0].alias("first"))
+        back = cuts.select("ch", "i", "wh").join(found, F.col("wh") == F.col("w")).groupBy("ch").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "first"))), lambda x: x["first"]).alias("firsts"))
         firsts = plain.unionByName(back)
     firsts = firsts.select(F.col("ch").alias("c"), "firsts")
     late = occ.select("doc_id", "th", "at", "ch").join(firsts, F.col("ch") == F.col("c")).select("doc_id", "th", F.filter(F.transform("firsts", lambda f, i: F.when(f < F.col("doc_id"), F.col("at") + i)), lambda x: x.isNotNull()).alias("starts"))
     return late.where(F.size("starts") > 0).groupBy("doc_id", "th").agg(F.flatten(F.collect_list("starts")).alias("starts"))
 
 
+def _small(df: DataFrame, rows: int = 100_000) -> DataFrame:
+    """``df`` marked for broadcast if it is counted to be small (2 MB); beyond that Spark chooses the join."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
 def cut_table(df: DataFrame) -> DataFrame:
     """``df`` as Parquet in the shared checkpoint folder: compressed, and read by column."""
     import uuid
@@ -154,8 +170,8 @@ def cut_table(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def dedup_substrings(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", window: int = WINDOW, **options) -> DataFrame:
-    """``docs`` with n_words, n_removed and kept_text (kept words joined by one space).
+def dedup_substrings(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", window: int = WINDOW, columns: list[str] | None = None, **options) -> DataFrame:
+    """``docs`` (or only its ``columns``) with n_words, n_removed and kept_text (kept words joined by one space).
 
     A null text has no words.  Documents with a null id, and windows shared only by rows of one id,
     lose nothing.  Rows with one id and one text lose the same words.
@@ -163,31 +179,34 @@ def dedup_substrings(docs: DataFrame, *, id_col: str = "doc_id", text: str = "te
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
     lost = repeats(base, window=window, **options).select(F.col("doc_id").alias("_id"), F.col("th").alias("_th"), F.col("starts").alias("_starts"))
     joined = docs.join(lost, (F.col(id_col) == F.col("_id")) & (F.xxhash64(text) == F.col("_th")), "left").drop("_id", "_th")
-    names = [c for c in joined.columns if c != "_starts"]
-    schema = docs.withColumns({"n_words": F.lit(0).cast("long"), "n_removed": F.lit(0).cast("long"), "kept_text": F.lit("")}).schema
+    names = docs.columns if columns is None else columns
+    joined = joined.select(F.col(text).alias("_text"), "_starts", *names)
+    schema = docs.select(*names).withColumns({"n_words": F.lit(0).cast("long"), "n_removed": F.lit(0).cast("long"), "kept_text": F.lit("")}).schema
     for f in schema:
         f.nullable = True
 
+    def kept_words(t, starts):
+        words = (t or b"").split()
+        n = len(words)
+        if starts.is_valid:
+            mark = np.zeros(n + 1, np.int32)
+            at = starts.values.to_numpy(zero_copy_only=False)
+            np.add.at(mark, at, 1)
+            np.add.at(mark, at + window, -1)
+            words = [words[i] for i in np.flatnonzero(np.cumsum(mark[:-1]) == 0)]
+        return n, n - len(words), b" ".join(words)
+
     def run(batches):
         for batch in batches:
-            total, gone, kept = [], [], []
-            for t, starts in zip(bytes_of(batch.column(text)), batch.column("_starts")):
-                words = (t or b"").split()
-                n = len(words)
-                if starts.is_valid:
-                    mark = np.zeros(n + 1, np.int32)
-                    at = starts.values.to_numpy(zero_copy_only=False)
-                    np.add.at(mark, at, 1)
-                    np.add.at(mark, at + window, -1)
-                    words = [words[i] for i in np.flatnonzero(np.cumsum(mark[:-1]) == 0)]
-                total.append(n)
-                gone.append(n - len(words))
-                kept.append(b" ".join(words).decode())
-            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in names], pa.array(total, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.string())], [*names, "n_words", "n_removed", "kept_text"])
+            for lo in range(0, len(batch), OUT_ROWS):  # small batches go back, whatever came
+                part = batch.slice(lo, OUT_ROWS)
+                got = [kept_words(t, s) for t, s in zip(bytes_of(part.column("_text")), part.column("_starts"))]
+                kept = pa.array([k for *_, k in got], pa.binary()).cast(pa.string())
+                yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array([n for n, *_ in got], pa.int64()), pa.array([g for _, g, _ in got], pa.int64()), kept], [*names, "n_words", "n_removed", "kept_text"])
 
     return joined.mapInArrow(run, schema)
 
 
 def digest(docs: DataFrame, **options) -> DataFrame:
-    out = dedup_substrings(docs.select("doc_id", "text"), **options)
+    out = dedup_substrings(docs.select("doc_id", "text"), columns=["doc_id"], **options)
     return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
