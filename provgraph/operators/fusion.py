@@ -137,8 +137,11 @@ def poi_inside(entities: DataFrame, poi: DataFrame) -> DataFrame:
 def shingles(docs: DataFrame, id_col: str, text: str, n: int) -> DataFrame:
     """(id, item, size): distinct word n-grams as hashes, with the set's size."""
     words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"\s+"), lambda w: w != "")
-    grams = F.when(F.size(words) >= n, F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(words) - n), lambda i: F.array_join(F.slice(words, i + 1, n), " "))))
-    return docs.select(F.col(id_col).alias("id"), grams.alias("g")).where("g is not null").select("id", F.size("g").cast("long").alias("size"), F.explode("g").alias("item"))
+    split = docs.select(F.col(id_col).alias("id"), words.alias("w")).where(F.size("w") >= n)
+    # Shifted copies side by side: a lambda that looked back at the words would split the text for every n-gram.
+    shifted = F.arrays_zip(*[F.slice("w", F.lit(k + 1), F.size("w") - (n - 1)).alias(f"a{k}") for k in range(n)])
+    grams = F.array_distinct(F.transform(shifted, lambda z: F.concat_ws(" ", *[z[f"a{k}"] for k in range(n)])))
+    return split.select("id", grams.alias("g")).select("id", F.size("g").cast("long").alias("size"), F.explode("g").alias("item"))
 
 
 def set_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
@@ -146,3 +149,23 @@ def set_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
     pairs = a.select(F.col("id").alias("id_a"), F.col("size").alias("area_a"), "item").join(b.select(F.col("id").alias("id_b"), F.col("size").alias("area_b"), "item"), "item")
     rows = pairs.groupBy("id_a", "id_b", "area_a", "area_b").agg(F.count(F.lit(1)).alias("shared"))
     return rows.withColumns({"overlap": overlap(), "jaccard": jaccard()})
+
+
+def near_sets(docs: DataFrame, id_col: str, text: str, *, n: int = 5, percent: int = 80, bands: int = 16, rows: int = 2) -> DataFrame:
+    """Pairs of different shingle sets with jaccard of at least ``percent``: (id_a, id_b, shared, jaccard), ids of the sets' first documents.
+
+    Equal sets meet first, so copies make no pairs.  Candidates share a band of minimum hashes (at 0.8
+    a pair is missed with probability 1e-7); they are verified on their full sets.
+    """
+    items = shingles(docs, id_col, text, n)
+    least = [F.min(F.xxhash64("item", F.lit(k))).alias(f"m{k}") for k in range(bands * rows)]
+    mark = items.groupBy("id", "size").agg(F.sum(F.xxhash64("item").cast("decimal(38,0)")).alias("mark"), F.bit_xor(F.xxhash64("item", F.lit(-1))).alias("mix"), *least)
+    reps = cut(mark.groupBy("size", "mark", "mix").agg(F.min("id").alias("id"), *[F.first(f"m{k}").alias(f"m{k}") for k in range(bands * rows)]))
+    keys = F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * rows + r}") for r in range(rows)]) for b in range(bands)])
+    keyed = reps.select("id", "size", F.explode(keys).alias("key"))
+    a, b = keyed.select(F.col("id").alias("id_a"), F.col("size").alias("area_a"), "key"), keyed.select(F.col("id").alias("id_b"), F.col("size").alias("area_b"), "key")
+    fits = (F.col("id_a") < F.col("id_b")) & (100 * F.least("area_a", "area_b") >= percent * F.greatest("area_a", "area_b"))
+    cands = cut(a.join(b, "key").where(fits).select("id_a", "id_b", "area_a", "area_b").distinct())
+    left = cands.join(items.select(F.col("id").alias("id_a"), "item"), "id_a")
+    both = left.join(items.select(F.col("id").alias("id_b"), "item"), ["id_b", "item"]).groupBy("id_a", "id_b", "area_a", "area_b").agg(F.count(F.lit(1)).alias("shared"))
+    return both.where(100 * F.col("shared") >= percent * (F.col("area_a") + F.col("area_b") - F.col("shared"))).select("id_a", "id_b", "shared", jaccard().alias("jaccard"))

@@ -462,3 +462,29 @@ for _key, _city in (("floor_area", 4), ("volume", 4), ("year_built", 4), ("vinta
 @workload("thematic_native_keys", sql('select "用途", count(*)::bigint n, count("構造")::bigint "構造" from entity where city = 2 group by 1'))
 def thematic_native_keys(spark, d):
     return Layers(spark, d).entity.where("city = 2").groupBy("`用途`").agg(F.count(F.lit(1)).alias("n"), F.count("`構造`").alias("構造"))
+
+
+@workload("doc_near_copies", f"""with g as ({_GRAMS.format(id='doc_id', t='documents')}), sig as (select id, size, md5(string_agg(item, '|' order by item)) h from g group by 1, 2), rep as (select min(id) id from sig group by h),
+ r as (select g.* from g join rep using (id)), p as (select a.id id_a, b.id id_b, a.size sa, b.size sb, count(*) k from r a join r b on a.item = b.item and a.id < b.id group by all)
+ select id_a, id_b, k::bigint shared, round(k / (sa + sb - k), 9) jaccard from p where 100 * k >= 80 * (sa + sb - k)""")
+def doc_near_copies(spark, d):
+    """The set twin on near copies, by bands of minimum hashes."""
+    return fusion.near_sets(Layers(spark, d).table("documents"), "doc_id", "text").withColumn("jaccard", F.round("jaccard", 9))
+
+
+@workload("index_layers", sql("""select layer, sum(((x1 - 1) // 800 - x0 // 800 + 1) * ((y1 - 1) // 800 - y0 // 800 + 1))::bigint cells from (select 'auth' layer, x0, y0, x1, y1 from entity union all select 'crowd', x0 + 8000, y0 + 8000, x1 + 8000, y1 + 8000 from crowd) group by 1"""))
+def index_layers(spark, d):
+    """Each source has an index layer of its own; both can be read alone or together."""
+    w, box = Layers(spark, d), ["x0", "y0", "x1", "y1"]
+    both = spatial.index(w.entity.select(*box), layer="auth").union(spatial.index(w.crowd.select(*box), layer="crowd"))
+    return both.groupBy("layer").agg(F.count(F.lit(1)).alias("cells"))
+
+
+@workload("availability_tier1", sql("select city::bigint city, sum(a)::bigint auth, sum(c)::bigint crowd from (select city, 1 a, 0 c from entity union all select city, 0, 1 from crowd) group by 1"))
+def availability_tier1(spark, d):
+    return graph.PropertyGraph.from_layers(Layers(spark, d)).tier(1).availability().select(*long("city", "auth", "crowd"))
+
+
+@workload("value_authoritative_only", sql("select entity_id, city::bigint city, v as value, source from fact where source = 'auth'", _FACTS))
+def value_authoritative_only(spark, d):
+    return provenance.resolve_value(_facts(spark, d), "authoritative_only").select("entity_id", *long("city"), "value", "source")

@@ -251,3 +251,25 @@ def embedding_projection(spark, d):
     z = cut(train.embed(ego, run)).withColumn("features", array_to_vector("z"))
     out = PCA(k=2, inputCol="features", outputCol="p").fit(z).transform(z).select("entity_id", vector_to_array("p").alias("p"))
     return out.select("entity_id", F.col("p")[0].alias("pc1"), F.col("p")[1].alias("pc2"))
+
+
+@workload("doc_quality_impute")
+def doc_quality_impute(spark, d):
+    """Quality of unlabelled documents from text features: macro-F1 over five folds by id, and how many stay unlabelled."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import VectorAssembler
+
+    w = Layers(spark, d)
+    t = F.col("text")
+    n = F.greatest(F.length(t), F.lit(1))
+    share = lambda p: F.regexp_count(t, F.lit(p)) / n
+    feats = {"long": F.log1p(n), "upper": share("[A-Z]"), "digits": share("[0-9]"), "marks": share(r"[^\w\s]"), "lines": share("\n"), "word": n / (F.size(F.split(t, r"\s+")) + 1)}
+    rows = w.table("documents").select("doc_id", *[v.cast("double").alias(k) for k, v in feats.items()]).join(w.table("labels").select("doc_id", F.col("quality").cast("double").alias("y")), "doc_id", "left")
+    rows = cut(VectorAssembler(inputCols=list(feats), outputCol="features").transform(rows.withColumn("fold", (F.col("doc_id") % 5).cast("int"))).select("doc_id", "fold", "y", "features"))
+    known, parts = rows.where("y is not null"), None
+    for k in range(5):
+        model = LogisticRegression(labelCol="y", predictionCol="yhat").fit(known.where(F.col("fold") != k))
+        p = model.transform(known.where(F.col("fold") == k)).select("doc_id", "y", "yhat")
+        parts = p if parts is None else parts.union(p)
+    score = metrics.macro_f1(parts.withColumn("model", F.lit("logistic")), ["model"])
+    return score.crossJoin(rows.agg(F.count("y").alias("labelled"), F.count(F.lit(1)).alias("documents")))

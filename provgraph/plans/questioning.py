@@ -111,3 +111,22 @@ def qa_error_codes(spark, d):
 def qa_traps(spark, d):
     """Systems that ignore provenance or coverage, on the questions that are traps for them."""
     return suite.rates(_outcomes(spark, d, ("provenance_blind", "coverage_blind")), ["system", "category"])
+
+
+@workload("question_review_sample")
+def question_review_sample(spark, d):
+    """About a fifth of each category, drawn by hash, for reading by people."""
+    q = _frame(spark, _questions(spark, d)[1], ["question_id", "category", "city", "text", "gold"], "question_id string, category string, city int, text string, gold string")
+    return q.where(F.pmod(F.xxhash64("question_id"), F.lit(1000)) < 202)
+
+
+@workload("qa_published_rates", """with c(part, correct, wrong, err, refused, tp, fn) as (values ('dev-0', 54, 29, 0, 6, 9, 1), ('dev-1', 46, 32, 0, 4, 9, 1), ('dev-4', 36, 25, 5, 1, 9, 1), ('test-1', 12, 16, 0, 0, 3, 3))
+ select part, (correct + wrong + err + refused)::bigint feasible_n, round(100.0 * correct / (correct + wrong + err + refused), 1)::double ex, round(100.0 * wrong / (correct + wrong + err + refused), 1)::double exec_wrong, round(100.0 * err / (correct + wrong + err + refused), 1)::double error, round(100.0 * refused / (correct + wrong + err + refused), 1)::double over_refusal, round(200.0 * tp / (2 * tp + refused + fn), 1)::double f1 from c""")
+def qa_published_rates(spark, d):
+    """The scorer on outcome counts whose rates are known."""
+    counts = {"dev-0": (54, 29, 0, 6, 9, 1), "dev-1": (46, 32, 0, 4, 9, 1), "dev-4": (36, 25, 5, 1, 9, 1), "test-1": (12, 16, 0, 0, 3, 3)}
+    names = ("correct", "executed_wrong", "error", "over_refusal", "declined", "answered_infeasible")
+    rows = spark.createDataFrame([(p, o, n) for p, ns in counts.items() for o, n in zip(names, ns) if n], "part string, outcome string, n int")
+    rows = rows.withColumn("_i", F.explode(F.sequence(F.lit(1), F.col("n")))).withColumn("feasible", ~F.col("outcome").isin("declined", "answered_infeasible"))
+    f1 = suite.abstention(rows, ["part"]).select(F.col("part").alias("_p"), "f1")
+    return suite.rates(rows, ["part"]).join(f1, F.col("part") == F.col("_p")).drop("_p")
