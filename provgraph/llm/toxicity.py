@@ -19,6 +19,7 @@ from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of
 
 POSITIVES, UNLABELLED, CHECKED = 3_000, 5_000, 5_000
 FEATURES = 700
+EVIDENCE, LEAST = 3.0, 16  # standard errors that a feature stands out by; the best ones stay in any case
 PREFIXES = (4, 5, 6, 7, 8, 9, 10, 12)
 THRESHOLD = 0.7
 
@@ -103,25 +104,32 @@ def nnpu(x: np.ndarray, positive: np.ndarray, prior: float, *, rounds: int = 300
 
 
 def _calibrate(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """Log-odds a * z + b by Newton's method, with one example's weight of smoothing."""
+    """Log-odds a * z + b by Newton's method, with one example's weight of smoothing; steps halve until the loss falls."""
     if len(set(y.tolist())) < 2:
         return 1.0, 0.0
     t = np.where(y == 1, (y.sum() + 1) / (y.sum() + 2), 1 / (len(y) - y.sum() + 2))
+    loss = lambda a, b: (np.logaddexp(0, a * z + b) - t * (a * z + b)).sum() + 5e-4 * (a - 1) ** 2
     a, b = 1.0, 0.0
     for _ in range(50):
         q = 1 / (1 + np.exp(-np.clip(a * z + b, -30, 30)))
-        d, h = q - t, q * (1 - q) + 1e-9
+        d, h = q - t, np.maximum(q * (1 - q), 1e-6)
         g = np.array([(d * z).sum() + 1e-3 * (a - 1), d.sum()])
         hess = np.array([[(h * z * z).sum() + 1e-3, (h * z).sum()], [(h * z).sum(), h.sum()]])
-        s = np.linalg.solve(hess, g)
+        s, now = np.linalg.solve(hess, g), loss(a, b)
+        while loss(a - s[0], b - s[1]) > now and abs(s).max() > 1e-9:
+            s = s / 2
         a, b = a - s[0], b - s[1]
         if abs(s).max() < 1e-9:
             break
     return float(a), float(b)
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, positives: int = POSITIVES, unlabelled: int = UNLABELLED, checked: int = CHECKED, features: int = FEATURES) -> Model:
-    """Learns from rows outside the held-out part; samples are the first by hash of the id, whole texts."""
+def fit(docs: DataFrame, labels: DataFrame, *, positives: int = POSITIVES, unlabelled: int = UNLABELLED, checked: int = CHECKED, features: int = FEATURES, evidence: float = EVIDENCE) -> Model:
+    """Learns from rows outside the held-out part; samples are the first by hash of the id, whole texts.
+
+    Features are the ``features`` strongest, those below ``evidence`` standard errors left out: with few
+    toxic texts most of the others are chance, and weights on them hide the real cues.
+    """
     marks = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     known = docs.select("doc_id", "text").where(~held_out(F.col("doc_id")) & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
     ids = known.select("doc_id").join(marks.withColumnRenamed("doc_id", "_id"), F.col("doc_id") == F.col("_id"), "left").select("doc_id", "toxic")
@@ -156,8 +164,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, positives: int = POSITIVES, unlab
     share_p, share_u = F.col("p") / n_p, (F.col("u") + 0.5) / n_u
     strength = (share_p - share_u) / F.sqrt((share_p + 1 / n_p) / n_p + share_u / n_u)
     counts = sample.mapInArrow(tally, "h long, p long, u long").groupBy("h").agg(F.sum("p").alias("p"), F.sum("u").alias("u")).where(F.col("p") >= F.lit(max(2, n_p // 400)))
-    best = counts.orderBy(strength.desc(), "h").limit(features).collect()
-    hashes = np.sort(np.array([r["h"] for r in best], np.int64).view(U64))
+    best = counts.select("h", strength.alias("strength")).orderBy(F.desc("strength"), "h").limit(features).collect()
+    hashes = np.sort(np.array([r["h"] for i, r in enumerate(best) if i < LEAST or r["strength"] >= evidence], np.int64).view(U64))
     model = Model(hashes, np.zeros((2, len(hashes))), 0.0, (1.0, 0.0))
 
     def encode(batches):
