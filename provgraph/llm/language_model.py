@@ -6,33 +6,35 @@ the word, from its state; inside a tail class a word has its share of the class'
 Every word of every size of vocabulary has a probability, words never seen in training share one.
 The state runs on from window to window, so that a document's log-likelihood covers it completely.
 
-The network learns by truncated back-propagation on a bounded sample of training documents (a
-parameter); counts, vocabulary and classes come from all of them.  Counts reach a scoring task as the
-few that its own documents need: documents are dealt into batches of bounded size, each batch asks for
-its distinct words, and the answers meet the batch.
+Counts, vocabulary, classes and the network come from all training documents, whole.  Counts reach a
+task as the few that its own documents need: documents are dealt into batches of bounded size, each
+batch asks for its distinct words, and the answers meet the batch, which is written as two bytes a
+token.  The network learns from that table in rounds: each task runs truncated back-propagation over
+its part of the round's documents from the common weights, and the mean of the tasks' weights by
+tokens opens the next round.
 """
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.functions.durable import cut
 from provgraph.llm.words import BLANK_LOWER, U64, Block, blocks, bytes_of
 
 STATE = 16
 HEAD_CLASSES, HEAD_SIZE = 16, 32
 TAIL_CLASSES = 24
 WINDOW = 24
-SAMPLE_DOCS, SAMPLE_WORDS = 1500, 400_000
+PASSES, ROUNDS = 3, 4
 LANES = 64
+CHUNK = 1 << 20  # tokens learnt from or scored at once; a longer document is a chunk of its own
 BATCH_BYTES = 24 << 20
 END = np.int64(0)
 END_HASH = U64(0x1234567)
 KIND = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
 CLASSES = HEAD_CLASSES + TAIL_CLASSES + 1  # the last: words never seen in training
+RARE = np.uint16(1 << 15)  # marks a token that stands for the unseen ones while the network learns
 
 
 def held_out(doc_id: Column) -> Column:
@@ -65,6 +67,13 @@ class Network:
         """The input row of a word: its own in a head class, its class's otherwise."""
         return np.where(cls < HEAD_CLASSES, cls * HEAD_SIZE + item, HEAD_CLASSES * HEAD_SIZE - HEAD_CLASSES + cls)
 
+    @staticmethod
+    def place(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(class, item) of input rows: the inverse of ``symbol``."""
+        x = x.astype(np.int64)
+        head = x < HEAD_CLASSES * HEAD_SIZE
+        return np.where(head, x // HEAD_SIZE, x - HEAD_CLASSES * HEAD_SIZE + HEAD_CLASSES), np.where(head, x % HEAD_SIZE, 0)
+
     def step(self, x: np.ndarray, h: np.ndarray):
         d, p = self.d, self.p
         g = p["E"][x] + p["b"]
@@ -121,53 +130,67 @@ class Network:
         full = np.zeros_like(before)
         full[m] = dh_out
         full = full.reshape(len(x), -1, d)
-        dh = np.zeros_like(h)
+        dh, whole = np.zeros_like(h), live.all()
+        gates, reset = np.zeros((*x.shape, 3 * d), h.dtype), np.zeros((*x.shape, d), h.dtype)
         for t in reversed(range(len(x))):
             z, r, n = kept[t]
-            h0, on = past[t], live[t][:, None]
+            h0, g = past[t], gates[t]
             dn = dh * z * (1 - n * n)
             rh = dn @ p["V"].T
-            dz = dh * (n - h0) * z * (1 - z)
-            dr = rh * h0 * r * (1 - r)
-            dzr = np.where(on, np.hstack([dz, dr]), 0)
-            dn = np.where(on, dn, 0)
-            grad["V"] += (r * h0).T @ dn
-            grad["U"] += h0.T @ dzr
-            g = np.hstack([dzr, dn])
-            np.add.at(grad["E"], x[t], g)
-            grad["b"] += g.sum(axis=0)
-            dh = np.where(on, dh * (1 - z) + rh * r + dzr @ p["U"].T, dh) + full[t]
+            g[:, :d] = dh * (n - h0) * z * (1 - z)
+            g[:, d : 2 * d] = rh * h0 * r * (1 - r)
+            g[:, 2 * d :] = dn
+            reset[t] = r * h0
+            if not whole:
+                g *= live[t][:, None]
+            down = dh * (1 - z) + rh * r + g[:, : 2 * d] @ p["U"].T
+            dh = (down if whole else np.where(live[t][:, None], down, dh)) + full[t]
+        gates, rows = gates.reshape(-1, 3 * d), x.ravel()
+        grad["V"] += reset.reshape(-1, d).T @ gates[:, 2 * d :]
+        grad["U"] += before.T @ gates[:, : 2 * d]
+        grad["b"] += gates.sum(axis=0)
+        o = np.argsort(rows, kind="stable")
+        at = np.flatnonzero(np.diff(rows[o], prepend=-1))
+        grad["E"][rows[o][at]] += np.add.reduceat(gates[o], at, axis=0)
         return -logp.sum(), int(m.sum()), grad, h
 
-    def train(self, docs: list[tuple[np.ndarray, np.ndarray]], counts: tuple[np.ndarray, np.ndarray], passes: int = 3, rate: float = 0.01) -> None:
-        """docs: (class, item) arrays, each ending with the end; lanes read documents one after another, the state is cleared between them."""
-        p = self.p
-        p["c"] += np.log(counts[0] + 1).astype(np.float32)
-        p["w"] += np.log(counts[1] + 1).astype(np.float32)
-        m = {k: np.zeros_like(v) for k, v in p.items()}
-        v = {k: np.zeros_like(x) for k, x in p.items()}
-        stream = [(c, i, np.arange(len(c)) == 0) for c, i in docs]
-        if not stream:
-            return
-        cls, item, new = (np.concatenate(x) for x in zip(*stream))
-        size = -(-len(cls) // LANES)
-        pad = size * LANES - len(cls)
-        live = np.concatenate([np.ones(len(cls), bool), np.zeros(pad, bool)]).reshape(LANES, size).T
-        cls, item, new = (np.concatenate([a, np.zeros(pad, a.dtype)]).reshape(LANES, size).T for a in (cls, item, new))
-        x, t = self.symbol(cls, item), 0
-        for k in range(passes):
-            h = np.zeros((LANES, self.d), np.float32)
-            lr = rate * (0.5**k)
-            for at in range(0, size, WINDOW):
-                s = slice(at, at + WINDOW)
-                h = np.where(new[at][:, None], 0, h).astype(np.float32)
-                loss, n, grad, h = self.gradients(x[s], cls[s], item[s], live[s], h)
-                t += 1
-                for key in p:
-                    g = np.clip(grad[key] / max(n, 1) * 20, -1, 1)
-                    m[key] += 0.1 * (g - m[key])
-                    v[key] += 0.01 * (g * g - v[key])
-                    p[key] -= lr * (m[key] / (1 - 0.9**t)) / (np.sqrt(v[key] / (1 - 0.99**t)) + 1e-6)
+    def prepare(self, counts: tuple[np.ndarray, np.ndarray]) -> None:
+        """Output biases from the corpus counts of classes and head words."""
+        self.p["c"] += np.log(counts[0] + 1).astype(np.float32)
+        self.p["w"] += np.log(counts[1] + 1).astype(np.float32)
+        self.t, self.m, self.v = 0, *({k: np.zeros_like(x) for k, x in self.p.items()} for _ in "mv")
+
+    def learn(self, docs: list[np.ndarray], rate: float) -> int:
+        """One pass over documents (input rows, each ending with the end); lanes read them one after another, the state is cleared between them."""
+        p, m, v = self.p, self.m, self.v
+        x = np.concatenate(docs)
+        total, size = len(x), -(-len(x) // LANES)
+        new = np.zeros(total, bool)
+        new[np.cumsum([0, *(len(d) for d in docs[:-1])])] = True
+        fill = lambda a: np.concatenate([a, np.zeros(size * LANES - total, a.dtype)]).reshape(LANES, size).T
+        live, x, new = fill(np.ones(total, bool)), fill(x), fill(new)
+        h = np.zeros((LANES, self.d), np.float32)
+        for at in range(0, size, WINDOW):
+            s = slice(at, at + WINDOW)
+            h = np.where(new[at][:, None], 0, h).astype(np.float32)
+            cls, item = self.place(x[s])
+            _, n, grad, h = self.gradients(x[s].astype(np.int64), cls, item, live[s], h)
+            self.t += 1
+            for key in p:
+                g = np.clip(grad[key] / max(n, 1) * 20, -1, 1)
+                m[key] += 0.1 * (g - m[key])
+                v[key] += 0.01 * (g * g - v[key])
+                p[key] -= rate * (m[key] / (1 - 0.9**self.t)) / (np.sqrt(v[key] / (1 - 0.99**self.t)) + 1e-6)
+        return total
+
+    def flat(self) -> np.ndarray:
+        return np.concatenate([x.ravel() for x in self.p.values()])
+
+    def unflat(self, weights: np.ndarray) -> None:
+        at = 0
+        for k, x in self.p.items():
+            self.p[k] = weights[at : at + x.size].reshape(x.shape).astype(np.float32)
+            at += x.size
 
     def log_likelihood(self, docs: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
         """Natural log-likelihood of each document's classes and head words; documents run in step, longest first."""
@@ -274,23 +297,22 @@ def build_vocabulary(counts: DataFrame) -> Vocabulary:
     return Vocabulary(head, np.array(edges, np.int64), np.array(mass), whole["v"], whole["t"] or 0)
 
 
-def _ask(docs: DataFrame) -> DataFrame:
-    """(batch, h): the distinct tokens of each batch, per task."""
+def _ask(dealt: DataFrame) -> DataFrame:
+    """(batch, h): the distinct tokens of each batch; a batch is in one task, and all columns stay, so that its texts are shuffled once."""
 
     def run(batches):
+        pool: dict[int, np.ndarray] = {}
         for batch in batches:
             lots = batch.column("batch").to_numpy()
-            pool: dict[int, list] = {}
             for lo, hi, b in blocks(bytes_of(batch.column("text")), BLANK_LOWER):
                 h, first = _tokens(b)
                 lot = np.repeat(lots[lo:hi], np.diff(first))
-                for x in np.unique(lot):
-                    pool.setdefault(int(x), []).append(np.unique(h[lot == x]))
-            for x, hs in pool.items():
-                u = np.unique(np.concatenate(hs))
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(u), x, np.int32)), pa.array(u.view(np.int64))], ["batch", "h"])
+                for x in np.unique(lots[lo:hi]):
+                    pool[int(x)] = np.union1d(pool.get(int(x), np.empty(0, U64)), h[lot == x])
+        for x, u in pool.items():
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(u), x, np.int32)), pa.array(u.view(np.int64))], ["batch", "h"])
 
-    return docs.select("batch", "text").mapInArrow(run, "batch int, h long").distinct()
+    return dealt.mapInArrow(run, "batch int, h long")
 
 
 def _lookup(sorted_h: np.ndarray, n: np.ndarray, h: np.ndarray) -> np.ndarray:
@@ -300,49 +322,24 @@ def _lookup(sorted_h: np.ndarray, n: np.ndarray, h: np.ndarray) -> np.ndarray:
     return np.where(sorted_h[k] == h, n[k], 0)
 
 
-def fit(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, *, sample_docs: int = SAMPLE_DOCS, sample_words: int = SAMPLE_WORDS, state: int = STATE) -> Network:
-    """Learns from the first ``sample_docs`` training documents by hash, up to ``sample_words`` tokens of them in all."""
-    net = Network(state)
-    chosen = docs.where(F.col("text").isNotNull()).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
-    texts = []
-    total = 0
-    for r in chosen.select("text").toLocalIterator():
-        if total < sample_words:
-            b = Block([r["text"].encode()], BLANK_LOWER)
-            texts.append(_tokens(b)[0][: sample_words - total])
-            total += len(texts[-1])
-    known = np.unique(np.concatenate(texts)) if texts else np.empty(0, U64)
-    frame = docs.sparkSession.createDataFrame(pd.DataFrame({"_h": known.view(np.int64)}), "_h long")
-    found = counts.join(F.broadcast(frame), F.col("h") == F.col("_h")).select("h", "n").toPandas() if len(known) else pd.DataFrame({"h": [], "n": []}, dtype=np.int64)
-    h = found["h"].to_numpy(np.int64).view(U64)
-    o = np.argsort(h)
-    h, n = h[o], found["n"].to_numpy(np.int64)[o]
-    data = []
-    for t in texts:
-        c = _lookup(h, n, t)
-        seen_elsewhere = c > 1  # a word that training saw once stands for those that it never sees
-        cls, item, _ = vocabulary.place(t, np.where(seen_elsewhere, c, np.where(mix_bit(t), 0, c)))
-        data.append((cls, item))
-    mass = np.concatenate([vocabulary.head_counts.sum(axis=1), vocabulary.mass, [1.0]])
-    net.train(data, (mass, vocabulary.head_counts))
-    return net
-
-
 def mix_bit(h: np.ndarray) -> np.ndarray:
     """One in eight, by hash."""
     return (h >> U64(20)) & U64(7) == 0
 
 
-def score(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, net: Network, *, batch_bytes: int = BATCH_BYTES) -> DataFrame:
-    """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row."""
+ENCODED = "doc_id long, held_out boolean, learnt boolean, n_tokens long, n_known long, base_score double, fixed double, tokens binary"
+
+
+def encode(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, *, batch_bytes: int = BATCH_BYTES) -> DataFrame:
+    """Every row with its tokens as input rows of the network, two bytes each, and what counts alone tell: n_known, base_score, and the fixed shares inside tail classes."""
     size = docs.agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 8)).first()[0] or 1
     lots = max(1, -(-size // batch_bytes))
     dealt = docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text", F.pmod(F.xxhash64("doc_id", "text"), F.lit(lots)).cast("int").alias("batch")).repartition(int(lots), "batch")
     asked = _ask(dealt).join(counts, "h").select("batch", "h", "n")
-    sent = docs.sparkSession.sparkContext.broadcast((vocabulary, net))
+    sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        vocabulary, net = sent.value
+        vocabulary = sent.value
         h, n = right.column("h").to_numpy().view(U64), right.column("n").to_numpy()
         o = np.argsort(h)
         h, n = h[o], n[o]
@@ -353,16 +350,85 @@ def score(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, net: Netwo
                 t, first = _tokens(b)
                 c = _lookup(h, n, t)
                 cls, item, share = vocabulary.place(t, c)
+                # A word that training saw once stands for those that it never sees.
+                rare = vocabulary.place(t, np.where((c == 1) & mix_bit(t), 0, c))[0] != cls
+                x = Network.symbol(cls, item).astype(np.uint16) | np.where(rare, RARE, np.uint16(0))
                 doc = np.repeat(np.arange(hi - lo), np.diff(first))
                 add = lambda v: np.bincount(doc, v, hi - lo)
-                ll = net.log_likelihood([(cls[i:j], item[i:j]) for i, j in zip(first[:-1], first[1:])]) / np.log(10)
+                raw = x.astype("<u2").tobytes()
                 out.append(pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id").slice(lo, hi - lo), batch.column("held_out").slice(lo, hi - lo), pa.array(np.diff(first).astype(np.int64)), pa.array(add(c > 0).astype(np.int64)), pa.array(np.full(hi - lo, vocabulary.tokens, np.int64)), pa.array(add(vocabulary.base(c))), pa.array(ll + add(share))],
-                    ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
+                    [batch.column("doc_id").slice(lo, hi - lo), batch.column("held_out").slice(lo, hi - lo), pa.array([not z and y is not None for z, y in zip(batch.column("held_out").slice(lo, hi - lo).to_pylist(), texts[lo:hi])], pa.bool_()),
+                     pa.array(np.diff(first).astype(np.int64)), pa.array(add(c > 0).astype(np.int64)), pa.array(add(vocabulary.base(c))), pa.array(add(share)), pa.array([raw[2 * i : 2 * j] for i, j in zip(first[:-1], first[1:])], pa.binary())],
+                    ["doc_id", "held_out", "learnt", "n_tokens", "n_known", "base_score", "fixed", "tokens"],
                 ))
-        return pa.Table.from_batches(out) if out else KIND.empty_table()
+        if out:
+            return pa.Table.from_batches(out)
+        kinds = [pa.int64(), pa.bool_(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary()]
+        return pa.table([pa.array([], k) for k in kinds], ["doc_id", "held_out", "learnt", "n_tokens", "n_known", "base_score", "fixed", "tokens"])
+
+    return dealt.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(run, ENCODED)
+
+
+def fit(encoded: DataFrame, vocabulary: Vocabulary, *, state: int = STATE, passes: int = PASSES, rounds: int = ROUNDS, rate: float = 0.01) -> Network:
+    """Learns from every token of the rows that are ``learnt``, ``passes`` times, each time in ``rounds`` parts by hash."""
+    net = Network(state)
+    net.prepare((np.concatenate([vocabulary.head_counts.sum(axis=1), vocabulary.mass, [1.0]]), vocabulary.head_counts))
+    unseen = Network.symbol(np.array(CLASSES - 1), np.array(0)).astype(np.uint16)
+    part = F.pmod(F.xxhash64("doc_id", "n_tokens", "base_score"), F.lit(rounds))
+    fan = max(1, int(encoded.rdd.getNumPartitions() ** 0.5))
+    for k in range(passes * rounds):
+        sent, speed = encoded.sparkSession.sparkContext.broadcast(net), rate * 0.5 ** (k // rounds)
+
+        def run(batches):
+            from pyspark import TaskContext
+
+            own, total, chunk, held = sent.value, 0, [], 0
+            for batch in batches:
+                for raw in batch.column(0):
+                    x = np.frombuffer(raw.as_buffer(), "<u2")
+                    chunk.append(np.where(x & RARE, unseen, x))
+                    held += len(x)
+                    if held >= CHUNK:
+                        total += own.learn(chunk, speed)
+                        chunk, held = [], 0
+            if chunk:
+                total += own.learn(chunk, speed)
+            if total:
+                yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId() % fan], pa.int32()), pa.array([total], pa.int64()), pa.array([(own.flat().astype(np.float64) * total).tobytes()], pa.binary())], ["g", "n", "w"])
+
+        def add(rows: pa.Table) -> pa.Table:
+            w = sum(np.frombuffer(x.as_buffer()) for x in rows.column("w"))
+            return pa.table({"g": pa.array([rows.column("g")[0].as_py()], pa.int32()), "n": pa.array([sum(rows.column("n").to_pylist())], pa.int64()), "w": pa.array([w.tobytes()], pa.binary())})
+
+        kind = "g int, n long, w binary"
+        # Weights of a task are a few hundred kilobytes; the driver gets as many as the root of the tasks.
+        got = encoded.where(F.col("learnt") & (part == k % rounds)).select("tokens").mapInArrow(run, kind).groupBy("g").applyInArrow(add, kind).orderBy("g").collect()
+        sent.unpersist()
+        if got:
+            net.unflat(sum(np.frombuffer(bytes(r["w"])) for r in got) / sum(r["n"] for r in got))
+    return net
+
+
+def score(encoded: DataFrame, vocabulary: Vocabulary, net: Network) -> DataFrame:
+    """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row."""
+    sent = encoded.sparkSession.sparkContext.broadcast(net)
+    known = vocabulary.tokens
+
+    def run(batches):
+        for batch in batches:
+            size = np.cumsum(batch.column("n_tokens").to_numpy())
+            lo = 0
+            while lo < len(size):
+                hi = max(lo + 1, int(np.searchsorted(size, (size[lo - 1] if lo else 0) + CHUNK, "right")))
+                rows = batch.slice(lo, hi - lo)
+                docs = [Network.place(np.frombuffer(x.as_buffer(), "<u2") & ~RARE) for x in rows.column("tokens")]
+                ll = sent.value.log_likelihood(docs) / np.log(10) + rows.column("fixed").to_numpy()
+                names = ["doc_id", "held_out", "n_tokens", "n_known", "base_score"]
+                doc, out, n, seen, base = (rows.column(c) for c in names)
+                yield pa.RecordBatch.from_arrays([doc, out, n, seen, pa.array(np.full(hi - lo, known, np.int64)), base, pa.array(ll)], KIND.names)
+                lo = hi
 
-    return dealt.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return encoded.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def digest(docs: DataFrame, **options) -> DataFrame:
@@ -373,5 +439,5 @@ def digest(docs: DataFrame, **options) -> DataFrame:
     training = base.where(~held_out(F.col("doc_id")))
     counts = cut_table(count_tokens(training))
     vocabulary = build_vocabulary(counts)
-    net = fit(training, counts, vocabulary, **options)
-    return score(base, counts, vocabulary, net)
+    encoded = cut_table(encode(base, counts, vocabulary))
+    return score(encoded, vocabulary, fit(encoded, vocabulary, **options))

@@ -304,6 +304,16 @@ def test_scores(spark, rows, docs):
         assert abs(r["base_score"] - sum(math.log10((c[t] + 1) / (n + v + 1)) for t in ts)) < 1e-6 and math.isfinite(r["score"]) and r["score"] <= 0
 
 
+def test_network_learns_from_every_document(spark):
+    """What only documents late in hash order hold is learnt, however long an early one is."""
+    ids = spark.range(1900).where(~language_model.held_out(F.col("id"))).orderBy(F.xxhash64("id"), "id").toPandas()["id"].tolist()
+    rows = [(i, " ".join(["a", "b"] * 4)) for i in ids[1:1500]] + [(i, " ".join(["c", "d", "e"] * 30)) for i in ids[1500:]] + [(ids[0], "a b " * 210_000)]
+    tests = [i for i in range(5000, 5200) if zlib.crc32(str(i).encode()) % 7 == 2]
+    rows += [(i, " ".join(["c", "d", "e"] * 30)) for i in tests]
+    got = [r for r in language_model.digest(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect() if r["doc_id"] in tests]
+    assert len(got) == len(tests) > 10 and min(r["score"] / r["n_tokens"] for r in got) > -0.2
+
+
 def test_probabilities_add_up():
     """Over a whole vocabulary and the unseen word, the model's probabilities sum to one."""
     counts = {i + 1: n for i, n in enumerate([900, 500, 300] + [40] * 600 + [3] * 200 + [1] * 300)}
