@@ -1,12 +1,14 @@
 """License scans by ordered signature rules, with DataFrame functions only.
 
-Texts are brought to lower-case words with one space between; a keyword gate picks the texts and then
-the families whose rules are tried at all.  Every match is an interval with its rule's priority; one
+Texts are brought to lower-case words with one space between; a gate picks the texts and then keywords
+the rules that are tried at all.  Keywords are worked out from the patterns: every match holds one.  Every match is an interval with its rule's priority; one
 that lies inside an interval of higher priority, or a longer one of equal priority, is suppressed.
 """
 from __future__ import annotations
 
 from dataclasses import dataclass
+from re._constants import BRANCH, LITERAL, MAX_REPEAT, SUBPATTERN
+from re._parser import parse
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -14,83 +16,83 @@ from pyspark.sql import functions as F
 #: The phrases that always count, and their labels.
 BASE = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
 
-#: Families as (label, keyword that every match holds, identifier pattern, name pattern).
+#: Families as (label, identifier pattern, name pattern).
 FAMILIES = [
-    ("mit", "mit", r"mit(?: 0)?", r"mit(?: expat| x11| style)?"),
-    ("expat", "expat", r"expat", r"expat"),
-    ("x11", "x11", r"x11", r"x11"),
-    ("isc", "isc", r"isc", r"isc|internet systems consortium"),
-    ("apache-1.1", "apache", r"apache 1 1", r"apache(?: software)? licen[cs]e(?: version| v)? 1 1"),
-    ("apache-2.0", "apache", r"apache 2 0", r"apache(?: licen[cs]e)?(?: version| v)? ?2(?: 0)?|asl ?2(?: 0)?"),
-    ("apache", "apache", r"apache", r"apache(?: software)?"),
-    ("gpl-1.0", "1", r"gpl 1 0(?: only| or later)?", r"(?:gnu )?(?:gpl|general public licen[cs]e) ?(?:version |v)?1(?: 0)?"),
-    ("gpl-2.0", "2", r"gpl 2 0(?: only| or later)?", r"(?:gnu )?(?:gpl|general public licen[cs]e) ?(?:version |v)?2(?: 0)?"),
-    ("gpl-3.0", "3", r"gpl 3 0(?: only| or later)?", r"(?:gnu )?(?:gpl|general public licen[cs]e) ?(?:version |v)?3(?: 0)?"),
-    ("gpl", "gpl", r"gpl", r"(?:gnu )?gpl"),
-    ("gpl", "general public", r"gpl", r"(?:gnu )?general public"),
-    ("lgpl-2.0", "2", r"lgpl 2 0(?: only| or later)?", r"(?:gnu )?(?:lgpl|(?:library|lesser) general public licen[cs]e) ?(?:version |v)?2(?: 0)?"),
-    ("lgpl-2.1", "2 1", r"lgpl 2 1(?: only| or later)?", r"(?:gnu )?(?:lgpl|lesser general public licen[cs]e) ?(?:version |v)?2 1"),
-    ("lgpl-3.0", "3", r"lgpl 3 0(?: only| or later)?", r"(?:gnu )?(?:lgpl|lesser general public licen[cs]e) ?(?:version |v)?3(?: 0)?"),
-    ("lgpl", "lgpl", r"lgpl", r"(?:gnu )?lgpl"),
-    ("lgpl", "lesser general", r"lgpl", r"(?:gnu )?lesser general public"),
-    ("agpl-3.0", "affero", r"agpl 3 0(?: only| or later)?", r"(?:gnu )?affero general public licen[cs]e ?(?:version |v)?3(?: 0)?"),
-    ("agpl", "agpl", r"agpl(?: 3 0)?", r"(?:gnu )?agpl(?: ?v?3)?"),
-    ("fdl", "documentation", r"gfdl 1 [123]", r"(?:gnu )?free documentation"),
-    ("bsd-0-clause", "0", r"0bsd", r"(?:zero|0) clause bsd|bsd (?:zero|0) clause"),
-    ("bsd-1-clause", "clause", r"bsd 1 clause", r"(?:one|1) clause bsd"),
-    ("bsd-2-clause", "clause", r"bsd 2 clause(?: patent)?", r"(?:two|2) clause bsd|bsd (?:two|2) clause|simplified bsd|freebsd"),
-    ("bsd-3-clause", "clause", r"bsd 3 clause(?: clear| lbnl)?", r"(?:three|3) clause bsd|bsd (?:three|3) clause|(?:new|modified|revised) bsd"),
-    ("bsd-4-clause", "clause", r"bsd 4 clause(?: uc)?", r"(?:four|4) clause bsd|bsd (?:four|4) clause|original bsd"),
-    ("bsd", "bsd", r"bsd", r"bsd(?: style)?|berkeley software distribution"),
-    ("mpl-1.1", "mozilla", r"mpl 1 1", r"mozilla public licen[cs]e ?(?:version |v)?1 [01]"),
-    ("mpl-2.0", "mozilla", r"mpl 2 0", r"mozilla public licen[cs]e ?(?:version |v)?2(?: 0)?"),
-    ("mpl", "mpl", r"mpl 2 0", r"mpl(?: ?v?2(?: 0)?)?"),
-    ("mpl", "mozilla", r"mpl", r"mozilla public"),
-    ("epl-1.0", "eclipse", r"epl 1 0", r"eclipse public licen[cs]e ?(?:version |v)?1(?: 0)?"),
-    ("epl-2.0", "eclipse", r"epl 2 0", r"eclipse public licen[cs]e ?(?:version |v)?2(?: 0)?"),
-    ("epl", "eclipse", r"epl", r"eclipse public"),
-    ("edl", "eclipse", r"edl 1 0", r"eclipse distribution"),
-    ("cddl", "cddl", r"cddl 1 [01]", r"cddl"),
-    ("cddl", "common development", r"cddl", r"common development and distribution"),
-    ("cpl", "common public", r"cpl 1 0", r"common public"),
-    ("eupl", "european", r"eupl 1 [012]", r"european union public"),
-    ("eupl", "eupl", r"eupl 1 [012]", r"eupl"),
-    ("artistic", "artistic", r"artistic [12] 0", r"(?:clarified )?artistic(?: licen[cs]e ?[12](?: 0)?)?"),
-    ("perl", "perl", r"artistic 1 0 perl", r"(?:same terms as )perl(?: itself)?"),
-    ("python", "python", r"python 2 0(?: 1)?", r"python software foundation"),
-    ("psf", "psf", r"psf 2 0", r"psf"),
-    ("php", "php", r"php 3 0(?:1)?", r"php"),
-    ("ruby", "ruby", r"ruby", r"ruby"),
-    ("zlib", "zlib", r"zlib(?: acknowledgement)?", r"zlib(?: libpng)?"),
-    ("libpng", "libpng", r"libpng(?: 2 0)?", r"libpng"),
-    ("boost", "boost", r"bsl 1 0", r"boost software"),
-    ("unlicense", "unlicense", r"unlicense", r"(?:the )?unlicense"),
-    ("wtfpl", "wtfpl", r"wtfpl", r"wtfpl"),
-    ("public-domain", "public domain", r"public domain", r"public domain"),
-    ("cc0", "cc0", r"cc0 1 0", r"cc0(?: 1 0)?"),
-    ("cc-by", "attribution", r"cc by [1234] 0", r"creative commons attribution(?: [1234] 0)?"),
-    ("cc-by-sa", "alike", r"cc by sa [1234] 0", r"creative commons attribution share ?alike(?: [1234] 0)?"),
-    ("cc-by-nc", "commercial", r"cc by nc [1234] 0", r"creative commons attribution non ?commercial(?: [1234] 0)?"),
-    ("cc-by-nd", "derivatives", r"cc by nd [1234] 0", r"creative commons attribution no ?deriv(?:ative)?s(?: [1234] 0)?"),
-    ("cc-by", "cc by", r"cc by", r"cc by"),
-    ("odbl", "open database", r"odbl 1 0", r"open database"),
-    ("ofl", "open font", r"ofl 1 [01]", r"(?:sil )?open font"),
-    ("openssl", "openssl", r"openssl", r"openssl"),
-    ("postgresql", "postgresql", r"postgresql", r"postgresql"),
-    ("vim", "vim", r"vim", r"vim"),
-    ("curl", "curl", r"curl", r"curl"),
-    ("w3c", "w3c", r"w3c", r"w3c(?: software)?(?: notice and)?"),
-    ("ms-pl", "microsoft", r"ms pl", r"microsoft public"),
-    ("ms-rl", "microsoft", r"ms rl", r"microsoft reciprocal"),
-    ("upl", "universal permissive", r"upl 1 0", r"universal permissive"),
-    ("afl", "academic free", r"afl [123] [012]", r"academic free"),
-    ("osl", "open software", r"osl [123] 0", r"open software"),
-    ("ncsa", "ncsa", r"ncsa", r"(?:university of illinois )?ncsa(?: open source)?"),
-    ("blueoak", "blue oak", r"blueoak 1 0 0", r"blue oak model"),
-    ("elastic", "elastic", r"elastic 2 0", r"elastic"),
-    ("sspl", "server side", r"sspl 1 0", r"server side public"),
-    ("busl", "business source", r"busl 1 1", r"business source"),
-    ("beerware", "beerware", r"beerware", r"beer ?ware"),
+    ("mit", r"mit(?: 0)?", r"mit(?: expat| x11| style)?"),
+    ("expat", r"expat", r"expat"),
+    ("x11", r"x11", r"x11"),
+    ("isc", r"isc", r"isc|internet systems consortium"),
+    ("apache-1.1", r"apache 1 1", r"apache(?: software)? licen[cs]e(?: version| v)? 1 1"),
+    ("apache-2.0", r"apache 2 0", r"apache(?: licen[cs]e)?(?: version| v)? ?2(?: 0)?|asl ?2(?: 0)?"),
+    ("apache", r"apache", r"apache(?: software)?"),
+    ("gpl-1.0", r"gpl 1 0(?: only| or later)?", r"(?:gnu )?(?:gpl|general public licen[cs]e) ?(?:version |v)?1(?: 0)?"),
+    ("gpl-2.0", r"gpl 2 0(?: only| or later)?", r"(?:gnu )?(?:gpl|general public licen[cs]e) ?(?:version |v)?2(?: 0)?"),
+    ("gpl-3.0", r"gpl 3 0(?: only| or later)?", r"(?:gnu )?(?:gpl|general public licen[cs]e) ?(?:version |v)?3(?: 0)?"),
+    ("gpl", r"gpl", r"(?:gnu )?gpl"),
+    ("gpl", r"gpl", r"(?:gnu )?general public"),
+    ("lgpl-2.0", r"lgpl 2 0(?: only| or later)?", r"(?:gnu )?(?:lgpl|(?:library|lesser) general public licen[cs]e) ?(?:version |v)?2(?: 0)?"),
+    ("lgpl-2.1", r"lgpl 2 1(?: only| or later)?", r"(?:gnu )?(?:lgpl|lesser general public licen[cs]e) ?(?:version |v)?2 1"),
+    ("lgpl-3.0", r"lgpl 3 0(?: only| or later)?", r"(?:gnu )?(?:lgpl|lesser general public licen[cs]e) ?(?:version |v)?3(?: 0)?"),
+    ("lgpl", r"lgpl", r"(?:gnu )?lgpl"),
+    ("lgpl", r"lgpl", r"(?:gnu )?lesser general public"),
+    ("agpl-3.0", r"agpl 3 0(?: only| or later)?", r"(?:gnu )?affero general public licen[cs]e ?(?:version |v)?3(?: 0)?"),
+    ("agpl", r"agpl(?: 3 0)?", r"(?:gnu )?agpl(?: ?v?3)?"),
+    ("fdl", r"gfdl 1 [123]", r"(?:gnu )?free documentation"),
+    ("bsd-0-clause", r"0bsd", r"(?:zero|0) clause bsd|bsd (?:zero|0) clause"),
+    ("bsd-1-clause", r"bsd 1 clause", r"(?:one|1) clause bsd"),
+    ("bsd-2-clause", r"bsd 2 clause(?: patent)?", r"(?:two|2) clause bsd|bsd (?:two|2) clause|simplified bsd|freebsd"),
+    ("bsd-3-clause", r"bsd 3 clause(?: clear| lbnl)?", r"(?:three|3) clause bsd|bsd (?:three|3) clause|(?:new|modified|revised) bsd"),
+    ("bsd-4-clause", r"bsd 4 clause(?: uc)?", r"(?:four|4) clause bsd|bsd (?:four|4) clause|original bsd"),
+    ("bsd", r"bsd", r"bsd(?: style)?|berkeley software distribution"),
+    ("mpl-1.1", r"mpl 1 1", r"mozilla public licen[cs]e ?(?:version |v)?1 [01]"),
+    ("mpl-2.0", r"mpl 2 0", r"mozilla public licen[cs]e ?(?:version |v)?2(?: 0)?"),
+    ("mpl", r"mpl 2 0", r"mpl(?: ?v?2(?: 0)?)?"),
+    ("mpl", r"mpl", r"mozilla public"),
+    ("epl-1.0", r"epl 1 0", r"eclipse public licen[cs]e ?(?:version |v)?1(?: 0)?"),
+    ("epl-2.0", r"epl 2 0", r"eclipse public licen[cs]e ?(?:version |v)?2(?: 0)?"),
+    ("epl", r"epl", r"eclipse public"),
+    ("edl", r"edl 1 0", r"eclipse distribution"),
+    ("cddl", r"cddl 1 [01]", r"cddl"),
+    ("cddl", r"cddl", r"common development and distribution"),
+    ("cpl", r"cpl 1 0", r"common public"),
+    ("eupl", r"eupl 1 [012]", r"european union public"),
+    ("eupl", r"eupl 1 [012]", r"eupl"),
+    ("artistic", r"artistic [12] 0", r"(?:clarified )?artistic(?: licen[cs]e ?[12](?: 0)?)?"),
+    ("perl", r"artistic 1 0 perl", r"(?:same terms as )perl(?: itself)?"),
+    ("python", r"python 2 0(?: 1)?", r"python software foundation"),
+    ("psf", r"psf 2 0", r"psf"),
+    ("php", r"php 3 0(?:1)?", r"php"),
+    ("ruby", r"ruby", r"ruby"),
+    ("zlib", r"zlib(?: acknowledgement)?", r"zlib(?: libpng)?"),
+    ("libpng", r"libpng(?: 2 0)?", r"libpng"),
+    ("boost", r"bsl 1 0", r"boost software"),
+    ("unlicense", r"unlicense", r"(?:the )?unlicense"),
+    ("wtfpl", r"wtfpl", r"wtfpl"),
+    ("public-domain", r"public domain", r"public domain"),
+    ("cc0", r"cc0 1 0", r"cc0(?: 1 0)?"),
+    ("cc-by", r"cc by [1234] 0", r"creative commons attribution(?: [1234] 0)?"),
+    ("cc-by-sa", r"cc by sa [1234] 0", r"creative commons attribution share ?alike(?: [1234] 0)?"),
+    ("cc-by-nc", r"cc by nc [1234] 0", r"creative commons attribution non ?commercial(?: [1234] 0)?"),
+    ("cc-by-nd", r"cc by nd [1234] 0", r"creative commons attribution no ?deriv(?:ative)?s(?: [1234] 0)?"),
+    ("cc-by", r"cc by", r"cc by"),
+    ("odbl", r"odbl 1 0", r"open database"),
+    ("ofl", r"ofl 1 [01]", r"(?:sil )?open font"),
+    ("openssl", r"openssl", r"openssl"),
+    ("postgresql", r"postgresql", r"postgresql"),
+    ("vim", r"vim", r"vim"),
+    ("curl", r"curl", r"curl"),
+    ("w3c", r"w3c", r"w3c(?: software)?(?: notice and)?"),
+    ("ms-pl", r"ms pl", r"microsoft public"),
+    ("ms-rl", r"ms rl", r"microsoft reciprocal"),
+    ("upl", r"upl 1 0", r"universal permissive"),
+    ("afl", r"afl [123] [012]", r"academic free"),
+    ("osl", r"osl [123] 0", r"open software"),
+    ("ncsa", r"ncsa", r"(?:university of illinois )?ncsa(?: open source)?"),
+    ("blueoak", r"blueoak 1 0 0", r"blue oak model"),
+    ("elastic", r"elastic 2 0", r"elastic"),
+    ("sspl", r"sspl 1 0", r"server side public"),
+    ("busl", r"busl 1 1", r"business source"),
+    ("beerware", r"beerware", r"beer ?ware"),
 ]
 
 #: Forms as (priority, confidence, pattern with I for identifiers and N for names).
@@ -100,8 +102,8 @@ FORMS = [
     (2, 0.9, r"(?:subject to|terms of|conditions of|accordance with) (?:the )?(?:N) licen[cs]e"),
     (1, 0.8, r"(?:N) licen[cs]e(?: version [0-9]+(?: [0-9]+)?)?"),
 ]
-#: Every rule's matches hold one of these, so a text with none of them is never tried.
-GATE = ["licen", "spdx", "under", "subject to", "terms of", "conditions of", "accordance with"]
+#: What the forms hold beside the name; a rule whose name makes these optional opens the gate by its own keywords.
+GATE = ["licen", "spdx", " under ", " subject to ", " terms of ", " conditions of ", " accordance with "]
 EDGE = ("(?<= )", "(?= )")
 
 
@@ -109,21 +111,65 @@ EDGE = ("(?<= )", "(?= )")
 class Rule:
     number: int
     label: str
-    keyword: str
+    keywords: tuple[str, ...]
     pattern: str
     priority: int
     confidence: float
+    gate: tuple[str, ...]
+
+
+def _choices(parsed) -> list[set[str]]:
+    """Sets of strings, of each of which every match of a parsed pattern holds one."""
+    out, run = [], ""
+    for op, arg in [*parsed, (None, None)]:
+        if op is LITERAL:
+            run += chr(arg)
+            continue
+        if run:
+            out.append({run})
+        before, run = [(LITERAL, ord(x)) for x in run], ""
+        if op is SUBPATTERN:
+            out += _choices(arg[-1])
+        elif op is MAX_REPEAT and arg[0] > 0:
+            out += _choices(arg[2])
+        elif op is BRANCH:
+            best = [_best(_choices([*before, *x])) for x in arg[1]]  # the parser takes out common beginnings
+            if all(best):
+                out.append(set().union(*best))
+    return out
+
+
+def _best(choices: list[set[str]]) -> set[str]:
+    """The set whose shortest string is the longest; none: the empty set."""
+    return max(choices, key=lambda c: min(map(len, c)), default=set())
+
+
+def keywords(pattern: str) -> tuple[str, ...]:
+    """Strings of which one is in every text where ``pattern`` matches between spaces; alternatives outside brackets have their own."""
+    parts, depth = [""], 0
+    for ch in pattern:
+        depth += (ch == "(") - (ch == ")")
+        if ch == "|" and not depth:
+            parts.append("")
+        else:
+            parts[-1] += ch
+    best = [_best(_choices(parse(f" {x} "))) for x in parts]
+    assert all(best), pattern
+    return tuple(sorted(set().union(*best)))
 
 
 def rules() -> list[Rule]:
     """All families in all forms, in order: about three hundred rules."""
     out = []
-    for label, keyword, ident, name in FAMILIES:
+    for label, ident, name in FAMILIES:
         for priority, confidence, form in FORMS:
             if "licen" in name:  # the name says it already
                 form = form.replace("(?:N) licen[cs]e", "(?:N)")
             body = form.replace("(?:I)", f"(?:{ident})").replace("(?:N)", f"(?:{name})")
-            out.append(Rule(len(out), label, "licen" if priority == 4 else keyword, EDGE[0] + body + EDGE[1], priority, confidence))
+            # A name stands between spaces in every form.
+            held = ("spdx licen",) if priority == 4 else keywords(name)
+            gate = held if form.startswith("(?:N)") and "licen" in name else tuple(GATE)
+            out.append(Rule(len(out), label, held, EDGE[0] + body + EDGE[1], priority, confidence, gate))
     return out
 
 
@@ -145,25 +191,26 @@ def _spots(s: Column, pattern: Column) -> Column:
     return F.aggregate(F.filter(F.arrays_zip(gaps.alias("g"), hits.alias("h")), lambda z: z["h"].isNotNull()), zero, step, lambda acc: acc["got"])
 
 
-def detect(docs: DataFrame, *, text: str = "text", extra: list[Rule] | None = None) -> DataFrame:
+def detect(docs: DataFrame, *, text: str = "text", extra: list[Rule] | None = None, gated: bool = True) -> DataFrame:
     """``docs`` with _norm and detections: array of (s, e, rule, label, priority, confidence), after suppression.
 
     Positions are characters of the normal form.  Null texts have none; each input row gives one
-    output row, so repeated rows and clashing ids don't matter.
+    output row, so repeated rows and clashing ids don't matter.  Without ``gated`` all rules are tried on
+    all texts, with the same detections.
     """
-    families: dict[str, list[Rule]] = {}
-    for r in [*rules(), *(extra or [])]:
-        families.setdefault(r.keyword, []).append(r)
+    families: dict[tuple[str, ...], list[Rule]] = {}
+    every = [*rules(), *(extra or [])]
+    for r in every:
+        families.setdefault(r.keywords if gated else ("",), []).append(r)
     one = lambda r: F.struct(F.lit(r.pattern).alias("re"), F.lit(r.number).alias("rule"), F.lit(r.label).alias("label"), F.lit(r.priority).alias("priority"), F.lit(r.confidence).alias("confidence"))
-    table = F.array(*[F.struct(F.lit(k).alias("k"), F.array(*map(one, rs)).alias("rules")) for k, rs in families.items()])
-    tried = F.flatten(F.transform(F.filter(table, lambda f: F.contains(F.col("_norm"), f["k"])), lambda f: f["rules"]))
+    table = F.array(*[F.struct(F.array(*map(F.lit, k)).alias("k"), F.array(*map(one, rs)).alias("rules")) for k, rs in families.items()])
+    tried = F.flatten(F.transform(F.filter(table, lambda f: F.exists(f["k"], lambda k: F.contains(F.col("_norm"), k))), lambda f: f["rules"]))
     tried = F.filter(tried, lambda r: F.regexp_like(F.col("_norm"), r["re"]))
     found = F.flatten(F.transform(tried, lambda r: F.transform(_spots(F.col("_norm"), r["re"]), lambda z: F.struct(z["s"].alias("s"), z["e"].alias("e"), r["rule"].alias("rule"), r["label"].alias("label"), r["priority"].alias("priority"), r["confidence"].alias("confidence")))))
-    gate = F.lit(False)
-    for word in GATE[:2]:
+    words = sorted({g for r in every for g in r.gate})
+    gate = F.lit(not gated)
+    for word in (w for w in words if not any(v != w and v in w for v in words)):
         gate = gate | F.contains(F.col("_norm"), F.lit(word))
-    for phrase in GATE[2:]:
-        gate = gate | F.contains(F.col("_norm"), F.lit(f" {phrase} "))
     empty = F.array().cast("array<struct<s:int,e:int,rule:int,label:string,priority:int,confidence:double>>")
 
     def covers(e, d):

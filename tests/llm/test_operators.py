@@ -230,6 +230,43 @@ def test_license_rules_and_suppression(spark):
     assert len(licenses.rules()) > 250 and all(re.compile(r.pattern) for r in licenses.rules())
 
 
+def _spelled(parsed, r):
+    """Texts of a parsed pattern: each alternative at least once, optional parts absent and present."""
+    from re import _constants as c
+
+    out = [""]
+    for op, arg in parsed:
+        if op is c.LITERAL:
+            more = [chr(arg)]
+        elif op is c.IN:
+            more = [chr(arg[0][1] if arg[0][0] is c.LITERAL else arg[0][1][0])]
+        elif op is c.SUBPATTERN:
+            more = _spelled(arg[-1], r)
+        elif op is c.BRANCH:
+            more = [x for a in arg[1] for x in _spelled(a, r)]
+        elif op is c.MAX_REPEAT:
+            more = ([""] if arg[0] == 0 else []) + _spelled(arg[2], r)
+        else:
+            more = [""]
+        r.shuffle(out)
+        out = [x + y for x in out for y in more] if len(out) * len(more) <= 60 else [out[i % len(out)] + more[i % len(more)] for i in range(max(len(out), len(more)))]
+    return out
+
+
+def test_license_gates_lose_nothing(spark):
+    from re._parser import parse
+
+    r, rules = random.Random(2), licenses.rules()
+    for rule in rules:
+        for t in _spelled(parse(rule.pattern), r):
+            norm = f" {t} "
+            assert re.search(rule.pattern, norm) and any(k in norm for k in rule.keywords) and any(g in norm for g in rule.gate), (rule, t)
+    texts = ["GPLv2", "gnu gpl v2", "Apache 2.0", "LGPL 2.1", "ASL 2", "simplified BSD license", "FreeBSD license", "original BSD license", "zero clause BSD license", "Berkeley Software Distribution license", "internet systems consortium license", "creative commons attribution noderivs license", "none"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got, want = ([x["detections"] for x in licenses.detect(df, gated=g).orderBy("doc_id").collect()] for g in (True, False))
+    assert got == want and all(got[:-1]) and not got[-1]
+
+
 # --- nearest neighbours -------------------------------------------------------------------------
 
 
