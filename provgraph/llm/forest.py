@@ -20,7 +20,7 @@ TREES = 4
 SAMPLE = 16_384
 LEAF_SAMPLE = 128
 #: Share of the rows whose leaves a query opens, counted in all trees together.
-SHARE = 1.3
+SHARE = 2.4
 ROW_BLOCK = 8192
 QUERY_BLOCK = 512
 
@@ -101,9 +101,7 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
     rows = rows.where(F.size("v") == dim)
     drawn = np.array([r["v"] for r in rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()])
     lifted = lambda x: np.hstack([x, np.sqrt(np.maximum(0, most - (x * x).sum(axis=1)))[:, None]])
-    # A small table is searched whole: its leaves would hold fewer rows than a query asks for.
     forest = Forest(lifted(drawn), trees, leaf)
-    share_all = float(len(forest.trees)) if total <= 4 * leaf * 8 else share
     sent = rows.sparkSession.sparkContext.broadcast(forest)  # planes: trees * 2**depth vectors, bounded by the sample
 
     def file_rows(batches):
@@ -113,7 +111,7 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
 
     def walk(batches):
         for pdf in batches:
-            opened = [sent.value.open_leaves(np.append(np.asarray(v), 0.0), share_all) for v in pdf["v"]]
+            opened = [sent.value.open_leaves(np.append(np.asarray(v), 0.0), share) for v in pdf["v"]]
             yield pd.DataFrame({"query_id": pdf["vec_id"], "v": pdf["v"], "opened": [[t << 24 | n for t, n in o] for o in opened]})
 
     row_blocks, query_blocks = -(-total // ROW_BLOCK), -(-total // every // QUERY_BLOCK) + 1

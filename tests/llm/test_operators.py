@@ -292,6 +292,20 @@ def test_neighbours(spark):
     assert forest.neighbours(df.limit(0)).count() == 0
 
 
+def test_forest_searches_part_of_the_leaves(spark):
+    """One rule at every size: the small table too is searched by the registered share, without losing neighbours."""
+    x = np.random.default_rng(6).normal(size=(900, 16))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = defaultdict(set)
+    for q in forest.neighbours(df, leaf=32).collect():
+        got[q["query_id"]].add(q["vec_id"])
+    hits = sum(len(got[q] & set(sorted((i for i in range(900) if i != q), key=lambda i: -(x[i] @ x[q]))[:20])) for q in range(0, 900, 20))
+    assert hits >= 0.95 * 900
+    # A tenth of the rows can't hold all neighbours: the share is obeyed below any number of rows.
+    few = {(r["query_id"], r["vec_id"]) for r in forest.neighbours(df, leaf=32, share=0.1).collect()}
+    assert len(few & {(q, i) for q, a in got.items() for i in a}) < 0.9 * 900
+
+
 # --- language model -----------------------------------------------------------------------------
 
 
