@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.durable import cut_table
 from provgraph.llm.words import BLANK_LOWER, U64, Block, blocks, bytes_of
 
 STATE = 16
@@ -433,8 +434,6 @@ def score(encoded: DataFrame, vocabulary: Vocabulary, net: Network) -> DataFrame
 
 def digest(docs: DataFrame, **options) -> DataFrame:
     """Learns from the documents that aren't held out and scores all; null texts are empty ones (only the end)."""
-    from provgraph.llm.substring_dedup import cut_table
-
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     training = base.where(~held_out(F.col("doc_id")))
     counts = cut_table(count_tokens(training))

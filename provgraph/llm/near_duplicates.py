@@ -4,10 +4,11 @@ A document's set of word shingles has a signature of 8 chunks of 5 values of 16
 signatures that differ in at most 15 of 40 values have, by the pigeonhole principle, a chunk with at
 most one difference; every chunk therefore gives one key for each value left out, and equal keys make
 candidates.  (At similarity 0.8 a pair lacks such a chunk with probability 2e-5, at 0.85 with 5e-7.)
-Equal sets meet before that.  In a bucket of equal keys every member is compared with the bucket's
-least and its greatest member; where that leaves several components, blocks of bounded size compare
-members of different components, each pair in the first bucket that it shares, first by signature,
-then on full sets.  Links are confirmed on full sets.
+Equal sets meet before that.  Small buckets of equal keys are compared pair by pair; a member of larger
+ones is compared with the least and the greatest hub of its buckets.  Where a bucket then still holds
+several components, blocks bounded by rows and by shingles compare members of different components,
+first by signature, then on full sets; rows of the bucket's largest component meet only the others.
+Links are confirmed on full sets.
 """
 from __future__ import annotations
 
@@ -20,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.functions.durable import cut
+from provgraph.functions.durable import cut_table
 from provgraph.llm.words import BLANK_LOWER, U64, blocks, bytes_of, mix
 from provgraph.operators.components import connected
 
@@ -28,8 +29,11 @@ CHUNKS, VALUES, ERRORS = 8, 5, 1
 SIZE = CHUNKS * VALUES
 #: Pairs whose signatures differ in more values are taken as unlinked: at similarity 0.8 that has probability 2e-6.
 MOST_DIFFERENT = 20
-BLOCK_ROWS = 1024
-BROADCAST_ROWS = 500_000
+#: A block of a bucket: rows, and shingles in all (a set beyond that is alone).
+BLOCK_ROWS, BLOCK_ITEMS = 512, 1 << 18
+#: Buckets of so few members are compared pair by pair.
+FEW = 3
+BROADCAST_ROWS = 100_000
 _SEEDS = mix(np.arange(1, SIZE + 1, dtype=U64)) | U64(1)
 _KEPT = [(c, [c * VALUES + v for v in keep]) for c in range(CHUNKS) for keep in combinations(range(VALUES), VALUES - ERRORS)]
 _CHUNK_OF = np.array([c for c, _ in _KEPT])
@@ -83,9 +87,9 @@ def _signed(batches, n):
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, n: int) -> DataFrame:
     """(fp, items) of the wanted (fp, th, id), computed again from the texts."""
-    wanted = cut(wanted)
+    wanted = cut_table(wanted)
     w = wanted.select(F.col("th").alias("_th"), F.col("min_id").alias("_id"), F.col("fp").alias("_fp"))
-    if wanted.count() <= BROADCAST_ROWS:  # at most 20 MB; beyond it a shuffled join
+    if wanted.count() <= BROADCAST_ROWS:  # at most 4 MB; beyond it a shuffled join
         w = F.broadcast(w)
     texts = docs.join(w, (F.col("th") == F.col("_th")) & F.col("doc_id").eqNullSafe(F.col("_id"))).select("_fp", "text")
 
@@ -115,6 +119,25 @@ def _first_here(a: np.ndarray, b: np.ndarray, at: int) -> np.ndarray:
     return out
 
 
+def common_counts(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Sizes of the intersections of sets[left] with sets[right]: products of 0/1 matrices, some shared items at a time."""
+    both = np.zeros((len(left), len(right)), np.int64)
+    items, col = np.unique(np.concatenate([np.asarray(x, np.int64) for x in sets]), return_inverse=True)
+    row = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    held = np.bincount(col, minlength=len(items)) > 1
+    number = np.cumsum(held) - 1
+    some = held[col]
+    row, col = row[some], number[col[some]]
+    o = np.argsort(col, kind="stable")
+    row, col = row[o], col[o]
+    for lo in range(0, int(held.sum()), 1024):
+        a, b = np.searchsorted(col, [lo, lo + 1024])
+        m = np.zeros((len(sets), 1024), np.float32)
+        m[row[a:b], col[a:b] - lo] = 1
+        both += (m[left] @ m[right].T).astype(np.int64)
+    return both
+
+
 def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row of ``docs``.
 
@@ -124,81 +147,90 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
     unless they share one with rows that have an id.  Equal rows stay separate rows.
     """
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
-    signed = cut(base.mapInArrow(lambda batches: _signed(batches, shingle), "doc_id long, th long, n long, fp binary, sig binary, keys array<bigint>"))
+    signed = cut_table(base.mapInArrow(lambda batches: _signed(batches, shingle), "doc_id long, th long, n long, fp binary, sig binary, keys array<bigint>"))
     best = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "th"))
     groups = signed.where("n > 0").groupBy("fp").agg(best.alias("b"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("keys").alias("keys"))
-    groups = cut(groups.select("fp", F.xxhash64("fp").alias("nid"), F.col("b.doc_id").alias("min_id"), F.col("b.th").alias("th"), "n", "sig", "keys"))
+    groups = cut_table(groups.select("fp", F.xxhash64("fp").alias("nid"), F.col("b.doc_id").alias("min_id"), F.col("b.th").alias("th"), "n", "sig", "keys"))
 
     # Sets of k shingles can only link with sets of at least k * percent / 100: small ones with equal sets alone.
     least = next(k for k in range(1, 200) if 100 * k >= percent * (k + 1))
     keyed = groups.where(F.col("n") >= least).select("nid", F.posexplode("keys").alias("at", "key"))
-    leaders = keyed.groupBy("key").agg(F.min("nid").alias("leader"), F.max("nid").alias("other"), F.count(F.lit(1)).alias("held")).where("leader < other")
-    members = cut(keyed.join(leaders.select(F.col("key").alias("k"), "leader", "other", "held"), F.col("key") == F.col("k")).select("key", "at", "nid", "leader", "other", "held"))
-    ends = F.explode(F.array(F.struct(F.col("leader").alias("l")), F.struct(F.col("other").alias("l")))).alias("e")
-    pairs = members.select("nid", ends).where("nid <> e.l").select(F.least("nid", "e.l").alias("leader"), F.greatest("nid", "e.l").alias("nid")).distinct()
+    ends = keyed.groupBy("key").agg(F.min("nid").alias("low"), F.max("nid").alias("high"), F.count(F.lit(1)).alias("held")).where("low < high")
+    # Both sides are tables without a partitioning, so that the join of a hot key can be split.
+    members = cut_table(keyed.join(cut_table(ends.withColumnRenamed("key", "_key")), F.col("key") == F.col("_key")).drop("_key"))
+    both_ends = F.explode(F.array(F.struct(F.col("low").alias("hub")), F.struct(F.col("high").alias("hub")))).alias("e")
+    few = members.where(F.col("held") <= FEW).select("nid", "low", "high")
+    many = members.where(F.col("held") > FEW).groupBy("nid").agg(F.min("low").alias("low"), F.max("high").alias("high"))
+    pairs = few.union(many).select("nid", both_ends).where("nid <> e.hub").select("nid", F.col("e.hub").alias("hub")).distinct()
     about = groups.select("nid", "fp", "n", "sig", "th", "min_id")
     side = lambda x: about.select(F.col("nid").alias(f"_{x}"), *[F.col(c).alias(f"{c}_{x}") for c in ("fp", "n", "sig", "th", "min_id")])
     differ = F.aggregate(F.sequence(F.lit(0), F.lit(SIZE - 1)), F.lit(0), lambda acc, i: acc + (F.substring("sig_a", 2 * i + 1, F.lit(2)) != F.substring("sig_b", 2 * i + 1, F.lit(2))).cast("int"))
-    near = pairs.join(side("a"), F.col("leader") == F.col("_a")).join(side("b"), F.col("nid") == F.col("_b"))
+    near = pairs.join(side("b"), F.col("nid") == F.col("_b")).join(side("a"), F.col("hub") == F.col("_a"))
     near = near.where((100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")) & (differ <= MOST_DIFFERENT))
-    near = cut(near.select("fp_a", "th_a", "min_id_a", "fp_b", "th_b", "min_id_b"))
+    near = cut_table(near.select("fp_a", "th_a", "min_id_a", "fp_b", "th_b", "min_id_b"))
 
     either = lambda x: near.select(F.col(f"fp_{x}").alias("fp"), F.col(f"th_{x}").alias("th"), F.col(f"min_id_{x}").alias("min_id"))
-    sets = cut(_sets_of(base, either("a").union(either("b")).distinct(), shingle))
+    sets = cut_table(_sets_of(base, either("a").union(either("b")).distinct(), shingle))
     one = lambda x: sets.select(F.col("fp").alias(f"f_{x}"), F.col("items").alias(f"items_{x}"))
     both = F.size(F.array_intersect("items_a", "items_b"))
-    full = near.join(one("a"), F.col("fp_a") == F.col("f_a")).join(one("b"), F.col("fp_b") == F.col("f_b"))
-    links = cut(full.where(100 * both >= percent * (F.size("items_a") + F.size("items_b") - both)).select(F.col("fp_a").alias("src"), F.col("fp_b").alias("dst")))
-    comp = cut(connected(links))
-
-    # Buckets of four and more that still hold several components: compare across them.
-    placed = groups.join(comp, F.col("fp") == F.col("node"), "left").select(F.col("nid").alias("_nid"), "fp", "n", "sig", "th", "min_id", F.coalesce("component", "fp").alias("comp"))
-    rest = members.where("held > 3").join(placed.select("_nid", "comp"), F.col("nid") == F.col("_nid"))
-    mixed = rest.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("rows")).where("lo <> hi").select(F.col("key").alias("k"), "rows")
-    rest = members.where("held > 3").join(mixed, F.col("key") == F.col("k")).join(placed, F.col("nid") == F.col("_nid"))
-    parts = F.ceil(F.col("rows") / BLOCK_ROWS).cast("int")
-    own = F.pmod(F.xxhash64("fp"), parts.cast("long")).cast("int")
-    spots = F.transform(F.sequence(F.lit(0), parts - 1), lambda j: F.struct(F.least(own, j).alias("i"), F.greatest(own, j).alias("j")))
-    dealt = rest.withColumn("spot", F.explode(spots)).select("key", F.col("spot.i").alias("i"), F.col("spot.j").alias("j"), "at", "fp", "n", "sig", "comp", "th", "min_id", ((F.col("leader") == F.col("nid")) | (F.col("other") == F.col("nid"))).alias("leads"))
+    # Members fetch their own sets first; a hub's set then comes once to its members, and never travels with them.
+    full = near.select("fp_a", "fp_b").join(one("b"), F.col("fp_b") == F.col("f_b")).join(one("a"), F.col("fp_a") == F.col("f_a"))
+    links = cut_table(full.where(100 * both >= percent * (F.size("items_a") + F.size("items_b") - both)).select(F.col("fp_a").alias("src"), F.col("fp_b").alias("dst")))
+    comp = cut_table(connected(links))
+
+    # Larger buckets that still hold several components: compare across them, in blocks.
+    number = lambda c: F.xxhash64(F.coalesce("component", c))  # noqa: E731  equal numbers of unequal components: 2**-64
+    placed = cut_table(groups.join(comp, F.col("fp") == F.col("node"), "left").select(F.col("nid").alias("_nid"), "fp", "n", "sig", "th", "min_id", number("fp").alias("comp")))
+    rest = cut_table(members.where(F.col("held") > FEW).select("key", "at", "nid").join(placed, F.col("nid") == F.col("_nid")).drop("_nid"))
+    shares = rest.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("rows"), F.sum("n").alias("items"))
+    mixed = shares.groupBy("key").agg(F.max_by("comp", F.struct("rows", "comp")).alias("main"), F.count(F.lit(1)).alias("comps"), F.sum("rows").alias("rows"), F.sum("items").alias("items"), F.max("rows").alias("in_main"), F.max_by("items", F.struct("rows", "comp")).alias("main_items")).where("comps > 1")
+    blocks_of = lambda rows, items: F.greatest(F.ceil(rows / BLOCK_ROWS), F.ceil(items / BLOCK_ITEMS)).cast("int")
+    mixed = cut_table(mixed.select(F.col("key").alias("_key"), "main", blocks_of(F.col("rows") - F.col("in_main"), F.col("items") - F.col("main_items")).alias("q"), blocks_of(F.col("in_main"), F.col("main_items")).alias("p")))
+    rest = rest.join(mixed, F.col("key") == F.col("_key"))
+    # The component with most rows is blocks q.., all others are blocks 0..q - 1: two blocks meet unless both are of the first kind.
+    in_main = F.col("comp") == F.col("main")
+    own = F.when(in_main, F.col("q") + F.pmod(F.xxhash64("nid"), F.col("p").cast("long"))).otherwise(F.pmod(F.xxhash64("nid"), F.col("q").cast("long"))).cast("int")
+    others = F.sequence(F.lit(0), F.when(in_main, F.col("q") - 1).otherwise(F.col("q") + F.col("p") - 1))
+    spots = F.transform(others, lambda j: F.struct(F.least("own", j).alias("i"), F.greatest("own", j).alias("j")))
+    dealt = rest.withColumn("own", own).withColumn("spot", F.explode(spots)).select("key", F.col("spot.i").alias("i"), F.col("spot.j").alias("j"), "own", "at", "fp", "n", "sig", "comp", "th", "min_id")
 
     def unsettled(pdf: pd.DataFrame) -> pd.DataFrame:
         sig = np.frombuffer(b"".join(pdf["sig"]), np.uint16).reshape(len(pdf), SIZE)
-        n, comp, leads = pdf["n"].to_numpy(), pd.factorize(pdf["comp"])[0], pdf["leads"].to_numpy()
+        n, comp, own = pdf["n"].to_numpy(), pd.factorize(pdf["comp"])[0], pdf["own"].to_numpy()
         keep, at = np.zeros(len(pdf), bool), int(pdf["at"].iloc[0])
-        for i in range(0, len(pdf), 256):
-            s = slice(i, i + 256)
-            ok = (comp[s, None] != comp[None, :]) & ~(leads[s, None] | leads[None, :])
-            ok &= 100 * np.minimum(n[s, None], n[None, :]) >= percent * np.maximum(n[s, None], n[None, :])
+        left, right = np.flatnonzero(own == pdf["i"].iloc[0]), np.flatnonzero(own == pdf["j"].iloc[0])
+        for i in range(0, len(left), 64):
+            rows = left[i : i + 64]
+            ok = comp[rows, None] != comp[None, right]
+            ok &= 100 * np.minimum(n[rows, None], n[None, right]) >= percent * np.maximum(n[rows, None], n[None, right])
             r, c = np.nonzero(ok)
-            for k in range(0, len(r), 65_536):
-                a, b = i + r[k : k + 65_536], c[k : k + 65_536]
+            for k in range(0, len(r), 16_384):
+                a, b = rows[r[k : k + 16_384]], right[c[k : k + 16_384]]
                 here = _first_here(sig[a], sig[b], at)
                 keep[a[here]] = True
                 keep[b[here]] = True
-        return pdf.loc[keep, ["key", "i", "j", "at", "fp", "sig", "comp", "th", "min_id"]]
+        return pdf.loc[keep, ["key", "i", "j", "own", "fp", "comp", "th", "min_id"]]
 
-    open_rows = cut(dealt.groupBy("key", "i", "j").applyInPandas(unsettled, "key long, i int, j int, at int, fp binary, sig binary, comp binary, th long, min_id long"))
+    open_rows = cut_table(dealt.groupBy("key", "i", "j").applyInPandas(unsettled, "key long, i int, j int, own int, fp binary, comp long, th long, min_id long"))
     if not open_rows.isEmpty():
         more = _sets_of(base, open_rows.select("fp", "th", "min_id").distinct(), shingle).select(F.col("fp").alias("f"), "items")
-        rows = open_rows.join(more, F.col("fp") == F.col("f")).select("key", "i", "j", "at", "fp", "sig", "comp", "items")
+        rows = open_rows.join(more, F.col("fp") == F.col("f")).select("key", "i", "j", "own", "fp", "comp", "items")
 
         def settle(pdf: pd.DataFrame) -> pd.DataFrame:
-            comp, items, fp = pd.factorize(pdf["comp"])[0].copy(), list(pdf["items"]), list(pdf["fp"])
-            sig, at, out = np.frombuffer(b"".join(pdf["sig"]), np.uint16).reshape(len(pdf), SIZE), int(pdf["at"].iloc[0]), []
-            for a in range(len(fp)):
-                others = np.flatnonzero(comp[:a] != comp[a])
-                for b in others[_first_here(np.broadcast_to(sig[a], (len(others), SIZE)), sig[others], at)]:
-                    x, y = len(items[a]), len(items[b])
-                    if comp[b] == comp[a] or 100 * min(x, y) < percent * max(x, y):
-                        continue
-                    k = len(np.intersect1d(items[a], items[b], assume_unique=True))
-                    if 100 * k >= percent * (x + y - k):
-                        out.append((fp[a], fp[b]))
-                        comp[comp == comp[b]] = comp[a]
+            own, fp, size = pdf["own"].to_numpy(), list(pdf["fp"]), np.fromiter(map(len, pdf["items"]), np.int64, len(pdf))
+            left, right = np.flatnonzero(own == pdf["i"].iloc[0]), np.flatnonzero(own == pdf["j"].iloc[0])
+            comp, out = pd.factorize(pdf["comp"])[0].copy(), []
+            both = common_counts(list(pdf["items"]), left, right)
+            linked = 100 * both >= percent * (size[left, None] + size[None, right] - both)
+            for r, a in enumerate(left):
+                near = right[linked[r]]
+                for c in np.setdiff1d(comp[near], comp[a]):
+                    out.append((fp[a], fp[near[comp[near] == c][0]]))
+                    comp[comp == c] = comp[a]
             return pd.DataFrame(out, columns=["src", "dst"])
 
         late = rows.groupBy("key", "i", "j").applyInPandas(settle, "src binary, dst binary")
-        comp = cut(connected(links.union(late)))
+        comp = cut_table(connected(links.union(late)))
 
     named = groups.join(comp, F.col("fp") == F.col("node"), "left").select(F.col("fp").alias("_fp"), "min_id", F.coalesce("component", "fp").alias("comp"))
     smallest = named.groupBy("comp").agg(F.min("min_id").alias("component_id"))

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.functions.durable import cut
+from provgraph.functions.durable import cut, cut_table
 from provgraph.llm import bloom
 from provgraph.llm.fm_index import FMIndex
 from provgraph.llm.words import BLANK, U64, blocks, bytes_of, window_hashes
@@ -159,17 +159,6 @@ def _small(df: DataFrame, rows: int = 100_000) -> DataFrame:
     return F.broadcast(df) if df.count() <= rows else df
 
 
-def cut_table(df: DataFrame) -> DataFrame:
-    """``df`` as Parquet in the shared checkpoint folder: compressed, and read by column."""
-    import uuid
-
-    from provgraph.functions.durable import checkpoint_folder
-
-    path = f"{checkpoint_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def dedup_substrings(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", window: int = WINDOW, columns: list[str] | None = None, **options) -> DataFrame:
     """``docs`` (or only its ``columns``) with n_words, n_removed and kept_text (kept words joined by one space).
 

@@ -8,8 +8,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
-BLOCK = 1 << 21
+BLOCK = 1 << 19
 U64 = np.uint64
 _BASE = 0x9E3779B97F4A7C15
 _LENGTH = U64(0xC2B2AE3D27D4EB4F)
@@ -99,11 +101,13 @@ class Block:
         return self.raw[self.s[i] : self.e[i]]
 
 
-def blocks(texts: list[bytes | None], table: bytes, size: int = BLOCK) -> Iterator[tuple[int, int, Block]]:
-    """(lo, hi, Block of texts[lo:hi]); a text longer than ``size`` has a block of its own."""
+def blocks(texts, table: bytes, size: int = BLOCK) -> Iterator[tuple[int, int, Block]]:
+    """(lo, hi, Block of texts[lo:hi]); a text longer than ``size`` has a block of its own.
+
+    ``texts``: a list of bytes, or a ``Texts``, of which only one block's copies exist at a time.
+    """
     lo, total = 0, 0
-    for i, t in enumerate(texts):
-        n = len(t or b"")
+    for i, n in enumerate(texts.sizes if isinstance(texts, Texts) else [len(t or b"") for t in texts]):
         if i > lo and total + n > size:
             yield lo, i, Block(texts[lo:i], table)
             lo, total = i, 0
@@ -112,11 +116,25 @@ def blocks(texts: list[bytes | None], table: bytes, size: int = BLOCK) -> Iterat
         yield lo, len(texts), Block(texts[lo:], table)
 
 
-def bytes_of(column) -> list[bytes | None]:
-    """The UTF-8 bytes of an Arrow string column."""
-    import pyarrow as pa
+class Texts:
+    """The UTF-8 bytes of an Arrow string column, copied out only where they are sliced or iterated."""
+
+    def __init__(self, column):
+        self.column = column.cast(pa.binary() if not pa.types.is_large_string(column.type) else pa.large_binary())
+        self.sizes = pc.fill_null(pc.binary_length(self.column), 0).to_pylist()
+
+    def __len__(self) -> int:
+        return len(self.sizes)
+
+    def __getitem__(self, at: slice) -> list[bytes | None]:
+        return self.column[at].to_pylist()
+
+    def __iter__(self) -> Iterator[bytes | None]:
+        return (x.as_py() for x in self.column)
+
 
-    return column.cast(pa.binary() if not pa.types.is_large_string(column.type) else pa.large_binary()).to_pylist()
+def bytes_of(column) -> Texts:
+    return Texts(column)
 
 
 def window_hashes(h: np.ndarray, n: int) -> np.ndarray:
