@@ -4,17 +4,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-SUB_BUCKETS = 1024
 
+def position_within(df: DataFrame, key: Column, order: list[Column], bucket: Column, out: str = "position") -> DataFrame:
+    """Adds ``out``: the gapless 0-based position of each row among the rows of its ``key``, by ``bucket`` and then ``order``.
 
-def position_within(df: DataFrame, key: Column, spread: list[Column], order: list[Column], out: str = "position", weight: Column | None = None, buckets: int = SUB_BUCKETS) -> DataFrame:
-    """Adds ``out``: the gapless 0-based position of each row among the rows of its ``key``.
-
-    A key may hold any share of the rows: its rows are dealt over ``buckets`` hash buckets of
-    ``spread``, counted per bucket (map-side combined), and numbered inside the bucket.  The table
-    of bucket offsets has at most ``buckets`` rows a key.  Rows of one bucket follow ``order``.
+    A key may hold any share of the rows: its rows are counted per bucket (map-side combined) and numbered
+    inside the bucket.  The table of bucket offsets has a row a key and bucket.
     """
-    keyed = df.withColumns({"_key": key, "_sub": F.pmod(F.xxhash64(*spread), F.lit(buckets)).cast("int")})
+    keyed = df.withColumns({"_key": key, "_sub": bucket})
     cells = keyed.groupBy("_key", "_sub").agg(F.count(F.lit(1)).alias("_n"))
     before = F.sum("_n").over(Window.partitionBy("_key").orderBy("_sub")) - F.col("_n")
     cells = cells.select(F.col("_key").alias("_k2"), F.col("_sub").alias("_s2"), before.alias("_before"))
