@@ -6,8 +6,13 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from provgraph.functions.columns import column, packed, unpacked
 from provgraph.functions.durable import checkpoint_folder
 from provgraph.llm import decontamination, hilbert, near_duplicates, pfair, toxicity
+from provgraph.llm.queries import OTHER, TARGETS
+
+#: What the rows of a source are dealt by.
+SPREAD = ["doc_id", "n_chars"]
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,13 +32,23 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, in the order of the mix."""
-    return pfair.mixed(docs, spread=["doc_id", "n_chars"])
+    return pfair.mixed(docs, TARGETS, other=OTHER, spread=SPREAD)
 
 
 def cut_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents with their shard and slot along the curve."""
-    sized = docs.withColumn("size", (F.coalesce(F.octet_length("text"), F.lit(0)) + 8).cast("long"))
-    return hilbert.shard(sized, ["source", "lang", "n_chars"], spread=[F.col("doc_id"), F.col("n_chars")], size=F.col("size"))
+    """All documents with their slot of the mix, shard and slot along the curve.
+
+    The place in the mix is a dimension of the curve, and source is none: shards keep the mix's order in
+    the large and the targets' proportions, and a reader skips those of other stretches of the mix.  A
+    table has no order that a stage could read, so the slots are worked out again; the schedule depends on
+    the rows alone.  Columns of the same name as an added one are replaced by it.
+    """
+    names = docs.columns
+    size = F.coalesce(F.octet_length("text"), F.lit(0)) + 8
+    slim = packed(docs, **{c: column(c) for c in ("doc_id", "source", "lang", "n_chars")}, size=size.cast("long"))
+    slots = pfair.mix(slim, TARGETS, other=OTHER, spread=SPREAD).withColumnRenamed("slot", "mix_slot").drop("block", "pos", "release", "deadline")
+    placed = hilbert.shard(slots, ["mix_slot", "lang", "n_chars"], spread=[F.col("doc_id"), F.col("n_chars")], size=F.col("size"))
+    return unpacked(placed, names, **{c: F.col(c) for c in ("mix_slot", "curve", "place", "shard", "slot")})
 
 
 STAGES = [
@@ -46,6 +61,7 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every stage on all that its predecessor kept; an empty table stays empty, nulls are as in the stages' operators."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     folder = f"{checkpoint_folder(spark)}/corpus-{uuid.uuid4().hex}"
     for name, stage in STAGES[:-1]:

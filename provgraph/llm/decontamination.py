@@ -1,149 +1,181 @@
 """Benchmark decontamination: test n-grams in a broadcast hash set, scanned for in training texts.
 
-The benchmark is cut into parts of at most ``MAX_PART_BYTES`` text; each part's n-gram set is
-broadcast on its own and the scan passes over the parts one after another, so that what is sent at
-once has a fixed bound whatever the benchmark's size.  A window found by hash is verified word for
-word before it counts.
+The benchmark's texts are cut into pieces of bounded size (neighbours share n - 1 words, so no window is
+lost) and the pieces dealt into parts of at most about ``MAX_PART_BYTES``.  A part is fetched, broadcast,
+scanned for and let go before the next one comes, so that the driver and each worker hold one part at a
+time, whatever the benchmark's size.  A window found by hash is verified word for word before it counts.
 """
 from __future__ import annotations
 
-import hashlib
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of, mix
+from provgraph.functions.columns import column, free_name
+from provgraph.functions.durable import cut_table
+from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of, window_hashes
 
 N = 10
-MAX_PART_BYTES = 32 << 20
+MAX_PART_BYTES = 8 << 20
+PIECE_WORDS = 4096
 SCAN = "struct<n_words:bigint,n_hit:bigint,items:array<string>,spans:array<struct<lo:int,hi:int>>>"
+KIND = pa.struct([("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())])))])
+MAYBE_BITS = 22
 
 
 class NgramSet:
-    """The n-grams of some items, by hash, with the items that hold each."""
+    """The n-grams of some items as sorted hashes, each with where it stands; an item of fewer than n words is one window."""
 
     def __init__(self, items: list[tuple[str | None, bytes]], n: int):
-        vocabulary: dict[bytes, int] = {}
-        grams: dict[tuple[int, ...], set] = {}
-        for name, text in items:
-            words = [vocabulary.setdefault(w, len(vocabulary)) for w in text.translate(ALNUM_LOWER).split()]
-            if words:
-                for g in {tuple(words[i : i + n]) for i in range(max(1, len(words) - n + 1))}:
-                    grams.setdefault(g, set()).update([] if name is None else [name])
-        names = list(vocabulary)
-        hashes = Block([b" ".join(names)], ALNUM_LOWER).hashes() if names else np.empty(0, U64)
-        order = np.argsort(hashes)
-        self.hash, self.id, self.names = hashes[order], order.astype(np.int64), names
-        self.maybe = np.zeros(1 << 20, bool)
-        self.maybe[(hashes >> U64(44)).astype(np.int64)] = True
+        self.names = [name for name, _ in items]
+        b = self.words = Block([text for _, text in items], ALNUM_LOWER)
+        h, doc, last = b.hashes(), b.doc(), np.repeat(b.first[1:], b.count)
         self.by_size = {}
-        for size in {len(g) for g in grams}:
-            rows = [g for g in grams if len(g) == size]
-            ids = np.array(rows, np.int64)
-            key = self.key(ids)
-            o = np.argsort(key)
-            self.by_size[size] = (key[o], ids[o], [grams[rows[i]] for i in o])
-
-    @staticmethod
-    def key(ids: np.ndarray) -> np.ndarray:
-        coef = mix(np.arange(1, ids.shape[1] + 1, dtype=U64)) | U64(1)
-        return mix(((ids.astype(U64) + U64(1)) * coef).sum(axis=1, dtype=U64))
+        for size in sorted({min(n, int(k)) for k in b.count if k}):
+            at = np.arange(max(0, len(h) - size + 1))
+            at = at[(at + size <= last[at]) & ((size == n) | (b.count[doc[at]] == size))]
+            key = window_hashes(h, size)[at]
+            maybe = np.zeros(1 << MAYBE_BITS, bool)
+            maybe[(key >> U64(64 - MAYBE_BITS)).astype(np.int64)] = True
+            o = np.argsort(key, kind="stable")
+            self.by_size[size] = (maybe, key[o], at[o], doc[at[o]])
 
     def find(self, b: Block) -> tuple[np.ndarray, list[set]]:
         """Which words are hit, and the items of each text."""
         hit, items = np.zeros(len(b.s) + 1, np.int64), [set() for _ in b.count]
-        h = b.hashes()
-        near = np.flatnonzero(self.maybe[(h >> U64(44)).astype(np.int64)])
-        known = np.full(len(h), -1, np.int64)
-        if len(near):
-            k = np.minimum(np.searchsorted(self.hash, h[near]), len(self.hash) - 1)
-            same = self.hash[k] == h[near]
-            known[near[same]] = self.id[k[same]]
-        doc, last = b.doc(), np.repeat(b.first[1:], b.count)
-        gap = np.concatenate([[0], np.cumsum(known < 0)])
-        for size, (key, ids, owners) in self.by_size.items():
-            start = np.arange(max(0, len(h) - size + 1))
-            start = start[(gap[size:] == gap[: len(start)]) & (start + size <= last[: len(start)])]
-            if not len(start):
-                continue
-            seen = known[start[:, None] + np.arange(size)]
-            k = np.minimum(np.searchsorted(key, got := self.key(seen)), len(key) - 1)
-            for i in np.flatnonzero((key[k] == got) & (ids[k] == seen).all(axis=1)):
-                at = int(start[i])
-                if all(b.word(at + j) == self.names[w] for j, w in enumerate(seen[i])):
-                    hit[at] += 1
-                    hit[at + size] -= 1
-                    items[doc[at]] |= owners[k[i]]
+        h, doc, last, own = b.hashes(), b.doc(), np.repeat(b.first[1:], b.count), self.words
+        known: dict[bytes, set | None] = {}
+        for size, (maybe, key, at, owner) in self.by_size.items():
+            got = window_hashes(h, size)
+            near = np.flatnonzero(maybe[(got >> U64(64 - MAYBE_BITS)).astype(np.int64)])
+            near = near[near + size <= last[near]]
+            lo, hi = np.searchsorted(key, got[near], "left"), np.searchsorted(key, got[near], "right")
+            for i, a, z in zip(near[lo < hi], lo[lo < hi], hi[lo < hi]):
+                said = b" ".join(b.raw[b.s[i] : b.e[i + size - 1]].split())
+                if said not in known:
+                    same = [int(owner[k]) for k in range(a, z) if own.raw[own.s[at[k]] : own.e[at[k] + size - 1]] == said]
+                    known[said] = {self.names[k] for k in same} - {None} if same else None
+                if known[said] is not None:
+                    hit[i] += 1
+                    hit[i + size] -= 1
+                    items[doc[i]] |= known[said]
         return np.cumsum(hit[:-1]) > 0, items
 
 
-def _parts(benchmark: DataFrame, item_id: str, text: str, limit: int) -> list[list[tuple[str | None, bytes]]]:
-    items = benchmark.select(F.col(item_id).cast("string").alias("i"), F.col(text).alias("t")).where("t is not null")
-    size = items.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    n = -(-size // limit) or 1
-    dealt = items.withColumn("p", F.pmod(F.xxhash64("t"), F.lit(n)))
-    return [[(r["i"], r["t"].encode()) for r in dealt.where(F.col("p") == p).toLocalIterator()] for p in range(n)]
+def _pieces(benchmark: DataFrame, item_id: str, text: str, n: int) -> DataFrame:
+    """(item, words): the items' words, one space between, in pieces of at most PIECE_WORDS windows."""
 
+    def run(batches):
+        for batch in batches:
+            out: list[tuple] = []
+            for name, t in zip(batch.column(0).to_pylist(), bytes_of(batch.column(1))):
+                w = (t or b"").translate(ALNUM_LOWER).split()
+                for i in range(0, max(1, len(w) - n + 1) if w else 0, PIECE_WORDS):
+                    out.append((name, b" ".join(w[i : i + PIECE_WORDS + n - 1])))
+            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in out], pa.string()), pa.array([x for _, x in out], pa.binary())], ["item", "words"])
 
-def scan(docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_id: str = "item_id", item_text: str = "text", n: int = N, max_part_bytes: int = MAX_PART_BYTES) -> DataFrame:
-    """``docs`` with ``_scan``: n_words, n_hit, items (ids as strings, sorted) and hit byte spans.
+    return benchmark.select(column(item_id).cast("string"), column(text)).mapInArrow(run, "item string, words binary")
 
-    An item of fewer than n words, but not none, is one window.  Null texts have no words; a null
-    item text gives no window; a window of an item with a null id is hit but names no item.  An
-    empty benchmark hits nothing.  Columns of ``docs`` pass through; equal rows stay separate.
-    """
-    spark = docs.sparkSession
-    sets = [spark.sparkContext.broadcast(NgramSet(part, n)) for part in _parts(benchmark, item_id, item_text, max_part_bytes)]
-    names = docs.columns
-    out = docs.withColumn("_scan", F.lit(None).cast(SCAN)).schema
-    at = names.index(text)
-    kind = pa.struct([("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.string())), ("spans", pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())])))])
+
+def _spans(b: Block, d: int, hit: np.ndarray) -> list[dict]:
+    """The byte spans of the runs of hit words of text d."""
+    i, j = b.first[d], b.first[d + 1]
+    edge = np.diff(np.concatenate([[0], hit[i:j].astype(np.int8), [0]]))
+    return [{"lo": int(b.s[i + x] - b.at[d]), "hi": int(b.e[i + y - 1] - b.at[d])} for x, y in zip(np.flatnonzero(edge == 1), np.flatnonzero(edge == -1))]
+
+
+def _scanned(docs: DataFrame, text: str, out: str, sent) -> DataFrame:
+    """``docs`` with ``out``, from one part that was broadcast."""
+    names, at = docs.columns, docs.columns.index(text)
 
     def run(batches):
         for batch in batches:
             rows = []
             for _, _, b in blocks(bytes_of(batch.column(at)), ALNUM_LOWER):
-                hit, items = np.zeros(len(b.s), bool), [set() for _ in b.count]
-                for s in sets:
-                    more, which = s.value.find(b)
-                    hit |= more
-                    items = [x | y for x, y in zip(items, which)]
+                hit, items = sent.value.find(b)
                 total = np.concatenate([[0], np.cumsum(hit)])
                 for d, k in enumerate(b.count):
-                    i, j = b.first[d], b.first[d + 1]
-                    spans = []
-                    if n_hit := int(total[j] - total[i]):
-                        edge = np.diff(np.concatenate([[0], hit[i:j].astype(np.int8), [0]]))
-                        spans = [{"lo": int(b.s[i + x] - b.at[d]), "hi": int(b.e[i + y - 1] - b.at[d])} for x, y in zip(np.flatnonzero(edge == 1), np.flatnonzero(edge == -1))]
-                    rows.append({"n_words": int(k), "n_hit": n_hit, "items": sorted(items[d]), "spans": spans})
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rows, kind)], [*names, "_scan"])
+                    n_hit = int(total[b.first[d + 1]] - total[b.first[d]])
+                    rows.append({"n_words": int(k), "n_hit": n_hit, "items": sorted(items[d]), "spans": _spans(b, d, hit) if n_hit else []})
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rows, KIND)], [*names, out])
 
-    return docs.mapInArrow(run, out)
+    return docs.mapInArrow(run, docs.withColumn(out, F.lit(None).cast(SCAN)).schema)
+
+
+def _merged(docs: DataFrame, text: str, out: str, found: DataFrame) -> DataFrame:
+    """``docs`` with ``out``, from the parts' findings (th, items, spans) by digest of the text."""
+    by_text = found.groupBy("th").agg(F.sort_array(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.flatten(F.collect_list("spans")).alias("spans"))
+    names = docs.columns
+    key, items, spans = (free_name(names, x) for x in ("th", "items", "spans"))
+    joined = docs.join(by_text.select(F.col("th").alias(key), F.col("items").alias(items), F.col("spans").alias(spans)), F.md5(column(text)) == F.col(key), "left").select(*map(column, names), items, spans)
+    at = names.index(text)
+
+    def run(batches):
+        for batch in batches:
+            rows, which, where = [], batch.column(len(names)).to_pylist(), batch.column(len(names) + 1).to_pylist()
+            for lo, _, b in blocks(bytes_of(batch.column(at)), ALNUM_LOWER):
+                hit = np.zeros(len(b.s) + 1, np.int64)
+                for d in range(len(b.count)):
+                    for x in where[lo + d] or []:
+                        hit[np.searchsorted(b.s, b.at[d] + x["lo"])] += 1
+                        hit[np.searchsorted(b.e, b.at[d] + x["hi"]) + 1] -= 1
+                hit = np.cumsum(hit[:-1]) > 0
+                rows += [{"n_words": int(k), "n_hit": int(hit[b.first[d] : b.first[d + 1]].sum()), "items": which[lo + d] or [], "spans": _spans(b, d, hit)} for d, k in enumerate(b.count)]
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(rows, KIND)], [*names, out])
+
+    return joined.mapInArrow(run, docs.withColumn(out, F.lit(None).cast(SCAN)).schema)
+
+
+def scan(docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_id: str = "item_id", item_text: str = "text", n: int = N, max_part_bytes: int = MAX_PART_BYTES, out: str = "scan") -> DataFrame:
+    """``docs`` with ``out``: n_words, n_hit, items (ids as strings, sorted) and hit byte spans.
+
+    An item of fewer than n words, but not none, is one window.  Null texts have no words; a null
+    item text gives no window; a window of an item with a null id is hit but names no item.  An
+    empty benchmark hits nothing.  Columns of ``docs`` pass through, but for one named as ``out``,
+    which is replaced; equal rows stay separate.
+    """
+    docs = docs.drop(out)
+    pieces = cut_table(_pieces(benchmark, item_id, item_text, n))
+    size = pieces.agg(F.sum(F.octet_length("words"))).first()[0] or 0
+    parts = -(-size // max_part_bytes) or 1
+    dealt = pieces.withColumn("p", F.pmod(F.xxhash64("words", "item"), F.lit(parts)))
+    fetch = lambda p: docs.sparkSession.sparkContext.broadcast(NgramSet([(r["item"], bytes(r["words"])) for r in dealt.where(F.col("p") == p).toLocalIterator()], n))
+    if parts == 1:
+        return _scanned(docs, text, out, fetch(0))
+    found = None
+    texts = docs.select(column(text).alias("text"))
+    for p in range(parts):
+        sent = fetch(p)
+        hits = _scanned(texts, "text", "s", sent).where("s.n_hit > 0").select(F.md5("text").alias("th"), "s.items", "s.spans").dropDuplicates(["th"])
+        hits = cut_table(hits)
+        sent.destroy()
+        found = hits if found is None else found.union(hits)
+    return _merged(docs, text, out, found)
 
 
 def digest(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """One row per document: counts, the sorted item ids' digest, and whether it is contaminated."""
+    """One row per document: counts, the sorted item ids' digest, and whether it is contaminated; nulls and repeats as in ``scan``."""
     s = scan(docs.select("doc_id", "text"), benchmark, **options)
-    listed = F.array_join("_scan.items", ",")
-    return s.select("doc_id", F.col("_scan.n_words").alias("n_words"), F.col("_scan.n_hit").alias("n_hit"), F.size("_scan.items").cast("long").alias("n_items"), F.sha2(listed, 256).alias("items_sha256"), (F.col("_scan.n_hit") > 0).alias("contaminated"))
+    listed = F.array_join("scan.items", ",")
+    return s.select("doc_id", F.col("scan.n_words").alias("n_words"), F.col("scan.n_hit").alias("n_hit"), F.size("scan.items").cast("long").alias("n_items"), F.sha2(listed, 256).alias("items_sha256"), (F.col("scan.n_hit") > 0).alias("contaminated"))
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, *, mode: str = "drop", text: str = "text", **options) -> DataFrame:
-    """``docs`` without contamination, with the same columns.
+    """``docs`` without contamination, with the same columns, whatever their names.
 
     ``drop`` removes contaminated documents; ``spans`` cuts the hit words out of their texts and
-    keeps every document.
+    keeps every document.  Nulls and repeats as in ``scan``.
     """
-    s = scan(docs, benchmark, text=text, **options)
-    if mode == "drop":
-        return s.where("_scan.n_hit = 0").drop("_scan")
-    if mode != "spans":
+    if mode not in ("drop", "spans"):
         raise ValueError(f"mode {mode!r}")
-    raw = F.encode(F.col(text), "utf-8")
+    out = free_name(docs.columns, "scan")
+    s, got = scan(docs, benchmark, text=text, out=out, **options), F.col(out)
+    if mode == "drop":
+        return s.where(got["n_hit"] == 0).drop(out)
+    raw = F.encode(column(text), "utf-8")
     pieces = F.transform(
-        F.arrays_zip(F.concat(F.array(F.lit(0)), F.col("_scan.spans.hi")).alias("a"), F.concat(F.col("_scan.spans.lo"), F.array(F.octet_length(text))).alias("b")),
+        F.arrays_zip(F.concat(F.array(F.lit(0)), got["spans"]["hi"]).alias("a"), F.concat(got["spans"]["lo"], F.array(F.octet_length(column(text)))).alias("b")),
         lambda z: F.decode(F.substring(raw, z["a"] + 1, z["b"] - z["a"]), "utf-8"),
     )
-    return s.withColumn(text, F.when(F.size("_scan.spans") > 0, F.array_join(pieces, "")).otherwise(F.col(text))).drop("_scan")
+    return s.withColumn(text, F.when(F.size(got["spans"]) > 0, F.array_join(pieces, "")).otherwise(column(text))).drop(out)

@@ -28,9 +28,11 @@ HEAD_CLASSES, HEAD_SIZE = 16, 32
 TAIL_CLASSES = 24
 WINDOW = 24
 PASSES, ROUNDS = 3, 4
-LANES = 64
+LANES = 256
 CHUNK = 1 << 20  # tokens learnt from or scored at once; a longer document is a chunk of its own
-BATCH_BYTES = 24 << 20
+#: Texts that ask for their counts together, and such batches in a task.
+BATCH_BYTES, BATCHES_A_TASK = 8 << 20, 4
+POOL = 1 << 19  # hashes that are held before they are made distinct
 END = np.int64(0)
 END_HASH = U64(0x1234567)
 KIND = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
@@ -75,15 +77,25 @@ class Network:
         head = x < HEAD_CLASSES * HEAD_SIZE
         return np.where(head, x // HEAD_SIZE, x - HEAD_CLASSES * HEAD_SIZE + HEAD_CLASSES), np.where(head, x % HEAD_SIZE, 0)
 
-    def step(self, x: np.ndarray, h: np.ndarray):
+    def step(self, x: np.ndarray, h: np.ndarray, g: np.ndarray | None = None):
+        """The next state and the gates; ``g``: what the words give to the gates, if that is known already."""
         d, p = self.d, self.p
-        g = p["E"][x] + p["b"]
-        a = g[:, : 2 * d] + h @ p["U"]
+        g = p["E"][x] + p["b"] if g is None else g
+        a = h @ p["U"]
+        a += g[:, : 2 * d]
+        np.negative(a, out=a)
         np.clip(a, -30, 30, out=a)
-        zr = 1 / (1 + np.exp(-a))
-        z, r = zr[:, :d], zr[:, d:]
-        n = np.tanh(g[:, 2 * d :] + (r * h) @ p["V"])
-        return h + z * (n - h), z, r, n
+        np.exp(a, out=a)
+        a += 1
+        np.reciprocal(a, out=a)
+        z, r = a[:, :d], a[:, d:]
+        n = (r * h) @ p["V"]
+        n += g[:, 2 * d :]
+        np.tanh(n, out=n)
+        new = n - h
+        new *= z
+        new += h
+        return new, z, r, n
 
     def outputs(self, h: np.ndarray, cls: np.ndarray, item: np.ndarray, grad: dict | None = None):
         """Natural log-probability of class and, in head classes, word; with ``grad`` also the gradient of the loss at h."""
@@ -97,8 +109,9 @@ class Network:
             grad["C"] += h.T @ q
             grad["c"] += q.sum(axis=0)
             dh = q @ p["C"].T
-        order = np.argsort(cls, kind="stable")
-        ends = np.searchsorted(cls[order], np.arange(HEAD_CLASSES + 1))
+        small = cls.astype(np.uint8)  # sorted by radix
+        order = np.argsort(small, kind="stable")
+        ends = np.searchsorted(small[order], np.arange(HEAD_CLASSES + 1, dtype=np.uint8))
         for c in range(HEAD_CLASSES):
             at = order[ends[c] : ends[c + 1]]
             if not len(at):
@@ -118,20 +131,24 @@ class Network:
         """Loss, gradients and last state of one window (time, lanes); ``live`` marks real words; the gradient stops at the window's start."""
         d, p = self.d, self.p
         grad = {k: np.zeros_like(v) for k, v in p.items()}
-        past, kept = [h], []
+        past, kept, whole = [h], [], live.all()
+        given = p["E"][x] + p["b"]
         for t in range(len(x)):
-            new, z, r, n = self.step(x[t], h)
-            h = np.where(live[t][:, None], new, h)
+            new, z, r, n = self.step(x[t], h, given[t])
+            h = new if whole else np.where(live[t][:, None], new, h)
             past.append(h)
             kept.append((z, r, n))
         m = live.ravel()
         # Word t is predicted from the state before it is read.
         before = np.concatenate(past[:-1])
-        logp, dh_out = self.outputs(before[m], cls.ravel()[m], item.ravel()[m], grad)
-        full = np.zeros_like(before)
-        full[m] = dh_out
+        if whole:
+            logp, full = self.outputs(before, cls.ravel(), item.ravel(), grad)
+        else:
+            logp, dh_out = self.outputs(before[m], cls.ravel()[m], item.ravel()[m], grad)
+            full = np.zeros_like(before)
+            full[m] = dh_out
         full = full.reshape(len(x), -1, d)
-        dh, whole = np.zeros_like(h), live.all()
+        dh = np.zeros_like(h)
         gates, reset = np.zeros((*x.shape, 3 * d), h.dtype), np.zeros((*x.shape, d), h.dtype)
         for t in reversed(range(len(x))):
             z, r, n = kept[t]
@@ -150,7 +167,7 @@ class Network:
         grad["V"] += reset.reshape(-1, d).T @ gates[:, 2 * d :]
         grad["U"] += before.T @ gates[:, : 2 * d]
         grad["b"] += gates.sum(axis=0)
-        o = np.argsort(rows, kind="stable")
+        o = np.argsort(rows.astype(np.uint16), kind="stable")
         at = np.flatnonzero(np.diff(rows[o], prepend=-1))
         grad["E"][rows[o][at]] += np.add.reduceat(gates[o], at, axis=0)
         return -logp.sum(), int(m.sum()), grad, h
@@ -302,15 +319,21 @@ def _ask(dealt: DataFrame) -> DataFrame:
     """(batch, h): the distinct tokens of each batch; a batch is in one task, and all columns stay, so that its texts are shuffled once."""
 
     def run(batches):
-        pool: dict[int, np.ndarray] = {}
+        pool: dict[int, list[np.ndarray]] = {}
         for batch in batches:
             lots = batch.column("batch").to_numpy()
             for lo, hi, b in blocks(bytes_of(batch.column("text")), BLANK_LOWER):
                 h, first = _tokens(b)
                 lot = np.repeat(lots[lo:hi], np.diff(first))
-                for x in np.unique(lots[lo:hi]):
-                    pool[int(x)] = np.union1d(pool.get(int(x), np.empty(0, U64)), h[lot == x])
-        for x, u in pool.items():
+                order = np.argsort(lot, kind="stable")
+                h, names, at = h[order], *np.unique(lot[order], return_index=True)
+                for x, part in zip(names.tolist(), np.split(h, at[1:])):
+                    held = pool.setdefault(x, [])
+                    held.append(np.unique(part))
+                    if sum(map(len, held)) > POOL + 2 * len(held[0]):
+                        pool[x] = [np.unique(np.concatenate(held))]
+        for x, held in pool.items():
+            u = np.unique(np.concatenate(held))
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(u), x, np.int32)), pa.array(u.view(np.int64))], ["batch", "h"])
 
     return dealt.mapInArrow(run, "batch int, h long")
@@ -335,7 +358,7 @@ def encode(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, *, batch_
     """Every row with its tokens as input rows of the network, two bytes each, and what counts alone tell: n_known, base_score, and the fixed shares inside tail classes."""
     size = docs.agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + 8)).first()[0] or 1
     lots = max(1, -(-size // batch_bytes))
-    dealt = docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text", F.pmod(F.xxhash64("doc_id", "text"), F.lit(lots)).cast("int").alias("batch")).repartition(int(lots), "batch")
+    dealt = docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text", F.pmod(F.xxhash64("doc_id", "text"), F.lit(lots)).cast("int").alias("batch")).repartition(max(1, int(lots) // BATCHES_A_TASK), "batch")
     asked = _ask(dealt).join(counts, "h").select("batch", "h", "n")
     sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
@@ -346,8 +369,8 @@ def encode(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, *, batch_
         h, n = h[o], n[o]
         out = []
         for batch in left.to_batches():
-            texts = bytes_of(batch.column("text"))
-            for lo, hi, b in blocks(texts, BLANK_LOWER, 8 << 20):
+            null = batch.column("text").is_null().to_numpy(zero_copy_only=False)
+            for lo, hi, b in blocks(bytes_of(batch.column("text")), BLANK_LOWER):
                 t, first = _tokens(b)
                 c = _lookup(h, n, t)
                 cls, item, share = vocabulary.place(t, c)
@@ -358,7 +381,7 @@ def encode(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, *, batch_
                 add = lambda v: np.bincount(doc, v, hi - lo)
                 raw = x.astype("<u2").tobytes()
                 out.append(pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id").slice(lo, hi - lo), batch.column("held_out").slice(lo, hi - lo), pa.array([not z and y is not None for z, y in zip(batch.column("held_out").slice(lo, hi - lo).to_pylist(), texts[lo:hi])], pa.bool_()),
+                    [batch.column("doc_id").slice(lo, hi - lo), batch.column("held_out").slice(lo, hi - lo), pa.array([not z and not y for z, y in zip(batch.column("held_out").slice(lo, hi - lo).to_pylist(), null[lo:hi])], pa.bool_()),
                      pa.array(np.diff(first).astype(np.int64)), pa.array(add(c > 0).astype(np.int64)), pa.array(add(vocabulary.base(c))), pa.array(add(share)), pa.array([raw[2 * i : 2 * j] for i, j in zip(first[:-1], first[1:])], pa.binary())],
                     ["doc_id", "held_out", "learnt", "n_tokens", "n_known", "base_score", "fixed", "tokens"],
                 ))

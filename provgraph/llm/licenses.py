@@ -13,6 +13,8 @@ from re._parser import parse
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.columns import column, free_name
+
 #: The phrases that always count, and their labels.
 BASE = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
 
@@ -195,7 +197,7 @@ def detect(docs: DataFrame, *, text: str = "text", extra: list[Rule] | None = No
     """``docs`` with _norm and detections: array of (s, e, rule, label, priority, confidence), after suppression.
 
     Positions are characters of the normal form.  Null texts have none; each input row gives one
-    output row, so repeated rows and clashing ids don't matter.  Without ``gated`` all rules are tried on
+    output row, so repeated rows and clashing ids don't matter; columns named as the added ones are replaced.  Without ``gated`` all rules are tried on
     all texts, with the same detections.
     """
     families: dict[tuple[str, ...], list[Rule]] = {}
@@ -217,12 +219,13 @@ def detect(docs: DataFrame, *, text: str = "text", extra: list[Rule] | None = No
         wider = (e["e"] - e["s"]) - (d["e"] - d["s"])
         return (e["s"] <= d["s"]) & (e["e"] >= d["e"]) & ((e["priority"] > d["priority"]) | ((e["priority"] == d["priority"]) & ((wider > 0) | ((wider == 0) & (e["rule"] < d["rule"])))))
 
-    out = docs.withColumn("_norm", normal(F.col(text))).withColumn("_all", F.when(gate, found).otherwise(empty))
-    return out.withColumn("detections", F.filter("_all", lambda d: ~F.exists("_all", lambda e: covers(e, d)))).drop("_all")
+    every_one = free_name(docs.columns, "_all")
+    out = docs.withColumn("_norm", normal(column(text))).withColumn(every_one, F.when(gate, found).otherwise(empty))
+    return out.withColumn("detections", F.filter(every_one, lambda d: ~F.exists(every_one, lambda e: covers(e, d)))).drop(every_one)
 
 
 def digest(docs: DataFrame, **options) -> DataFrame:
-    """Words, base places and labels of every document."""
+    """Words, base places and labels of every document; a null text is an empty one, equal rows stay separate, an empty table stays empty."""
     d = detect(docs.select("doc_id", "text"), **options)
     pattern = EDGE[0] + "(?:" + "|".join(BASE) + ")" + EDGE[1]
     some = F.lit(False)

@@ -14,6 +14,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.columns import column, packed, unpacked
 from provgraph.functions.ranking import salted_join
 from provgraph.llm import bloom
 from provgraph.llm.words import U64, bytes_of
@@ -73,14 +74,17 @@ def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text",
 
     A null or empty text is one empty line.  Documents with a null id keep all lines and count
     nowhere.  Rows with one id and one text are one document given several times: each loses the
-    same lines.  An empty table gives an empty table.
+    same lines.  An empty table gives an empty table.  Columns of the same name as an added one are
+    replaced by it.
     """
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
-    lost = mark_repeats(base, **options).select(F.col("doc_id").alias("_id"), F.col("th").alias("_th"), "lines")
-    lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n", -1)
-    joined = docs.join(lost, (F.col(id_col) == F.col("_id")) & (F.xxhash64(text) == F.col("_th")), "left")
-    kept = F.when(F.col("lines").isNull(), F.coalesce(F.col(text), F.lit(""))).otherwise(F.array_join(F.filter(lines, lambda x, i: ~F.array_contains("lines", i)), "\n"))
-    return joined.withColumns({"n_lines": F.size(lines).cast("long"), "n_dropped": F.when(F.col("lines").isNull(), 0).otherwise(F.size("lines")).cast("long"), "kept_text": kept}).drop("_id", "_th", "lines")
+    base = docs.select(column(id_col).cast("long").alias("doc_id"), column(text).alias("text"), F.xxhash64(column(text)).alias("th"))
+    lost = mark_repeats(base, **options).select(F.col("doc_id").alias("id2"), F.col("th").alias("th2"), "lines")
+    rows = packed(docs, id=column(id_col).cast("long"), th=F.xxhash64(column(text)))
+    said = F.coalesce(F.col("row").getField(text), F.lit(""))
+    lines = F.split(said, "\n", -1)
+    joined = rows.join(lost, (F.col("id") == F.col("id2")) & (F.col("th") == F.col("th2")), "left")
+    kept = F.when(F.col("lines").isNull(), said).otherwise(F.array_join(F.filter(lines, lambda x, i: ~F.array_contains("lines", i)), "\n"))
+    return unpacked(joined, docs.columns, n_lines=F.size(lines).cast("long"), n_dropped=F.when(F.col("lines").isNull(), 0).otherwise(F.size("lines")).cast("long"), kept_text=kept)
 
 
 def digest(docs: DataFrame, **options) -> DataFrame:

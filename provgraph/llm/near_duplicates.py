@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.columns import column, free_name
 from provgraph.functions.durable import cut_table
 from provgraph.llm.words import BLANK_LOWER, U64, blocks, bytes_of, mix
 from provgraph.operators.components import connected
@@ -146,7 +147,7 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
     null texts, have empty sets and link with nothing.  Rows with a null id have a null component
     unless they share one with rows that have an id.  Equal rows stay separate rows.
     """
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
+    base = docs.select(column(id_col).cast("long").alias("doc_id"), column(text).alias("text"), F.xxhash64(column(text)).alias("th"))
     signed = cut_table(base.mapInArrow(lambda batches: _signed(batches, shingle), "doc_id long, th long, n long, fp binary, sig binary, keys array<bigint>"))
     best = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "th"))
     groups = signed.where("n > 0").groupBy("fp").agg(best.alias("b"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("keys").alias("keys"))
@@ -211,6 +212,9 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
                 keep[b[here]] = True
         return pdf.loc[keep, ["key", "i", "j", "own", "fp", "comp", "th", "min_id"]]
 
+    # Dealt by block: rows that came by key would bring all blocks of a key to one task.
+    tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = dealt.repartition(tasks, "key", "i", "j")
     open_rows = cut_table(dealt.groupBy("key", "i", "j").applyInPandas(unsettled, "key long, i int, j int, own int, fp binary, comp long, th long, min_id long"))
     if not open_rows.isEmpty():
         more = _sets_of(base, open_rows.select("fp", "th", "min_id").distinct(), shingle).select(F.col("fp").alias("f"), "items")
@@ -229,7 +233,7 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
                     comp[comp == c] = comp[a]
             return pd.DataFrame(out, columns=["src", "dst"])
 
-        late = rows.groupBy("key", "i", "j").applyInPandas(settle, "src binary, dst binary")
+        late = rows.repartition(tasks, "key", "i", "j").groupBy("key", "i", "j").applyInPandas(settle, "src binary, dst binary")
         comp = cut_table(connected(links.union(late)))
 
     named = groups.join(comp, F.col("fp") == F.col("node"), "left").select(F.col("fp").alias("_fp"), "min_id", F.coalesce("component", "fp").alias("comp"))
@@ -241,6 +245,7 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
 
 
 def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """``docs`` with one document of each near-duplicate group: the one with the smallest id."""
-    found = near_duplicates(docs, id_col=id_col, text=text, **options).where("not kept").select("doc_id").distinct()
-    return docs.join(found.withColumnRenamed("doc_id", "_gone"), F.col(id_col) == F.col("_gone"), "left_anti")
+    """``docs`` with one document of each near-duplicate group: the one with the smallest id; same columns, whatever their names."""
+    gone = free_name(docs.columns, "gone")
+    found = near_duplicates(docs, id_col=id_col, text=text, **options).where("not kept").select(F.col("doc_id").alias(gone)).distinct()
+    return docs.join(cut_table(found), column(id_col).cast("long") == F.col(gone), "left_anti")

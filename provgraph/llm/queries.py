@@ -45,10 +45,14 @@ def op8_substring_dedup(spark, d):
     return substring_dedup.digest(table(spark, d, "documents"))
 
 
+#: Target weights of the mix by source; every other source has OTHER.
+TARGETS = {"src0": "0.2", "src1": "0.12", "src2": "0.08"}
+OTHER = "0.02"
+
+
 def op9_pfair_mix(spark, d):
-    docs = table(spark, d, "documents")
-    out = pfair.mix(docs.select("doc_id", "source", F.crc32(F.encode(F.coalesce("text", F.lit("")), "utf-8")).alias("text_crc32")))
-    return out.select("doc_id", "source", "block", "pos", "release", "deadline", "slot")
+    docs = table(spark, d, "documents").select("doc_id", "source", F.md5(F.coalesce("text", F.lit(""))).alias("text_md5"))
+    return pfair.mix(docs, TARGETS, other=OTHER, spread=["doc_id"])
 
 
 def op10_nnpu_toxicity(spark, d):
@@ -110,5 +114,19 @@ select d.doc_id, len(w)::bigint n_words, (len(w) - coalesce(k.n, 0))::bigint n_r
 """
 
 
+#: The earliest-deadline schedule slot by slot; ``a`` counts each source's blocks so far.
+_OP9 = """
+with recursive lots as (select coalesce('s:' || source, 'null') lot, any_value(case source when 'src0' then 10 when 'src1' then 6 when 'src2' then 4 else 1 end)::bigint w from documents group by 1),
+g as (select list(lot order by lot) ls, list(w order by lot) ws, list_sum(list(w))::bigint d from lots),
+r(t, a, pick) as (select 0::bigint, list_transform(ws, lambda x: 0::bigint), 0::bigint from g
+ union all select t + 1, list_transform(range(1, len(ws) + 1), lambda k: a[k] + (case when k = p then 1 else 0 end)::bigint), p
+ from (select t, a, ws, d, list_min(list_transform(list_filter(range(1, len(ws) + 1), lambda k: a[k] * d // ws[k] <= t), lambda k: struct_pack(due := ((a[k] + 1) * d + ws[k] - 1) // ws[k], k := k))).k p from r, g where t < d)),
+s as (select ls[pick] lot, t - 1 at, row_number() over (partition by pick order by t) - 1 j from r, g where t > 0),
+n as (select doc_id, source, coalesce('s:' || source, 'null') lot, row_number() over (partition by source order by md5(coalesce(doc_id::varchar, ''))) - 1 p, md5(coalesce(text, '')) text_md5 from documents)
+select n.doc_id, n.source, text_md5, p // 16 block, (p % 16)::int pos, p // 16 * d // w as release, ((p // 16 + 1) * d + w - 1) // w deadline, p // 16 // w * d + s.at slot
+from n join lots using (lot) cross join g join s on s.lot = n.lot and s.j = p // 16 % w
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_decontaminate": _OP2, "op3_near_duplicates": _OP3, "op7_line_dedup": _OP7, "op8_substring_dedup": _OP8}
+    return {"op2_decontaminate": _OP2, "op3_near_duplicates": _OP3, "op7_line_dedup": _OP7, "op8_substring_dedup": _OP8, "op9_pfair_mix": _OP9}

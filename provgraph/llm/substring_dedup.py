@@ -3,12 +3,13 @@
 Every window of 50 words belongs to the least-hashed group of 8 words in it (its minimizer), so
 equal windows always share a minimizer, and a run of windows with one minimizer is one passage.
 1. Two Bloom filters find minimizers that may be in two documents.
-2. Passages of such minimizers are dealt to shards by minimizer; equal passages meet first and keep
-   only their smallest doc_id.  A minimizer with very many different passages is cut into single
-   windows, dealt by their own words, so that no shard grows with one hot passage.
+2. Passages of such minimizers are dealt to shards by minimizer; equal passages are combined first, with
+   their smallest doc_id.  The passages of a minimizer that has very many different ones are cut again, by
+   the least group in a second order of hashes, and where that isn't enough into single windows, so that
+   no shard grows with one hot minimizer.
 3. Each shard builds a compressed index of its passages and streams them through it: where the
    matching statistic reaches the window, the least doc_id of the match is known.
-4. Documents with a larger doc_id lose the words of those windows.
+4. Documents with a larger doc_id lose the words of those windows, reported as intervals.
 """
 from __future__ import annotations
 
@@ -20,16 +21,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.columns import column
 from provgraph.functions.durable import cut, cut_table
 from provgraph.llm import bloom
 from provgraph.llm.fm_index import FMIndex
-from provgraph.llm.words import BLANK, U64, blocks, bytes_of, window_hashes
+from provgraph.llm.words import BLANK, U64, Block, blocks, bytes_of, mix, window_hashes
 
 WINDOW = 50
 SEED_WORDS = 8
-SHARD_BYTES = 1 << 20
-HOT_PASSAGES = 10_000
+SHARD_BYTES = 1 << 19
+HOT_PASSAGES = 2_000
 OUT_ROWS = 500
+#: The second order of hashes.
+SALT = 0x2545F4914F6CDD1D
 
 
 def _minima(h: np.ndarray, width: int) -> np.ndarray:
@@ -44,9 +48,11 @@ def _minima(h: np.ndarray, width: int) -> np.ndarray:
     return np.where(best[off : off + n] < best[:n], place[off : off + n], place[:n])
 
 
-def passages(b, window: int, seed: int):
-    """(text, minimizer, first word, number of windows) of each run of windows with one minimizer, as arrays."""
+def passages(b, window: int, seed: int, salt: int = 0):
+    """(text, minimizer, first word, number of windows) of each run of windows with one minimizer, as arrays; ``salt`` gives another order of hashes."""
     h = window_hashes(b.hashes(), seed)
+    if salt:
+        h = mix(h ^ U64(salt))
     span = window - seed + 1
     if len(h) < span:
         return (np.empty(0, np.int64),) * 4
@@ -113,45 +119,52 @@ def repeats(docs: DataFrame, *, window: int = WINDOW, seed: int = SEED_WORDS, bi
     seed = min(seed, window)
     occ, said = _suspects(docs.where("doc_id is not null"), window, seed, bits)
     occ = cut_table(occ)
+    said = said.groupBy("seed", "ch").agg(F.min("doc_id").alias("owner"), F.first("content").alias("content"))
     # Different passages per minimizer, counted without their words.
     per_seed = occ.groupBy("seed", "ch").agg(F.first("size").alias("size")).groupBy("seed").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("size"))
-    hot_seeds = cut(per_seed.where(F.col("n") > hot).select(F.col("seed").alias("s"), "size"))
-    total = occ.agg(F.sum("size")).first()[0] or 0
-    n_hot, hot_size = hot_seeds.agg(F.count(F.lit(1)), F.sum("size")).first()
-    shards = max(1, -(-(total + 30 * (hot_size or 0)) // shard_bytes))
-    met = lambda rows: rows.groupBy("seed", "ch").agg(F.min("doc_id").alias("owner"), F.first("content").alias("content"))
-    is_hot = F.col("seed") == F.col("s")
-
-    def windows_of(rows):
+    firsts = _resolve(said, per_seed, window, seed, shard_bytes, hot, 1).select(F.col("ch").alias("c"), "firsts")
+    late = occ.select("doc_id", "th", "at", "ch").join(cut_table(firsts), F.col("ch") == F.col("c")).select("doc_id", "th", F.filter(F.transform("firsts", lambda f, i: F.when(f < F.col("doc_id"), F.col("at") + i)), lambda x: x.isNotNull()).alias("starts"))
+    return late.where(F.size("starts") > 0).groupBy("doc_id", "th").agg(F.flatten(F.collect_list("starts")).alias("starts"))
+
+
+def _resolve(said: DataFrame, per_seed: DataFrame, window: int, seed: int, shard_bytes: int, hot: int, level: int) -> DataFrame:
+    """(ch, firsts) of the different passages (seed, ch, owner, content): the least owner of each window, by the shards' indexes.
+
+    ``per_seed``: number and bytes of each seed's passages.  Those of hot seeds are cut smaller for the next level; single windows are the last.
+    """
+    is_hot = (F.col("n") > hot) if level < 3 else F.lit(False)
+    hot_seeds = cut(per_seed.where(is_hot).select(F.col("seed").alias("s")))
+    total = per_seed.where(~is_hot).agg(F.sum("size")).first()[0] or 0
+    shards = max(1, -(-total // shard_bytes))
+    some = hot_seeds.isEmpty()
+    plain = said if some else said.join(_small(hot_seeds), F.col("seed") == F.col("s"), "left_anti")
+    dealt = plain.select("ch", "owner", "content", F.pmod(F.xxhash64("seed"), F.lit(int(shards))).alias("shard"))
+    firsts = dealt.groupBy("shard").applyInPandas(lambda pdf: search_shard(pdf, window), "ch binary, firsts array<bigint>")
+    if some:
+        return firsts
+
+    def smaller(rows):
         for pdf in rows:
             out = []
-            for ch, owner, content in zip(pdf["ch"], pdf["owner"], pdf["content"]):
+            for ch, owner, content, old in zip(pdf["ch"], pdf["owner"], pdf["content"], pdf["seed"]):
                 w = content.split()
-                for i in range(len(w) - window + 1):
-                    one = b" ".join(w[i : i + window])
-                    out.append((ch, owner, i, one, hashlib.md5(one).digest()))
-            yield pd.DataFrame(out, columns=["ch", "owner", "i", "content", "wh"])
-
-    def find(pdf: pd.DataFrame) -> pd.DataFrame:
-        return search_shard(pdf, window)
-
-    def by_shard(rows: DataFrame, key) -> DataFrame:
-        dealt = rows.withColumn("shard", F.pmod(key, F.lit(int(shards))))
-        return dealt.groupBy("shard").applyInPandas(lambda pdf: find(pdf), "ch binary, firsts array<bigint>")
-
-    if not n_hot:
-        firsts = by_shard(met(said).select("ch", "owner", "content", "seed"), F.xxhash64("seed"))
-    else:
-        plain = met(said.join(_small(hot_seeds), is_hot, "left_anti"))
-        plain = by_shard(plain.select("ch", "owner", "content", "seed"), F.xxhash64("seed"))
-        cuts = met(said.join(_small(hot_seeds), is_hot, "left_semi")).mapInPandas(windows_of, "ch binary, owner long, i int, content binary, wh binary")
-        once = cuts.groupBy(F.col("wh").alias("ch")).agg(F.min("owner").alias("owner"), F.first("content").alias("content"))
-        found = by_shard(once, F.xxhash64("ch")).select(F.col("ch").alias("w"), F.col("firsts")[0].alias("first"))
-        back = cuts.select("ch", "i", "wh").join(found, F.col("wh") == F.col("w")).groupBy("ch").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "first"))), lambda x: x["first"]).alias("firsts"))
-        firsts = plain.unionByName(back)
-    firsts = firsts.select(F.col("ch").alias("c"), "firsts")
-    late = occ.select("doc_id", "th", "at", "ch").join(firsts, F.col("ch") == F.col("c")).select("doc_id", "th", F.filter(F.transform("firsts", lambda f, i: F.when(f < F.col("doc_id"), F.col("at") + i)), lambda x: x.isNotNull()).alias("starts"))
-    return late.where(F.size("starts") > 0).groupBy("doc_id", "th").agg(F.flatten(F.collect_list("starts")).alias("starts"))
+                if level == 1:
+                    _, m, at, n = passages(Block([content], BLANK), window, seed, SALT)
+                    cuts = [(int(k) ^ old & 0xFFFFFFFFFFFFFFFF, int(i), int(c)) for k, i, c in zip(m, at, n)]
+                else:
+                    cuts = [(None, i, 1) for i in range(len(w) - window + 1)]
+                for key, i, c in cuts:
+                    one = b" ".join(w[i : i + c + window - 1])
+                    d = hashlib.md5(one).digest()
+                    out.append((ch, owner, i, one, d, np.uint64(key if key is not None else int.from_bytes(d[:8], "big")).astype(np.int64)))
+            yield pd.DataFrame(out, columns=["ch", "owner", "i", "content", "sub", "seed"])
+
+    cuts = cut_table(said.join(_small(hot_seeds), F.col("seed") == F.col("s"), "left_semi").select("ch", "owner", "content", "seed").mapInPandas(smaller, "ch binary, owner long, i int, content binary, sub binary, seed long"))
+    once = cuts.groupBy("seed", F.col("sub").alias("ch")).agg(F.min("owner").alias("owner"), F.first("content").alias("content"))
+    sizes = cuts.groupBy("seed", "sub").agg(F.first(F.octet_length("content")).alias("size")).groupBy("seed").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("size"))
+    found = _resolve(once, cut_table(sizes), window, seed, shard_bytes, hot, level + 1).select(F.col("ch").alias("w"), F.col("firsts").alias("got"))
+    back = cuts.select("ch", "i", "sub").join(cut_table(found), F.col("sub") == F.col("w")).groupBy("ch").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("i", "got"))), lambda x: x["got"])).alias("firsts"))
+    return firsts.unionByName(back)
 
 
 def _small(df: DataFrame, rows: int = 100_000) -> DataFrame:
@@ -160,42 +173,48 @@ def _small(df: DataFrame, rows: int = 100_000) -> DataFrame:
 
 
 def dedup_substrings(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", window: int = WINDOW, columns: list[str] | None = None, **options) -> DataFrame:
-    """``docs`` (or only its ``columns``) with n_words, n_removed and kept_text (kept words joined by one space).
+    """``docs`` (or only its ``columns``) with n_words, n_removed, removed (intervals [lo, hi) of words) and kept_text (kept words joined by one space).
 
     A null text has no words.  Documents with a null id, and windows shared only by rows of one id,
-    lose nothing.  Rows with one id and one text lose the same words.
+    lose nothing.  Rows with one id and one text lose the same words.  Columns of the same name as an
+    added one are replaced by it; an empty table stays empty.
     """
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
-    lost = repeats(base, window=window, **options).select(F.col("doc_id").alias("_id"), F.col("th").alias("_th"), F.col("starts").alias("_starts"))
-    joined = docs.join(lost, (F.col(id_col) == F.col("_id")) & (F.xxhash64(text) == F.col("_th")), "left").drop("_id", "_th")
-    names = docs.columns if columns is None else columns
-    joined = joined.select(F.col(text).alias("_text"), "_starts", *names)
-    schema = docs.select(*names).withColumns({"n_words": F.lit(0).cast("long"), "n_removed": F.lit(0).cast("long"), "kept_text": F.lit("")}).schema
+    base = docs.select(column(id_col).cast("long").alias("doc_id"), column(text).alias("text"), F.xxhash64(column(text)).alias("th"))
+    lost = repeats(base, window=window, **options)
+    names = [c for c in (docs.columns if columns is None else columns) if c.lower() not in ("n_words", "n_removed", "removed", "kept_text")]
+    flat = docs.select(column(text), column(id_col).cast("long"), F.xxhash64(column(text)), *map(column, names)).toDF("f0", "f1", "f2", *[f"c{i}" for i in range(len(names))])
+    joined = flat.join(lost, (F.col("f1") == F.col("doc_id")) & (F.col("f2") == F.col("th")), "left").select("f0", "starts", *[f"c{i}" for i in range(len(names))])
+    schema = docs.select(*map(column, names)).withColumns({"n_words": F.lit(0).cast("long"), "n_removed": F.lit(0).cast("long"), "removed": F.lit(None).cast("array<struct<lo:int,hi:int>>"), "kept_text": F.lit("")}).schema
     for f in schema:
         f.nullable = True
+    spans = pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())]))
 
     def kept_words(t, starts):
         words = (t or b"").split()
-        n = len(words)
+        n, removed = len(words), []
         if starts.is_valid:
             mark = np.zeros(n + 1, np.int32)
             at = starts.values.to_numpy(zero_copy_only=False)
             np.add.at(mark, at, 1)
             np.add.at(mark, at + window, -1)
-            words = [words[i] for i in np.flatnonzero(np.cumsum(mark[:-1]) == 0)]
-        return n, n - len(words), b" ".join(words)
+            gone = np.cumsum(mark[:-1]) > 0
+            edge = np.diff(np.concatenate([[0], gone.astype(np.int8), [0]]))
+            removed = [{"lo": int(a), "hi": int(b)} for a, b in zip(np.flatnonzero(edge == 1), np.flatnonzero(edge == -1))]
+            words = [words[i] for i in np.flatnonzero(~gone)]
+        return n, n - len(words), removed, b" ".join(words)
 
     def run(batches):
         for batch in batches:
             for lo in range(0, len(batch), OUT_ROWS):  # small batches go back, whatever came
                 part = batch.slice(lo, OUT_ROWS)
-                got = [kept_words(t, s) for t, s in zip(bytes_of(part.column("_text")), part.column("_starts"))]
-                kept = pa.array([k for *_, k in got], pa.binary()).cast(pa.string())
-                yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array([n for n, *_ in got], pa.int64()), pa.array([g for _, g, _ in got], pa.int64()), kept], [*names, "n_words", "n_removed", "kept_text"])
+                got = [kept_words(t, s) for t, s in zip(bytes_of(part.column(0)), part.column(1))]
+                kept = pa.array([g[3] for g in got], pa.binary()).cast(pa.string())
+                yield pa.RecordBatch.from_arrays([*part.columns[2:], pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.int64()), pa.array([g[2] for g in got], spans), kept], [*names, "n_words", "n_removed", "removed", "kept_text"])
 
     return joined.mapInArrow(run, schema)
 
 
 def digest(docs: DataFrame, **options) -> DataFrame:
+    """The counts and the digest of the kept words of every document; nulls, repeats and empty tables as in ``dedup_substrings``."""
     out = dedup_substrings(docs.select("doc_id", "text"), columns=["doc_id"], **options)
     return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))

@@ -56,19 +56,21 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h
 
 
-def hash_spans(buf: np.ndarray, s: np.ndarray, e: np.ndarray) -> np.ndarray:
-    """64-bit hashes of buf[s:e] for increasing, disjoint or nested-at-start spans."""
-    out = np.empty(len(s), U64)
+def hash_spans(buf: np.ndarray, s: np.ndarray, *ends: np.ndarray) -> list[np.ndarray]:
+    """64-bit hashes of buf[s:e] for increasing starts, one array for each of ``ends``; the last ends are the farthest."""
+    out = [np.empty(len(s), U64) for _ in ends]
     i = 0
     while i < len(s):
         at = int(s[i])
-        j = max(i + 1, int(np.searchsorted(e, at + BLOCK, "right")))
-        seg = buf[at : int(e[j - 1])]
+        j = max(i + 1, int(np.searchsorted(ends[-1], at + BLOCK, "right")))
+        seg = buf[at : int(ends[-1][j - 1])]
         p, q = _power(len(seg) + 1)
         h = np.zeros(len(seg) + 1, U64)
         np.cumsum((seg.astype(U64) + U64(1)) * p[: len(seg)], out=h[1:])
-        a, b = s[i:j] - at, e[i:j] - at
-        out[i:j] = mix((h[b] - h[a]) * q[a] + (b - a).astype(U64) * _LENGTH)
+        a = s[i:j] - at
+        for x, e in zip(out, ends):
+            b = e[i:j] - at
+            x[i:j] = mix((h[b] - h[a]) * q[a] + (b - a).astype(U64) * _LENGTH)
         i = j
     return out
 
@@ -89,10 +91,7 @@ class Block:
         self.count = np.diff(self.first)
 
     def hashes(self) -> np.ndarray:
-        return hash_spans(self.buf, self.s, self.e)
-
-    def prefix_hashes(self, k: int) -> np.ndarray:
-        return hash_spans(self.buf, self.s, np.minimum(self.e, self.s + k))
+        return hash_spans(self.buf, self.s, self.e)[0]
 
     def doc(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.count)), self.count)

@@ -454,27 +454,62 @@ def test_matching_statistics():
 
 def test_periods_keep_the_weights():
     r = random.Random(1)
-    for _ in range(20):
-        shares = pfair.whole_shares({f"s{i}": r.random() + 0.01 for i in range(r.randrange(1, 9))}, 128)
-        order, got = pfair.period(shares), Counter()
-        for t, s in enumerate(order, 1):
+    cases = [{f"s{i}": r.randrange(1, 60) for i in range(r.randrange(1, 9))} for _ in range(20)]
+    cases += [pfair.whole_weights({"a": 0.7, "b": 0.2999, "c": 0.0001}), pfair.whole_weights({f"s{i}": 1 if i else 30 for i in range(600)})]
+    for shares in cases:
+        size, got = sum(shares.values()), Counter()
+        order = sorted((t, s) for s, ts in pfair.period(shares).items() for t in ts)
+        assert [t for t, _ in order] == list(range(size))
+        for t in range(1, size + 1):
+            s = order[t - 1][1]
             got[s] += 1
-            assert all(abs(got[x] - a * t / len(order)) < 1 for x, a in shares.items())
+            assert abs(got[s] * size - shares[s] * t) < size
         assert got == Counter(shares)
+        due = {s: [-(-(j + 1) * size // a) for j in range(a)] for s, a in shares.items()}
+        assert all(j * size // shares[s] <= t < d for s, ts in pfair.period(shares).items() for j, (t, d) in enumerate(zip(ts, due[s])))
+
+
+def test_weights_are_exact():
+    assert pfair.whole_weights({"a": 0.7, "b": 0.2999, "c": 0.0001}) == {"a": 7000, "b": 2999, "c": 1}
+    assert pfair.whole_weights({"a": "0.5", "b": 1}) == {"a": 1, "b": 2}
+    for bad in ({"a": 0, "b": 1}, {"a": 0.123456789, "b": 0.3}):
+        with pytest.raises(ValueError):
+            pfair.whole_weights(bad)
 
 
 def test_mix(docs, rows, empty):
-    got = pfair.mix(docs, {"s0": 1, "s1": 3, "s2": 1}, block_rows=4, slots=16).collect()
+    got = pfair.mix(docs, {"s0": 1, "s1": 3, "s2": 1}, block_rows=4).collect()
     assert sorted(x["doc_id"] if x["doc_id"] is not None else -1 for x in got) == sorted(r[0] if r[0] is not None else -1 for r in rows)
     assert all(x["release"] <= x["slot"] < x["deadline"] for x in got)
     assert len({(x["slot"], x["pos"]) for x in got}) == len(got)
-    assert pfair.mixed(docs).columns == docs.columns and pfair.mix(empty).count() == 0
+    assert pfair.mixed(docs).columns == docs.columns and pfair.mix(empty).count() == 0 and pfair.mixed(empty).count() == 0
+
+
+def test_many_blocks_stay_near_their_targets(spark):
+    """100,000 blocks and more: while all sources have rows, each stays less than one block from its exact target."""
+    rows = spark.range(120_000).selectExpr("id", "case when id % 1000 = 0 then 'c' when id % 10 < 7 then 'a' else 'b' end source")
+    got = pfair.mix(rows, {"a": 0.7, "b": 0.2999, "c": 0.0001}, block_rows=1).orderBy("slot").select("source", "slot").collect()
+    last = min(max(r["slot"] for r in got if r["source"] == s) for s in "ab")
+    n = Counter()
+    for r in got:
+        if r["slot"] > last:
+            break
+        n[r["source"]] += 1
+        assert abs(n[r["source"]] * 10_000 - {"a": 7000, "b": 2999, "c": 1}[r["source"]] * (r["slot"] + 1)) < 10_000
+    assert n["a"] > 80_000
+
+
+def test_many_sources_keep_their_own_weights(spark):
+    rows = spark.range(40_000).selectExpr("id", "concat('s', case when id % 2 = 0 then 0 else id % 1300 end) source")
+    got = pfair.mix(rows, {"s0": 600}, other=1, block_rows=2)
+    assert got.groupBy("slot").agg(F.countDistinct("source").alias("n")).where("n > 1").isEmpty()
+    assert got.where("slot < release or slot >= deadline").isEmpty() and got.count() == 40_000 and got.select("source").distinct().count() > 600
 
 
 def test_non_negative_risk():
     r = np.random.default_rng(0)
     x = np.vstack([r.normal(2, 1, (300, 5)), r.normal(-1, 1, (1200, 5)), r.normal(2, 1, (300, 5))]).astype(np.float32)
-    w, b = toxicity.nnpu(x, np.arange(1800) < 300, 0.2)
+    w, b = toxicity.nnpu(x[:300], x[300:], 0.2)
     z = x @ w + b
     assert (z[1500:] > 0).mean() > 0.85 and (z[300:1500] > 0).mean() < 0.1
 
