@@ -27,8 +27,8 @@ STATE = 16
 HEAD_CLASSES, HEAD_SIZE = 16, 32
 TAIL_CLASSES = 24
 WINDOW = 24
-PASSES, ROUNDS = 3, 4
-LANES = 256
+PASSES, ROUNDS = 2, 3
+LANES = 192
 CHUNK = 1 << 20  # tokens learnt from or scored at once; a longer document is a chunk of its own
 #: Texts that ask for their counts together, and such batches in a task.
 BATCH_BYTES, BATCHES_A_TASK = 8 << 20, 4
@@ -127,20 +127,23 @@ class Network:
                 dh[at] += q @ p["W"][c].T
         return (out, dh) if grad is not None else out
 
-    def gradients(self, x: np.ndarray, cls: np.ndarray, item: np.ndarray, live: np.ndarray, h: np.ndarray):
-        """Loss, gradients and last state of one window (time, lanes); ``live`` marks real words; the gradient stops at the window's start."""
+    def gradients(self, x: np.ndarray, cls: np.ndarray, item: np.ndarray, live: np.ndarray, h: np.ndarray, new: np.ndarray | None = None):
+        """Loss, gradients and last state of one window (time, lanes); ``live`` marks real words, ``new`` first words of documents, whose state is zero; the gradient stops there and at the window's start."""
         d, p = self.d, self.p
+        fresh = np.zeros(len(x), bool) if new is None else new.any(axis=1)
         grad = {k: np.zeros_like(v) for k, v in p.items()}
-        past, kept, whole = [h], [], live.all()
+        past, kept, whole = [], [], live.all()
         given = p["E"][x] + p["b"]
         for t in range(len(x)):
-            new, z, r, n = self.step(x[t], h, given[t])
-            h = new if whole else np.where(live[t][:, None], new, h)
+            if fresh[t]:
+                h = np.where(new[t][:, None], 0, h).astype(h.dtype)
             past.append(h)
+            after, z, r, n = self.step(x[t], h, given[t])
+            h = after if whole else np.where(live[t][:, None], after, h)
             kept.append((z, r, n))
         m = live.ravel()
         # Word t is predicted from the state before it is read.
-        before = np.concatenate(past[:-1])
+        before = np.concatenate(past)
         if whole:
             logp, full = self.outputs(before, cls.ravel(), item.ravel(), grad)
         else:
@@ -149,20 +152,28 @@ class Network:
             full[m] = dh_out
         full = full.reshape(len(x), -1, d)
         dh = np.zeros_like(h)
-        gates, reset = np.zeros((*x.shape, 3 * d), h.dtype), np.zeros((*x.shape, d), h.dtype)
+        z, r, n = (np.stack([k[i] for k in kept]) for i in range(3))
+        h0, stay = np.stack(past), 1 - z
+        to_n, to_z, to_r, reset = z * (1 - n * n), (n - h0) * z * stay, h0 * r * (1 - r), r * h0
+        gates = np.zeros((*x.shape, 3 * d), h.dtype)
+        v_t, u_t = p["V"].T.copy(), p["U"].T.copy()
         for t in reversed(range(len(x))):
-            z, r, n = kept[t]
-            h0, g = past[t], gates[t]
-            dn = dh * z * (1 - n * n)
-            rh = dn @ p["V"].T
-            g[:, :d] = dh * (n - h0) * z * (1 - z)
-            g[:, d : 2 * d] = rh * h0 * r * (1 - r)
+            g = gates[t]
+            dn = dh * to_n[t]
+            rh = dn @ v_t
+            g[:, :d] = dh * to_z[t]
+            g[:, d : 2 * d] = rh * to_r[t]
             g[:, 2 * d :] = dn
-            reset[t] = r * h0
             if not whole:
                 g *= live[t][:, None]
-            down = dh * (1 - z) + rh * r + g[:, : 2 * d] @ p["U"].T
-            dh = (down if whole else np.where(live[t][:, None], down, dh)) + full[t]
+            down = g[:, : 2 * d] @ u_t
+            rh *= r[t]
+            down += rh
+            down += dh * stay[t]
+            dh = down if whole else np.where(live[t][:, None], down, dh)
+            dh += full[t]
+            if fresh[t]:
+                dh = np.where(new[t][:, None], 0, dh).astype(dh.dtype)
         gates, rows = gates.reshape(-1, 3 * d), x.ravel()
         grad["V"] += reset.reshape(-1, d).T @ gates[:, 2 * d :]
         grad["U"] += before.T @ gates[:, : 2 * d]
@@ -190,9 +201,8 @@ class Network:
         h = np.zeros((LANES, self.d), np.float32)
         for at in range(0, size, WINDOW):
             s = slice(at, at + WINDOW)
-            h = np.where(new[at][:, None], 0, h).astype(np.float32)
             cls, item = self.place(x[s])
-            _, n, grad, h = self.gradients(x[s].astype(np.int64), cls, item, live[s], h)
+            _, n, grad, h = self.gradients(x[s].astype(np.int64), cls, item, live[s], h, new[s])
             self.t += 1
             for key in p:
                 g = np.clip(grad[key] / max(n, 1) * 20, -1, 1)

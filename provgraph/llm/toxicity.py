@@ -29,9 +29,10 @@ FEATURES = 800
 EVIDENCE, LEAST = 3.0, 16  # standard errors that a feature stands out by; the best ones stay in any case
 PREFIXES = (4, 5, 6, 7, 8, 9, 10, 12)
 THRESHOLD = 0.7
-ROUNDS, STEPS, RATE = 6, 50, 0.05
-#: Rows that a task learns from at once, rows of one step, and rows that one partition is meant to hold.
-CHUNK, STEP_ROWS, PART_ROWS = 4096, 1024, 16_384
+#: Rounds, steps on each chunk of rows in a round, and the first round's rate.
+ROUNDS, STEPS, RATE = 4, 40, 0.05
+#: Rows that a task learns from at once, and that one partition is meant to hold.
+CHUNK, PART_ROWS = 8192, 16_384
 MOST_PARTS = 2048
 
 
@@ -111,24 +112,23 @@ def _sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def nnpu(p: np.ndarray, u: np.ndarray, prior: float, *, w: np.ndarray | None = None, bias: float | None = None, steps: int = 300, rate: float = 0.02, decay: float = 1e-4, floor: float = 0.0, rows: int = 1 << 62) -> tuple[np.ndarray, float]:
+def nnpu(p: np.ndarray, u: np.ndarray, prior: float, *, w: np.ndarray | None = None, bias: float | None = None, steps: int = 300, rate: float = 0.02, decay: float = 1e-4, floor: float = 0.0) -> tuple[np.ndarray, float]:
     """Weights and bias of a linear classifier under the non-negative risk, with the logistic loss and Adam.
 
-    ``p`` and ``u`` are the positive and the unlabelled rows (float32); a step takes the next ``rows`` of each in turn.
+    ``p`` and ``u`` are the positive and the unlabelled rows (float32); every step takes all of them.
     """
     w = np.zeros(p.shape[1]) if w is None else w.astype(float)
     bias = float(np.log(prior / (1 - prior))) if bias is None else bias
     m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
-    part = lambda x, t: x if len(x) <= rows else x[(k := (t - 1) % -(-len(x) // rows) * rows) : k + rows]
     for t in range(1, steps + 1):
-        ps, us, w32 = part(p, t), part(u, t), w.astype(np.float32)
-        zp, zu = (ps @ w32).astype(float) + bias, (us @ w32).astype(float) + bias
+        w32 = w.astype(np.float32)
+        zp, zu = (p @ w32).astype(float) + bias, (u @ w32).astype(float) + bias
         sp, su = _sigmoid(zp), _sigmoid(zu)
         negative = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
-        g_plus = prior * (sp - 1) / len(ps)
-        g_pn, g_u = -prior * sp / len(ps), su / len(us)
+        g_plus = prior * (sp - 1) / len(p)
+        g_pn, g_u = -prior * sp / len(p), su / len(u)
         gp, gu = (g_plus + g_pn, g_u) if negative >= floor else (-g_pn, -g_u)
-        g = np.append(gp.astype(np.float32) @ ps + gu.astype(np.float32) @ us + decay * w, gp.sum() + gu.sum())
+        g = np.append(gp.astype(np.float32) @ p + gu.astype(np.float32) @ u + decay * w, gp.sum() + gu.sum())
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         step = rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
         w, bias = w - step[:-1], bias - step[-1]
@@ -239,7 +239,7 @@ def _learn(model: Model, positive, unlabelled: DataFrame, prior: float, rounds:
                 for lo in range(0, len(batch), CHUNK):
                     part = batch.slice(lo, CHUNK)
                     u = _matrix(own, part.column("words").to_numpy(), part.column("f").to_pylist(), part.column("n").to_pylist())
-                    w1, b1 = nnpu(p, u, prior, w=w1, bias=b1, steps=STEPS, rate=rate, rows=STEP_ROWS)
+                    w1, b1 = nnpu(p, u, prior, w=w1, bias=b1, steps=STEPS, rate=rate)
                     n += len(u)
             if n:
                 yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId() % fan], pa.int32()), pa.array([n], pa.int64()), pa.array([(np.append(w1, b1) * n).tobytes()], pa.binary())], ["g", "n", "w"])

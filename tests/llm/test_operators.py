@@ -318,7 +318,9 @@ def test_network_gradients():
     live = np.ones(cls.shape, bool)
     live[4:, 1] = False
     x, h = net.symbol(cls, item), r.normal(size=(3, 4))
-    loss, _, grad, _ = net.gradients(x, cls, item, live, h)
+    new = np.zeros(cls.shape, bool)
+    new[3, 0] = new[0, 2] = True
+    loss, _, grad, _ = net.gradients(x, cls, item, live, h, new)
     for k in net.p:
         spots = np.argwhere(grad[k] != 0)
         for i in map(tuple, spots[r.permutation(len(spots))[:3]]):
@@ -326,7 +328,7 @@ def test_network_gradients():
             both = []
             for d in (1e-5, -1e-5):
                 net.p[k][i] = old + d
-                both.append(net.gradients(x, cls, item, live, h)[0])
+                both.append(net.gradients(x, cls, item, live, h, new)[0])
             net.p[k][i] = old
             assert abs((both[0] - both[1]) / 2e-5 - grad[k][i]) < 1e-3 * max(1, abs(grad[k][i])), k
 
