@@ -15,6 +15,7 @@ from provgraph.learn import tape
 from provgraph.learn.tape import Var
 
 SOURCES = 2  # crowd features, tile neighbours
+HEADS = 2  # of the typed transformer
 
 
 @dataclass
@@ -38,7 +39,8 @@ def shapes(model: str, d: int, dv: int, h: int, out: int) -> dict[str, tuple[int
     kinds = range(SOURCES) if typed else ["all"]
     p |= {"self2": (h, h), "b2": (1, h)}
     for s in kinds:
-        p |= {f"n1_{s}": (dv, h), f"back_{s}": (d, h), f"nb_{s}": (1, h), f"in_{s}": (dv, h), f"n2_{s}": (h, h)}
+        # A metapath's neighbour is the entity at its far end, so what lies between has no matrix of its own.
+        p |= {f"back_{s}": (d, h), f"nb_{s}": (1, h), f"n2_{s}": (h, h)} | ({f"in_{s}": (d, h)} if model == "metapath" else {f"n1_{s}": (dv, h), f"in_{s}": (dv, h)})
     if model == "attention":
         p |= {"att": (2 * h, 1)}
     if model == "typed_attention":
@@ -50,9 +52,18 @@ def shapes(model: str, d: int, dv: int, h: int, out: int) -> dict[str, tuple[int
     return p
 
 
-def initial(model: str, d: int, dv: int, h: int, out: int, seed: int) -> dict[str, np.ndarray]:
+def link_shapes(scorer: str, d: int, dv: int, h: int) -> dict[str, tuple[int, int]]:
+    """A feature's tower and, for ``bilinear``, the matrix between it and the entity's state."""
+    p = {"f1": (dv, h), "nb_f": (1, h), "f2": (h, d)}
+    return p | {"bil": (d, d)} if scorer == "bilinear" else p
+
+
+def initial(model: str, d: int, dv: int, h: int, out: int, seed: int, scorer: str = "") -> dict[str, np.ndarray]:
     rng = np.random.default_rng(seed)
-    return {k: np.zeros(s) if k.startswith(("b", "hb", "nb")) and k.split("_")[0] in ("b1", "b2", "hb", "nb") else rng.normal(0, (2 / (s[0] + s[1])) ** 0.5, s) for k, s in shapes(model, d, dv, h, out).items()}
+    every = shapes(model, d, dv, h, out)
+    if scorer:
+        every |= link_shapes(scorer, d if model == "probe" else h, dv, h)
+    return {k: np.zeros(s) if k.startswith(("b", "hb", "nb")) and k.split("_")[0] in ("b1", "b2", "hb", "nb") else rng.normal(0, (2 / (s[0] + s[1])) ** 0.5, s) for k, s in every.items()}
 
 
 def dropout(x: Var, rate: float, keys: np.ndarray | None, salt: int) -> Var:
@@ -83,7 +94,8 @@ def hidden(model: str, p: dict[str, Var], b: Batch, rate: float = 0.0, salt: int
     own = x @ p["self1"] + p["b1"]
     if model == "mlp":
         return drop(tape.relu(drop(tape.relu(own), 0) @ p["self2"] + p["b2"]), 1)
-    typed = "n1_0" in p
+    typed = "n2_0" in p
+    path = model == "metapath"
     kinds = [(s, np.flatnonzero(b.kind == s)) for s in range(SOURCES)] if typed else [("all", np.arange(len(b.kind)))]
     if model == "aware":
         w = normalised(b, b.weight)
@@ -94,19 +106,22 @@ def hidden(model: str, p: dict[str, Var], b: Batch, rate: float = 0.0, salt: int
     first, states = own, {}
     for s, at in kinds:
         share = Var(w[at][:, None])
-        first = first + tape.segments((Var(b.v[at]) @ p[f"in_{s}"]) * share, b.whose[at], n)
-        states[s] = tape.relu(Var(b.v[at]) @ p[f"n1_{s}"] + Var(b.back[at]) @ p[f"back_{s}"] + p[f"nb_{s}"])
+        first = first + tape.segments((Var(b.back[at] if path else b.v[at]) @ p[f"in_{s}"]) * share, b.whose[at], n)
+        far = Var(b.back[at]) @ p[f"back_{s}"] + p[f"nb_{s}"]
+        states[s] = tape.relu(far if path else far + Var(b.v[at]) @ p[f"n1_{s}"])
     h = drop(tape.relu(first), 0)
     second, paths = h @ p["self2"] + p["b2"], []
     if model == "typed_attention":
-        scores = [tape.row_sum(tape.rows(h @ p["q"], b.whose[at]) * (states[s] @ p[f"k_{s}"])) * (1 / h.value.shape[1] ** 0.5) + p[f"prior_{s}"] for s, at in kinds]
-        at_all = np.concatenate([at for _, at in kinds])
-        joint = Var(np.vstack([c.value for c in scores]), tuple((c, lambda g, i=i, j=j: g[i:j]) for c, i, j in zip(scores, np.cumsum([0] + [len(a) for _, a in kinds]), np.cumsum([len(a) for _, a in kinds]))))
-        alpha = tape.softmax_by(joint, b.whose[at_all], n)
-        i = 0
-        for s, at in kinds:
-            second = second + tape.segments((states[s] @ p[f"n2_{s}"]) * tape.rows(alpha, np.arange(i, i + len(at))), b.whose[at], n)
-            i += len(at)
+        at_all, asked, size = np.concatenate([at for _, at in kinds]), h @ p["q"], h.value.shape[1]
+        keys = [(tape.rows(asked, b.whose[at]) * (states[s] @ p[f"k_{s}"]), states[s] @ p[f"n2_{s}"]) for s, at in kinds]
+        ends = np.cumsum([0] + [len(a) for _, a in kinds])
+        for head in range(HEADS):
+            mine = Var((np.arange(size) * HEADS // size == head)[None, :].astype(float))
+            scores = [tape.row_sum(k * mine) * (1 / (size / HEADS) ** 0.5) + p[f"prior_{s}"] for (k, _), (s, _) in zip(keys, kinds)]
+            joint = Var(np.vstack([c.value for c in scores]), tuple((c, lambda g, i=i, j=j: g[i:j]) for c, i, j in zip(scores, ends, ends[1:])))
+            alpha = tape.softmax_by(joint, b.whose[at_all], n)
+            for (_, message), (_, at), i, j in zip(keys, kinds, ends, ends[1:]):
+                second = second + tape.segments(message * mine * tape.rows(alpha, np.arange(i, j)), b.whose[at], n)
         return drop(tape.relu(second), 1)
     for s, at in kinds:
         message = states[s] @ p[f"n2_{s}"]
@@ -135,11 +150,19 @@ def outputs(model: str, p: dict[str, Var], b: Batch, rate: float = 0.0, salt: in
     return hidden("mean_pool" if model == "contrastive" else model, p, b, rate, salt) @ p["head"] + p["hb"]
 
 
+def link_scores(p: dict[str, Var], states: Var, whose: np.ndarray, v: np.ndarray) -> Var:
+    """A score per pair: the entity's state times the feature's, through a matrix for the bilinear scorer."""
+    f = tape.relu(Var(v) @ p["f1"] + p["nb_f"]) @ p["f2"]
+    own = tape.rows(states, whose)
+    return tape.row_sum((own @ p["bil"] if "bil" in p else own) * f) * (1 / states.value.shape[1] ** 0.5)
+
+
 def contrast_loss(p: dict[str, Var], b: Batch) -> Var:
-    """Tells real states from those of shuffled features, against the batch's mean readout."""
+    """Tells real states from those of features shuffled among the batch's entities, against the batch's mean readout."""
     order = np.argsort((b.keys if b.keys is not None else np.arange(len(b.x))) * 2654435761 % 2**32, kind="stable")
     fake = Batch(b.x[np.roll(order, 1)[np.argsort(order)]], b.whose, b.kind, b.weight, b.v, b.back, b.keys)
     real, false = hidden("mean_pool", p, b), hidden("mean_pool", p, fake)
-    summary = Var(1 / (1 + np.exp(-real.value.mean(axis=0, keepdims=True))))
+    mean = tape.segments(real, np.zeros(len(b.x), np.int64), 1) * (1 / max(1, len(b.x)))
+    summary = tape.reciprocal(tape.exp(mean * -1.0) + 1.0)
     score = lambda h: tape.row_sum((h @ p["disc"]) * summary)
     return tape.logistic(score(real), np.ones(len(b.x))) + tape.logistic(score(false), np.zeros(len(b.x)))

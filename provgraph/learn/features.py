@@ -4,6 +4,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from provgraph.functions.durable import cut
 from provgraph.operators import fusion
 from provgraph.sources.overlay import Layers
 
@@ -50,12 +51,13 @@ def agnostic(entities: DataFrame, edge: DataFrame, crowd: DataFrame) -> DataFram
     return entities.select("entity_id", "area", "storeys").join(merged, F.col("entity_id") == F.col("_e"), "left").drop("_e")
 
 
-def aware(entities: DataFrame, edge: DataFrame, predicted: DataFrame) -> DataFrame:
-    """Coverage and agreement features: which sources there are, how many links, the best confidence."""
-    links = edge.groupBy(F.col("entity_id").alias("_e")).agg(F.count(F.lit(1)).alias("n"), F.max("jaccard").alias("best"))
+def aware(entities: DataFrame, edge: DataFrame, predicted: DataFrame, crowd: DataFrame) -> DataFrame:
+    """Coverage and agreement features: which sources there are, how many links, the best confidence, whether linked features agree in levels."""
+    linked = edge.select("entity_id", "feature_id", "jaccard").join(crowd.select("feature_id", "levels"), "feature_id", "left")
+    links = linked.groupBy(F.col("entity_id").alias("_e")).agg(F.count(F.lit(1)).alias("n"), F.max("jaccard").alias("best"), (F.min("levels") == F.max("levels")).alias("agree"))
     pred = predicted.select(F.col("entity_id").alias("_p")).distinct()
     rows = entities.select("entity_id").join(links, F.col("entity_id") == F.col("_e"), "left").join(pred, F.col("entity_id") == F.col("_p"), "left")
-    return rows.select("entity_id", F.col("n").isNotNull().alias("has_crowd"), F.coalesce("n", F.lit(0)).alias("crowd_links"), F.coalesce("best", F.lit(0.0)).alias("best_jaccard"), F.col("_p").isNotNull().alias("has_pred"))
+    return rows.select("entity_id", F.col("n").isNotNull().alias("has_crowd"), F.coalesce("n", F.lit(0)).alias("crowd_links"), F.coalesce("best", F.lit(0.0)).alias("best_jaccard"), F.coalesce("agree", F.lit(False)).alias("levels_agree"), F.col("_p").isNotNull().alias("has_pred"))
 
 
 def normalise(edge: DataFrame, unit: bool = False) -> DataFrame:
@@ -73,15 +75,19 @@ def message_pass(edge: DataFrame, crowd: DataFrame, unit: bool = False) -> DataF
 
 def cut_edges(edge: DataFrame, folds: DataFrame) -> DataFrame:
     """Edges whose feature touches only one fold: what training neighbourhoods may use without leaking across a border."""
-    own = edge.join(folds, "entity_id")
+    own = edge.select("entity_id", "feature_id").join(folds, "entity_id")
     one = own.groupBy(F.col("feature_id").alias("_f")).agg(F.countDistinct("fold").alias("n")).where("n = 1")
     return edge.join(one, F.col("feature_id") == F.col("_f"), "left_semi")
 
 
 def ego_table(w: Layers, label: str, *, leave_out: list[str] | None = None, fold: Column | None = None, edge: DataFrame | None = None, y: Column | None = None) -> DataFrame:
-    """entity_id, city, fold, y, x_agnostic, x_aware, neighbours (kind, weight, v, back), one row an entity."""
+    """entity_id, city, fold, y, x_agnostic, x_aware, neighbours (kind, weight, v, back), one row an entity.
+
+    Edges of a feature that touches several folds are left out: nothing is read across a fold's border.
+    """
     leave_out = leave_out or []
     edge = fusion.edges(fusion.candidates(w.entity, w.crowd)) if edge is None else edge
+    edge = cut(cut_edges(edge, w.entity.select("entity_id", (spatial_fold() if fold is None else fold).alias("fold"))).select("entity_id", "feature_id", "jaccard"))
     e = w.entity.withColumns({"fold": spatial_fold() if fold is None else fold, "y": target(label) if y is None else y})
     base = base_features(leave_out)
     x = F.array(*[c.cast("double") for c in base.values()])
@@ -96,11 +102,10 @@ def ego_table(w: Layers, label: str, *, leave_out: list[str] | None = None, fold
     seen = F.lit(0.0) if "storeys" in leave_out else F.col("storeys") / 10.0
     tile = own.select(F.col("entity_id").alias("_n"), F.col("city").alias("_c"), F.col("tx").alias("_x"), F.col("ty").alias("_y"), F.array(seen, F.lit(0.0), F.lit(0.0), F.col("area") / 200_000.0).alias("v"), F.col("x_agnostic").alias("back"))
     near = own.select("entity_id", "city", "tx", "ty").join(tile, (F.col("city") == F.col("_c")) & (F.col("tx") == F.col("_x")) & (F.col("ty") == F.col("_y")) & (F.col("entity_id") != F.col("_n")))
-    # Tiles have a fixed size, so a row has few tile neighbours; the first eight by id are kept.
-    near = near.withColumn("_r", F.row_number().over(Window.partitionBy("entity_id").orderBy("_n"))).where("_r <= 8")
+    # All of them: a tile has a fixed size, so their number is bounded by how dense objects can stand.
     two = near.select("entity_id", F.struct(F.lit(1).alias("kind"), F.lit(1.0).alias("weight"), "v", "back").alias("nb"))
     nbs = one.union(two).groupBy(F.col("entity_id").alias("_e")).agg(F.array_sort(F.collect_list("nb")).alias("neighbours"))
-    cover = aware(w.entity, edge, w.predicted).select(F.col("entity_id").alias("_a"), F.array(F.col("has_crowd").cast("double"), F.col("crowd_links") / 5.0, "best_jaccard", F.col("has_pred").cast("double")).alias("cover"))
+    cover = aware(w.entity, edge, w.predicted, w.crowd).select(F.col("entity_id").alias("_a"), F.array(F.col("has_crowd").cast("double"), F.col("crowd_links") / 5.0, "best_jaccard", F.col("levels_agree").cast("double"), F.col("has_pred").cast("double")).alias("cover"))
     rows = own.join(nbs, F.col("entity_id") == F.col("_e"), "left").join(cover, F.col("entity_id") == F.col("_a"))
     empty = F.array().cast("array<struct<kind:int,weight:double,v:array<double>,back:array<double>>>")
     return rows.select("entity_id", "city", "fold", "y", "x_agnostic", F.concat("x_agnostic", "cover").alias("x_aware"), F.coalesce("neighbours", empty).alias("neighbours"))

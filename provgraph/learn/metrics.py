@@ -25,9 +25,19 @@ def r2(pred: DataFrame, by: list[str]) -> DataFrame:
     return out.select(*by, F.when(F.col("sst") > 1e-12, 1 - F.col("sse") / F.col("sst")).alias("value"), F.lit("r2").alias("metric"))
 
 
-def auc(pairs: DataFrame, by: list[str]) -> DataFrame:
-    """Area under the ROC curve of (label 0/1, score) with ties counted half, from counts per distinct score."""
+def auc(pairs: DataFrame, by: list[str], ranges: int = 64) -> DataFrame:
+    """Area under the ROC curve of (label 0/1, score) with ties counted half, from counts per distinct score.
+
+    Scores are dealt over ``ranges`` of near equal share; the running count is taken inside a range and the
+    ranges' totals, a bounded table, are added: no task sees all scores of a group.
+    """
     n = pairs.groupBy(*by, "score").agg(F.sum("label").alias("pos"), F.sum(1 - F.col("label")).alias("neg"))
-    below = F.sum("neg").over(Window.partitionBy(*by).orderBy("score").rowsBetween(Window.unboundedPreceding, -1))
-    rows = n.withColumn("hits", F.col("pos") * (F.coalesce(below, F.lit(0)) + F.col("neg") / 2))
+    key = F.struct(*by)
+    edges = n.groupBy(key.alias("_k")).agg(F.percentile_approx("score", [i / ranges for i in range(1, ranges)]).alias("_edges"))
+    placed = n.join(F.broadcast(edges), key == F.col("_k")).withColumn("_range", F.size(F.filter("_edges", lambda e: e < F.col("score")))).drop("_edges")
+    totals = placed.groupBy(F.col("_k").alias("_k2"), F.col("_range").alias("_r2")).agg(F.sum("neg").alias("_n"))
+    before = F.sum("_n").over(Window.partitionBy("_k2").orderBy("_r2")) - F.col("_n")
+    inside = F.sum("neg").over(Window.partitionBy("_k", "_range").orderBy("score").rowsBetween(Window.unboundedPreceding, -1))
+    rows = placed.withColumn("_inside", F.coalesce(inside, F.lit(0))).join(F.broadcast(totals.withColumn("_before", before)), (F.col("_k") == F.col("_k2")) & (F.col("_range") == F.col("_r2")))
+    rows = rows.withColumn("hits", F.col("pos") * (F.col("_before") + F.col("_inside") + F.col("neg") / 2))
     return rows.groupBy(*by).agg(F.sum("hits").alias("h"), F.sum("pos").alias("p"), F.sum("neg").alias("n")).select(*by, F.when((F.col("p") > 0) & (F.col("n") > 0), F.col("h") / (F.col("p") * F.col("n"))).alias("auc"))

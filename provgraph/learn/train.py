@@ -5,6 +5,7 @@ they meet per run in the cluster, and the driver takes the Adam step on a few te
 """
 from __future__ import annotations
 
+import pickle
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -28,7 +29,7 @@ class Config:
 
 @dataclass
 class Run:
-    """Learns from the folds in ``train``, predicts those in ``test``."""
+    """Learns from the folds in ``train``, predicts those in ``test``; with a ``scorer`` (dot or bilinear) it scores links."""
 
     model: str
     seed: int
@@ -36,6 +37,7 @@ class Run:
     test: tuple[int, ...]
     view: str = "aware"
     group: str = ""
+    scorer: str = ""
     weights: dict = field(default_factory=dict)
     m: dict = field(default_factory=dict)
     v: dict = field(default_factory=dict)
@@ -44,33 +46,90 @@ class Run:
         return np.isin(folds, self.train)
 
 
-def spatial_runs(models: list[str], seeds: range, folds: int = 5, group: str = "") -> list[Run]:
+def spatial_runs(models: list[str], seeds: range, folds: int = 5, group: str = "", scorer: str = "") -> list[Run]:
     """Spatial cross-validation: every row is predicted by the run that never saw its tile."""
     every = range(folds)
-    return [Run(m, s, tuple(f for f in every if f != k), (k,), VIEW[m], group) for m in models for s in seeds for k in every]
+    return [Run(m, s, tuple(f for f in every if f != k), (k,), VIEW[m], group, scorer) for m in models for s in seeds for k in every]
 
 
 #: The view of each model: agnostic ones see no source, weight or coverage features.
 VIEW = {"probe": "agnostic", "mlp": "agnostic", "mean_pool": "agnostic", "attention": "agnostic", "contrastive": "agnostic", "relational": "aware", "metapath": "aware", "typed_attention": "aware", "unweighted": "aware", "aware": "aware"}
 
 
-def batch_of(pdf: pd.DataFrame, view: str) -> Batch:
-    x = np.array((pdf["x_agnostic"] if view == "agnostic" else pdf["x_aware"]).tolist(), float)
+@dataclass
+class Block:
+    """Some rows of the ego table as flat arrays: written once, read without parsing in every epoch."""
+
+    entity: np.ndarray
+    fold: np.ndarray
+    y: np.ndarray
+    agnostic: np.ndarray
+    aware: np.ndarray
+    whose: np.ndarray
+    kind: np.ndarray
+    weight: np.ndarray
+    v: np.ndarray
+    back: np.ndarray
+    pair: np.ndarray  # whose, feature, label, kind
+    pair_v: np.ndarray
+
+    def batch(self, view: str) -> Batch:
+        x = self.agnostic if view == "agnostic" else self.aware
+        back = np.hstack([self.back, np.zeros((len(self.back), x.shape[1] - self.back.shape[1]))])
+        return Batch(x, self.whose, self.kind, self.weight, self.v, back, self.entity)
+
+
+#: Numbers of link kinds in the blocks.
+LINK_KINDS = ["1:1", "1:n", "n:1", "n:m"]
+BLOCK_ROWS = 2048
+
+
+def _flat(pdf: pd.DataFrame) -> Block:
+    rows = lambda c, d: np.array(pdf[c].tolist(), float).reshape(len(pdf), d)
     n = pdf["neighbours"].map(len).to_numpy()
-    flat = [e for ns in pdf["neighbours"] for e in ns]
-    get = lambda k: np.array([e[k] for e in flat])
-    if not flat:
-        z = np.zeros(0, np.int64)
-        return Batch(x, z, z, z.astype(float), np.zeros((0, 4)), np.zeros((0, x.shape[1])), pdf["entity_id"].to_numpy())
-    back = np.array([e["back"] for e in flat], float)
-    back = np.hstack([back, np.zeros((len(back), x.shape[1] - back.shape[1]))])
-    return Batch(x, np.repeat(np.arange(len(x)), n), get("kind").astype(int), get("weight").astype(float), np.array([e["v"] for e in flat], float), back, pdf["entity_id"].to_numpy())
-
-
-def _loss(run: Run, p, b: Batch, y: np.ndarray, classes: int, cfg: Config, epoch: int):
-    if run.model == "contrastive" and epoch < cfg.epochs // 2:
+    nbs = [e for ns in pdf["neighbours"] for e in ns]
+    get = lambda k, kind=float: np.array([e[k] for e in nbs], kind)
+    d = len(pdf["x_agnostic"].iloc[0])
+    pairs = [(i, e) for i, ps in enumerate(pdf["pairs"]) for e in ps]
+    pair = np.array([(i, e["feature_id"], e["label"], LINK_KINDS.index(e["kind"])) for i, e in pairs], np.int64).reshape(-1, 4)
+    return Block(
+        pdf["entity_id"].to_numpy(np.int64), pdf["fold"].to_numpy(np.int64), pdf["y"].to_numpy(float), rows("x_agnostic", d), rows("x_aware", len(pdf["x_aware"].iloc[0])),
+        np.repeat(np.arange(len(pdf)), n), get("kind", np.int64), get("weight"), get("v").reshape(len(nbs), -1) if nbs else np.zeros((0, 4)), get("back").reshape(len(nbs), -1) if nbs else np.zeros((0, d)),
+        pair, np.array([e["v"] for _, e in pairs], float).reshape(len(pairs), -1) if pairs else np.zeros((0, 4)),
+    )
+
+
+def blocks(ego: DataFrame) -> DataFrame:
+    """(block): the ego table in flat blocks of bounded size."""
+    if "pairs" not in ego.columns:
+        ego = ego.withColumn("pairs", F.array().cast("array<struct<feature_id:bigint,label:int,kind:string,v:array<double>>>"))
+
+    def run(batches):
+        for pdf in batches:
+            for i in range(0, len(pdf), BLOCK_ROWS):
+                yield pd.DataFrame({"block": [pickle.dumps(_flat(pdf.iloc[i : i + BLOCK_ROWS]))]})
+
+    return cut(ego.mapInPandas(run, "block binary"))
+
+
+def _frozen(run: Run, cfg: Config, epoch: int) -> bool:
+    """Self-supervised states are pretrained for half of the epochs and then only probed."""
+    return run.model == "contrastive" and epoch >= cfg.epochs // 2
+
+
+def _states(run: Run, p, b: Batch, rate: float, salt: int, frozen: bool):
+    h = encoders.hidden("mean_pool" if run.model == "contrastive" else run.model, p, b, rate, salt)
+    return tape.Var(h.value) if frozen else h
+
+
+def _loss(run: Run, p, b: Batch, y: np.ndarray, pair: np.ndarray, pair_v: np.ndarray, classes: int, cfg: Config, epoch: int):
+    if run.model == "contrastive" and not _frozen(run, cfg, epoch):
         return encoders.contrast_loss(p, b)
-    out = encoders.outputs(run.model, p, b, cfg.dropout if run.model not in ("probe",) else 0.0, run.seed * 100_003 + epoch)
+    frozen = _frozen(run, cfg, epoch)
+    h = _states(run, p, b, cfg.dropout if run.model != "probe" and not frozen else 0.0, run.seed * 100_003 + epoch, frozen)
+    if run.scorer:
+        return tape.logistic(encoders.link_scores(p, h, pair[:, 0], pair_v), pair[:, 2].astype(float))
+    out = h @ p["head"] + p["hb"]
     return tape.cross_entropy(out, y.astype(int)) if classes else tape.squared_error(out, y)
 
 
@@ -80,42 +139,63 @@ def take(b: Batch, mask: np.ndarray) -> Batch:
     return Batch(b.x[mask], at[b.whose[keep]], b.kind[keep], b.weight[keep], b.v[keep], b.back[keep], b.keys[mask])
 
 
+def _pairs_of(block: Block, mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    keep = mask[block.pair[:, 0]]
+    pair = block.pair[keep].copy()
+    pair[:, 0] = (np.cumsum(mask) - 1)[pair[:, 0]]
+    return pair, block.pair_v[keep]
+
+
+PREDICTED = "model string, seed int, grouping string, view string, entity_id long, y double, yhat double"
+SCORED = "model string, seed int, grouping string, scorer string, entity_id long, feature_id long, kind string, label int, score double"
+
+
 def fit(ego: DataFrame, runs: list[Run], classes: int, cfg: Config) -> DataFrame:
     """(model, seed, grouping, view, entity_id, y, yhat) of the rows that each run didn't learn from; for classes yhat is the class.
 
     ego: entity_id, fold, y (null: unlabelled, predicted but not learnt from), x_agnostic, x_aware, neighbours.
-    Regression targets are put on the scale of each run's training rows.
+    Regression targets are put on the scale of each run's training rows.  Runs with a scorer learn from the
+    ego rows' ``pairs`` instead, and give (model, seed, grouping, scorer, entity_id, feature_id, kind, label, score).
     """
     ego = cut(ego)
-    spark = ego.sparkSession
+    spark, links = ego.sparkSession, bool(runs and runs[0].scorer)
     first = ego.first()
     if first is None:
-        return spark.createDataFrame([], "model string, seed int, grouping string, view string, entity_id long, y double, yhat double")
+        return spark.createDataFrame([], SCORED if links else PREDICTED)
     out = max(classes, 1)
-    stats = {r["fold"]: (r["n"], r["s"] or 0.0, r["q"] or 0.0) for r in ego.where("y is not null").groupBy("fold").agg(F.count("y").alias("n"), F.sum("y").alias("s"), F.sum(F.col("y") * F.col("y")).alias("q")).collect()}
+    if links:
+        stats = {r["fold"]: (r["n"] or 0, 0.0, 0.0) for r in ego.groupBy("fold").agg(F.sum(F.size("pairs")).alias("n")).collect()}
+    else:
+        stats = {r["fold"]: (r["n"], r["s"] or 0.0, r["q"] or 0.0) for r in ego.where("y is not null").groupBy("fold").agg(F.count("y").alias("n"), F.sum("y").alias("s"), F.sum(F.col("y") * F.col("y")).alias("q")).collect()}
+    flat = blocks(ego)
     scale = []
     for r in runs:
-        r.weights = encoders.initial(r.model, len(first[f"x_{r.view}"]), 4, cfg.hidden, out, r.seed)
+        r.weights = encoders.initial(r.model, len(first[f"x_{r.view}"]), 4, cfg.hidden, out, r.seed, r.scorer)
         n, s, q = (sum(v[i] for f, v in stats.items() if r.learns(np.array([f]))[0]) for i in range(3))
         mean = s / n if n and not classes else 0.0
         scale.append((mean, max((q / n - mean * mean) ** 0.5, 1e-6) if n and not classes else 1.0, max(n, 1)))
 
+    def usable(block: Block) -> np.ndarray:
+        if links:
+            return np.bincount(block.pair[:, 0], minlength=len(block.entity)) > 0
+        return ~np.isnan(block.y)
+
     def gradients(sent, epoch):
         def run_all(batches):
             sums: dict[int, np.ndarray] = {}
             for pdf in batches:
-                known = pdf["y"].notna().to_numpy()
-                cache = {v: batch_of(pdf, v) for v in {r.view for r in runs}}
-                folds, y = pdf["fold"].to_numpy(), pdf["y"].to_numpy()
-                for i, r in enumerate(sent.value):
-                    mask = known & r.learns(folds)
-                    if not mask.any():
-                        continue
-                    p = {k: tape.Var(w) for k, w in r.weights.items()}
-                    mean, sd, _ = scale[i]
-                    _loss(r, p, take(cache[r.view], mask), (y[mask] - mean) / sd, classes, cfg, epoch).backward()
-                    g = np.concatenate([(v.grad if v.grad is not None else np.zeros_like(v.value)).ravel() for v in p.values()])
-                    sums[i] = sums.get(i, 0) + g
+                for raw in pdf["block"]:
+                    block = pickle.loads(raw)
+                    known, cache = usable(block), {v: block.batch(v) for v in {r.view for r in runs}}
+                    for i, r in enumerate(sent.value):
+                        mask = known & r.learns(block.fold)
+                        if not mask.any():
+                            continue
+                        p = {k: tape.Var(w) for k, w in r.weights.items()}
+                        mean, sd, _ = scale[i]
+                        _loss(r, p, take(cache[r.view], mask), (block.y[mask] - mean) / sd, *_pairs_of(block, mask), classes, cfg, epoch).backward()
+                        g = np.concatenate([(v.grad if v.grad is not None else np.zeros_like(v.value)).ravel() for v in p.values()])
+                        sums[i] = sums.get(i, 0) + g
             yield pd.DataFrame({"run": list(sums), "g": [g.tobytes() for g in sums.values()]})
 
         return run_all
@@ -124,13 +204,16 @@ def fit(ego: DataFrame, runs: list[Run], classes: int, cfg: Config) -> DataFrame
         return pd.DataFrame({"run": pdf["run"].iloc[:1], "g": [sum(np.frombuffer(g) for g in pdf["g"]).tobytes()]})
 
     for epoch in range(cfg.epochs):
-        sent = spark.sparkContext.broadcast([Run(r.model, r.seed, r.train, r.test, r.view, r.group, r.weights) for r in runs])
-        got = ego.mapInPandas(gradients(sent, epoch), "run int, g binary").groupBy("run").applyInPandas(add, "run int, g binary").collect()
+        sent = spark.sparkContext.broadcast([Run(r.model, r.seed, r.train, r.test, r.view, r.group, r.scorer, r.weights) for r in runs])
+        got = flat.mapInPandas(gradients(sent, epoch), "run int, g binary").groupBy("run").applyInPandas(add, "run int, g binary").collect()
         for row in got:
-            r, flat, i = runs[row["run"]], np.frombuffer(row["g"]) / scale[row["run"]][2], 0
+            r, whole, i = runs[row["run"]], np.frombuffer(row["g"]) / scale[row["run"]][2], 0
             for k, w in r.weights.items():
-                g = flat[i : i + w.size].reshape(w.shape) + cfg.decay * w
+                g = whole[i : i + w.size].reshape(w.shape)
                 i += w.size
+                if _frozen(r, cfg, epoch) and k not in HEAD:
+                    continue
+                g = g + cfg.decay * w
                 r.m[k] = 0.9 * r.m.get(k, 0) + 0.1 * g
                 r.v[k] = 0.999 * r.v.get(k, 0) + 0.001 * g * g
                 r.weights[k] = w - cfg.rate * (r.m[k] / (1 - 0.9 ** (epoch + 1))) / (np.sqrt(r.v[k] / (1 - 0.999 ** (epoch + 1))) + 1e-8)
@@ -139,16 +222,42 @@ def fit(ego: DataFrame, runs: list[Run], classes: int, cfg: Config) -> DataFrame
 
     def predict(batches):
         for pdf in batches:
-            cache = {v: batch_of(pdf, v) for v in {r.view for r in runs}}
-            for i, r in enumerate(sent.value):
-                mask = np.isin(pdf["fold"].to_numpy(), r.test)
-                if not mask.any():
-                    continue
-                mean, sd, _ = scale[i]
-                o = encoders.outputs(r.model, {k: tape.Var(w) for k, w in r.weights.items()}, take(cache[r.view], mask)).value
-                yield pd.DataFrame({"model": r.model, "seed": r.seed, "grouping": r.group, "view": r.view, "entity_id": pdf["entity_id"][mask], "y": pdf["y"][mask], "yhat": o.argmax(axis=1).astype(float) if classes else o[:, 0] * sd + mean})
+            for raw in pdf["block"]:
+                block = pickle.loads(raw)
+                cache = {v: block.batch(v) for v in {r.view for r in runs}}
+                for i, r in enumerate(sent.value):
+                    mask = np.isin(block.fold, r.test)
+                    if not mask.any():
+                        continue
+                    p = {k: tape.Var(w) for k, w in r.weights.items()}
+                    h = _states(r, p, take(cache[r.view], mask), 0.0, 0, True)
+                    if links:
+                        pair, v = _pairs_of(block, mask)
+                        s = encoders.link_scores(p, h, pair[:, 0], v).value[:, 0]
+                        yield pd.DataFrame({"model": r.model, "seed": r.seed, "grouping": r.group, "scorer": r.scorer, "entity_id": block.entity[mask][pair[:, 0]], "feature_id": pair[:, 1], "kind": [LINK_KINDS[k] for k in pair[:, 3]], "label": pair[:, 2], "score": s})
+                        continue
+                    mean, sd, _ = scale[i]
+                    o = (h @ p["head"] + p["hb"]).value
+                    yield pd.DataFrame({"model": r.model, "seed": r.seed, "grouping": r.group, "view": r.view, "entity_id": block.entity[mask], "y": block.y[mask], "yhat": o.argmax(axis=1).astype(float) if classes else o[:, 0] * sd + mean})
+
+    return flat.mapInPandas(predict, SCORED if links else PREDICTED)
+
+
+def floor(rows: DataFrame, classes: int) -> DataFrame:
+    """(model, entity_id, y, yhat) of the baseline that knows labels only: per fold the others' mean, or their commonest class (ties to the smaller)."""
+    rows = rows.where("y is not null")
+    cells = rows.groupBy("fold", "y").agg(F.count(F.lit(1)).alias("n")) if classes else rows.groupBy("fold").agg(F.sum("y").alias("y"), F.count(F.lit(1)).alias("n"))
+    own = rows.select(F.col("fold").alias("_fold")).distinct()
+    others = own.join(F.broadcast(cells), F.col("_fold") != F.col("fold"))  # folds by folds and classes: a few dozen rows
+    if classes:
+        best = others.groupBy("_fold", "y").agg(F.sum("n").alias("n")).groupBy("_fold").agg(F.max_by("y", F.struct("n", (-F.col("y")).alias("t"))).alias("yhat"))
+    else:
+        best = others.groupBy("_fold").agg((F.sum("y") / F.sum("n")).alias("yhat"))
+    return rows.join(F.broadcast(best), F.col("fold") == F.col("_fold")).select(F.lit("floor").alias("model"), "entity_id", "y", "yhat")
+
 
-    return ego.mapInPandas(predict, "model string, seed int, grouping string, view string, entity_id long, y double, yhat double")
+#: What a probe on frozen states learns.
+HEAD = ("head", "hb", "f1", "nb_f", "f2", "bil")
 
 
 def embed(ego: DataFrame, run: Run) -> DataFrame:
@@ -156,7 +265,9 @@ def embed(ego: DataFrame, run: Run) -> DataFrame:
 
     def go(batches):
         for pdf in batches:
-            h = encoders.hidden("mean_pool" if run.model == "contrastive" else run.model, {k: tape.Var(w) for k, w in run.weights.items()}, batch_of(pdf, run.view)).value
-            yield pd.DataFrame({"entity_id": pdf["entity_id"], "z": list(h)})
+            for raw in pdf["block"]:
+                block = pickle.loads(raw)
+                h = _states(run, {k: tape.Var(w) for k, w in run.weights.items()}, block.batch(run.view), 0.0, 0, True).value
+                yield pd.DataFrame({"entity_id": block.entity, "z": list(h)})
 
-    return ego.mapInPandas(go, "entity_id long, z array<double>")
+    return blocks(ego).mapInPandas(go, "entity_id long, z array<double>")

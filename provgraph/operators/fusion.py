@@ -5,17 +5,31 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from provgraph.functions.durable import cut
+from provgraph.functions.geometry import polygon_area, polygon_overlap_area
+from provgraph.functions.ranking import salted_join
 from provgraph.operators.components import connected
 from provgraph.operators.spatial import as_boxes, overlap_join
 
 TAU = (3, 10)
 
 
-def candidates(entities: DataFrame, crowd: DataFrame, *, strategy: str = "grid", cell: int = 800) -> DataFrame:
-    """(city, entity_id, feature_id, area_a, area_b, shared): only keys and boxes go through the join."""
+def candidates(entities: DataFrame, crowd: DataFrame, *, strategy: str = "grid", cell: int = 800, geometry: str = "box") -> DataFrame:
+    """(city, entity_id, feature_id, area_a, area_b, shared): only keys and boxes go through the join.
+
+    ``polygon``: pairs of touching boxes then fetch their ``rings``, and areas are those of the footprints;
+    pairs that share none are no candidates.
+    """
+    if geometry not in ("box", "polygon"):
+        raise ValueError(geometry)
     a = entities.select("city", "entity_id", "x0", "y0", "x1", "y1", "area")
     b = crowd.select("city", "feature_id", "x0", "y0", "x1", "y1", "area")
-    return overlap_join(a, b, strategy=strategy, cell=cell).select(F.col("city_a").alias("city"), "entity_id", "feature_id", "area_a", "area_b", "shared")
+    pairs = overlap_join(a, b, strategy=strategy, cell=cell).select(F.col("city_a").alias("city"), "entity_id", "feature_id", "area_a", "area_b", "shared")
+    if geometry == "box":
+        return pairs
+    side = lambda df, key, x: df.select(F.col(key).alias(f"_{x}"), F.col("rings").alias(f"rings_{x}"))
+    both = pairs.select("city", "entity_id", "feature_id").join(side(entities, "entity_id", "a"), F.col("entity_id") == F.col("_a")).join(side(crowd, "feature_id", "b"), F.col("feature_id") == F.col("_b"))
+    both = both.withColumn("shared", F.round(polygon_overlap_area("rings_a", "rings_b"), 6))
+    return both.select("city", "entity_id", "feature_id", polygon_area(F.col("rings_a")).alias("area_a"), polygon_area(F.col("rings_b")).alias("area_b"), "shared").where("shared > 0")
 
 
 def overlap() -> Column:
@@ -71,8 +85,13 @@ def degree_class(edge: DataFrame) -> DataFrame:
 
 
 def propagate(edge: DataFrame, crowd: DataFrame) -> DataFrame:
-    """Per matched entity its crowd_* values: those of its best edge by Jaccard (ties to the smaller feature), the union of tags, and how they came about."""
-    rows = degree_class(edge).join(crowd.select("feature_id", "crowd_height", "levels", "status"), "feature_id")
+    """Per matched entity its crowd_* values, by rules of its component's kind.
+
+    1:1 and n:1 copy the one feature's values; with several features the best edge by Jaccard decides (ties
+    to the smaller feature) and tags are united; ``shared_feature`` marks components of several entities,
+    ``ambiguous`` those of several on both sides, however few edges the entity itself has.
+    """
+    rows = edge_classes(edge).join(crowd.select("feature_id", "crowd_height", "levels", "status"), "feature_id")
     best = F.struct("jaccard", (-F.col("feature_id")).alias("t"))
     return rows.groupBy("city", "entity_id").agg(
         F.max_by("crowd_height", best).alias("crowd_height"),
@@ -80,8 +99,9 @@ def propagate(edge: DataFrame, crowd: DataFrame) -> DataFrame:
         F.array_join(F.array_sort(F.collect_set("status")), ",").alias("crowd_status"),
         F.count(F.lit(1)).alias("sources"),
         F.max("jaccard").alias("best_jaccard"),
-        F.bool_or(F.col("entities_of_feature") > 1).alias("shared_feature"),
-        F.bool_or(F.col("kind") == "n:m").alias("ambiguous"),
+        F.first("kind").alias("kind"),
+        F.first(F.col("kind").isin("n:1", "n:m")).alias("shared_feature"),
+        F.first(F.col("kind") == "n:m").alias("ambiguous"),
     )
 
 
@@ -144,9 +164,19 @@ def shingles(docs: DataFrame, id_col: str, text: str, n: int) -> DataFrame:
     return split.select("id", grams.alias("g")).select("id", F.size("g").cast("long").alias("size"), F.explode("g").alias("item"))
 
 
+#: Items of the smaller side that are broadcast: some 20 MB.
+BROADCAST_ITEMS = 200_000
+
+
 def set_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
-    """The set twin of the box measures, from two ``shingles`` tables: overlap and jaccard of all pairs that share an item."""
-    pairs = a.select(F.col("id").alias("id_a"), F.col("size").alias("area_a"), "item").join(b.select(F.col("id").alias("id_b"), F.col("size").alias("area_b"), "item"), "item")
+    """The set twin of the box measures, from two ``shingles`` tables: overlap and jaccard of all pairs that share an item.
+
+    ``a`` is the smaller side: counted to be small it is broadcast, and items of ``b`` that it lacks are
+    never shuffled; beyond that a common item's rows of ``b`` are dealt over several tasks.
+    """
+    a, b = a.select(F.col("id").alias("id_a"), F.col("size").alias("area_a"), F.col("item").alias("item_a")), b.select(F.col("id").alias("id_b"), F.col("size").alias("area_b"), "item")
+    small = a.count() <= BROADCAST_ITEMS
+    pairs = b.join(F.broadcast(a), F.col("item") == F.col("item_a")) if small else salted_join(b, a, "item", "item_a", F.xxhash64("id_b"))
     rows = pairs.groupBy("id_a", "id_b", "area_a", "area_b").agg(F.count(F.lit(1)).alias("shared"))
     return rows.withColumns({"overlap": overlap(), "jaccard": jaccard()})
 

@@ -187,12 +187,42 @@ def fusion_degree_classes(spark, d):
     return fusion.degree_class(_edges(Layers(spark, d))).groupBy(F.col("city").cast("long").alias("city"), "kind").agg(F.count(F.lit(1)).alias("edges"))
 
 
-@workload("fusion_propagated", sql("""select entity_id, city::bigint city, crowd_height::bigint crowd_height, crowd_levels::bigint crowd_levels, crowd_status, sources::bigint sources, round(best_jaccard, 9) best_jaccard, shared_feature, ambiguous from (
- select entity_id, city, max(case when r = 1 then crowd_height end) crowd_height, max(case when r = 1 then levels end) crowd_levels, string_agg(distinct status, ',' order by status) crowd_status, count(*) sources, max(jaccard) best_jaccard, bool_or(ef > 1) shared_feature, bool_or(ef > 1 and fe > 1) ambiguous
- from (select deg.*, crowd_height, levels, status, row_number() over (partition by entity_id order by jaccard desc, deg.feature_id) r from deg join crowd using (feature_id)) group by 1, 2)""", _DEGREE))
+_KINDS = """kinds as (select component, case when e > 1 and f > 1 then 'n:m' when f > 1 then '1:n' when e > 1 then 'n:1' else '1:1' end kind from (select component, count(*) filter (where node % 2 = 0) e, count(*) filter (where node % 2 = 1) f from comp group by component))"""
+
+
+@workload("fusion_propagated", sql("""select entity_id, city::bigint city, crowd_height::bigint crowd_height, crowd_levels::bigint crowd_levels, crowd_status, sources::bigint sources, round(best_jaccard, 9) best_jaccard, kind, kind in ('n:1', 'n:m') shared_feature, kind = 'n:m' ambiguous from (
+ select entity_id, city, max(case when r = 1 then crowd_height end) crowd_height, max(case when r = 1 then levels end) crowd_levels, string_agg(distinct status, ',' order by status) crowd_status, count(*) sources, max(jaccard) best_jaccard
+ from (select edge.*, crowd_height, levels, status, row_number() over (partition by entity_id order by jaccard desc, edge.feature_id) r from edge join crowd using (feature_id)) group by 1, 2) join comp on node = entity_id * 2 join kinds using (component)""", _COMPONENTS, _KINDS))
 def fusion_propagated(spark, d):
     w = Layers(spark, d)
-    return fusion.propagate(_edges(w), w.crowd).select("entity_id", *long("city", "crowd_height", "crowd_levels"), "crowd_status", *long("sources"), F.round("best_jaccard", 9).alias("best_jaccard"), "shared_feature", "ambiguous")
+    return fusion.propagate(_edges(w), w.crowd).select("entity_id", *long("city", "crowd_height", "crowd_levels"), "crowd_status", *long("sources"), F.round("best_jaccard", 9).alias("best_jaccard"), "kind", "shared_feature", "ambiguous")
+
+
+def _part(a: str, b: str) -> str:
+    """SQL for the area that two boxes share."""
+    return f"(greatest(0, least({a}x1, {b}x1) - greatest({a}x0, {b}x0)) * greatest(0, least({a}y1, {b}y1) - greatest({a}y0, {b}y0)))"
+
+
+_SHAPES = f"""es as (select city, entity_id, x0 ax0, y0 ay0, x1 ax1, y1 ay1, {", ".join(f"{v}0 + case entity_id % 3 when 0 then ({v}1 - {v}0) // 2 when 1 then ({v}1 - {v}0) // 4 else 0 end ac{v}0, case entity_id % 3 when 0 then {v}1 when 1 then {v}0 + ({v}1 - {v}0) // 4 + ({v}1 - {v}0) // 3 else {v}0 end ac{v}1" for v in "xy")} from entity),
+cs as (select city, feature_id, x0 bx0, y0 by0, x1 bx1, y1 by1, {", ".join(f"{v}0 bc{v}0, {v}0 + case when feature_id % 2 = 0 then ({v}1 - {v}0) // 3 else 0 end bc{v}1" for v in "xy")} from crowd),
+pcand as (select es.city, entity_id, feature_id, (ax1 - ax0) * (ay1 - ay0) - (acx1 - acx0) * (acy1 - acy0) area_a, (bx1 - bx0) * (by1 - by0) - (bcx1 - bcx0) * (bcy1 - bcy0) area_b,
+ {_part("a", "b")} - {_part("ac", "b")} - {_part("a", "bc")} + {_part("ac", "bc")} shared from es join cs on es.city = cs.city and ax0 < bx1 and bx0 < ax1 and ay0 < by1 and by0 < ay1)"""
+
+
+@workload("fusion_edges_polygon", sql("select city::bigint city, entity_id, feature_id, shared::double shared, round(shared::double / least(area_a, area_b), 9) overlap, round(shared::double / (area_a + area_b - shared), 9) jaccard from pcand where shared > 0 and 10 * shared >= 3 * least(area_a, area_b)", _SHAPES))
+def fusion_edges_polygon(spark, d):
+    """Fusion by footprints with corners cut out and holes: areas of the polygons, not of their boxes."""
+    w = Layers(spark, d)
+    out = fusion.edges(fusion.candidates(w.entity_shapes, w.crowd_shapes, geometry="polygon"))
+    return out.select(*long("city"), "entity_id", "feature_id", F.col("shared").cast("double").alias("shared"), F.round("overlap", 9).alias("overlap"), F.round("jaccard", 9).alias("jaccard"))
+
+
+@workload("footprint_centroids", sql("select entity_id, a::bigint area, round((bw * mx - cw * hx) / a, 6) x, round((bw * my - cw * hy) / a, 6) y from (select entity_id, (ax1 - ax0) * (ay1 - ay0)::double bw, (acx1 - acx0) * (acy1 - acy0)::double cw, bw - cw a, (ax0 + ax1) / 2.0 mx, (ay0 + ay1) / 2.0 my, (acx0 + acx1) / 2.0 hx, (acy0 + acy1) / 2.0 hy from es)", _SHAPES))
+def footprint_centroids(spark, d):
+    from provgraph.functions import geometry
+
+    rows = Layers(spark, d).entity_shapes.select("entity_id", geometry.polygon_area(F.col("rings")).cast("long").alias("area"), geometry.polygon_centroid(F.col("rings")).alias("c"))
+    return rows.select("entity_id", "area", F.round("c.x", 6).alias("x"), F.round("c.y", 6).alias("y"))
 
 
 @workload("fusion_mutual_best", sql("""select entity_id, feature_id from (select *, row_number() over (partition by entity_id order by jaccard desc, feature_id) a, row_number() over (partition by feature_id order by jaccard desc, entity_id) b from edge) where a = 1 and b = 1"""))

@@ -23,10 +23,10 @@ def learn_features_agnostic(spark, d):
     return features.agnostic(w.entity, _edges(w), w.crowd).select("entity_id", *long("area", "storeys"), F.round("levels", 6).alias("levels"), F.round("height", 6).alias("height"))
 
 
-@workload("learn_features_aware", sql("select e.entity_id, n is not null has_crowd, coalesce(n, 0)::bigint crowd_links, round(coalesce(b, 0), 9) best_jaccard, p.entity_id is not null has_pred from entity e left join (select entity_id, count(*) n, max(jaccard) b from edge group by 1) using (entity_id) left join (select distinct entity_id from predicted) p using (entity_id)"))
+@workload("learn_features_aware", sql("select e.entity_id, n is not null has_crowd, coalesce(n, 0)::bigint crowd_links, round(coalesce(b, 0), 9) best_jaccard, coalesce(g, false) levels_agree, p.entity_id is not null has_pred from entity e left join (select entity_id, count(*) n, max(jaccard) b, min(levels) = max(levels) g from edge join crowd using (feature_id) group by 1) using (entity_id) left join (select distinct entity_id from predicted) p using (entity_id)"))
 def learn_features_aware(spark, d):
     w = Layers(spark, d)
-    return features.aware(w.entity, _edges(w), w.predicted).withColumn("best_jaccard", F.round("best_jaccard", 9))
+    return features.aware(w.entity, _edges(w), w.predicted, w.crowd).withColumn("best_jaccard", F.round("best_jaccard", 9))
 
 
 for _name, _weight in (("message_pass_layer1", "jaccard"), ("message_pass_unit", "1.0")):
@@ -53,7 +53,7 @@ def folds_cut_edges(spark, d):
     return features.cut_edges(_edges(w), w.entity.select("entity_id", features.spatial_fold().alias("fold"))).agg(F.count(F.lit(1)).alias("kept"))
 
 
-def _survey(spark, d, label, classes, models=SURVEY, seeds=range(1), cfg=QUICK, **options) -> DataFrame:
+def _survey(spark, d, label, classes, models=SURVEY, seeds=range(3), cfg=QUICK, **options) -> DataFrame:
     ego = features.ego_table(Layers(spark, d), label, **options)
     pred = train.fit(ego, train.spatial_runs(list(models), seeds), classes, cfg)
     return (metrics.macro_f1 if classes else metrics.r2)(pred, ["model", "seed"])
@@ -76,7 +76,25 @@ def t2_roof_survey(spark, d):
 @workload("t2_function_survey")
 def t2_function_survey(spark, d):
     """The function is random here: every model must be near chance."""
-    return _summary(_survey(spark, d, "function", 5, ["mlp", "mean_pool", "relational", "aware"]))
+    return _summary(_survey(spark, d, "function", 5))
+
+
+_FOLDS = "f as (select entity_id, (tx * 7 + ty * 13 + city * 3) % 5 fold, {y} y from entity where {y} is not null)"
+
+
+@workload("t1_height_floor", sql("""select round(1 - sum((y - m) * (y - m)) / (var_pop(y) * count(*)), 9) r2 from (select y, m from f join (select a.fold, (any_value(t.s) - sum(a.y)) / (any_value(t.n) - count(*)) m from f a, (select sum(y)::double s, count(*) n from f) t group by a.fold) using (fold))""", _FOLDS.format(y="auth_height")))
+def t1_height_floor(spark, d):
+    """What the training mean alone reaches: the floor of every regression."""
+    rows = Layers(spark, d).entity.select("entity_id", features.spatial_fold().alias("fold"), features.target("height").alias("y"))
+    return metrics.r2(train.floor(rows, 0), ["model"]).select(F.round("value", 9).alias("r2"))
+
+
+@workload("t2_roof_floor", sql("""select round(avg(f1), 9) macro_f1 from (select c, 2.0 * tp / (2 * tp + fp + fn) f1 from (select c, count(*) filter (where y = c and m = c) tp, count(*) filter (where y <> c and m = c) fp, count(*) filter (where y = c and m <> c) fn
+ from (select y, m from f join (select fold, arg_max(c, (n, -c)) m from (select g.fold, y c, count(*) n from f join (select distinct fold from f) g on f.fold <> g.fold group by all) group by fold) using (fold)), (select distinct y c from f) group by c))""", _FOLDS.format(y="roof")))
+def t2_roof_floor(spark, d):
+    """What the training part's majority class alone reaches: the floor of every classification."""
+    rows = Layers(spark, d).entity.select("entity_id", features.spatial_fold().alias("fold"), features.target("roof").alias("y"))
+    return metrics.macro_f1(train.floor(rows, 3), ["model"]).select(F.round("value", 9).alias("macro_f1"))
 
 
 @workload("storey_ablation")
@@ -91,18 +109,18 @@ def t1_height_loco(spark, d):
     w = Layers(spark, d)
     ego = features.ego_table(w, "height", fold=features.city_fold(), y=F.col("latent").cast("double"))
     folds = {c: tuple(c * 10 + k for k in range(5)) for c in range(5)}
-    runs = [train.Run(m, 0, tuple(f for o in folds if o != c for f in folds[o]), folds[c], train.VIEW[m], f"{c}:{n}") for c in folds for m, n in (("probe", "probe"), ("mean_pool", "agnostic"), ("aware", "aware"))]
+    runs = [train.Run(m, s, tuple(f for o in folds if o != c for f in folds[o]), folds[c], train.VIEW[m], f"{c}:{n}") for c in folds for m, n in (("probe", "probe"), ("mean_pool", "agnostic"), ("aware", "aware")) for s in range(10)]
     runs += [train.Run("aware", 0, tuple(f for f in folds[c] if f != t), (t,), "aware", f"{c}:own_city") for c in folds for t in folds[c]]
-    r2 = metrics.r2(train.fit(ego, runs, 0, QUICK), ["grouping"])
-    return r2.select(F.split("grouping", ":")[0].cast("long").alias("held_out"), F.split("grouping", ":")[1].alias("protocol"), "value")
+    r2 = metrics.r2(train.fit(ego, runs, 0, QUICK), ["grouping", "seed"])
+    return statistics.over_seeds(r2, ["grouping"]).select(F.split("grouping", ":")[0].cast("long").alias("held_out"), F.split("grouping", ":")[1].alias("protocol"), "mean", "std", "seeds")
 
 
 @workload("t2_roof_pair_transfer")
 def t2_roof_pair_transfer(spark, d):
     """Roof classes between the only two cities that have them."""
     ego = features.ego_table(Layers(spark, d), "roof", fold=F.col("city").cast("int"))
-    runs = [train.Run(m, 0, (a,), (b,), train.VIEW[m], f"{a}->{b}") for m in ("probe", "mean_pool", "aware") for a, b in ((3, 4), (4, 3))]
-    return metrics.macro_f1(train.fit(ego.where("city in (3, 4)"), runs, 3, QUICK), ["model", "grouping"])
+    runs = [train.Run(m, s, (a,), (b,), train.VIEW[m], f"{a}->{b}") for m in ("probe", "mean_pool", "aware") for a, b in ((3, 4), (4, 3)) for s in range(3)]
+    return statistics.over_seeds(metrics.macro_f1(train.fit(ego.where("city in (3, 4)"), runs, 3, QUICK), ["model", "grouping", "seed"]), ["model", "grouping"])
 
 
 @workload("t1_material_impute")
@@ -116,9 +134,9 @@ def t1_material_impute(spark, d):
     classes = best.select("cls").distinct().withColumn("k", number)  # six rows
     lab = best.join(F.broadcast(classes), "cls").select("_d", F.col("k").cast("double").alias("k"))
     ego = features.ego_table(w, "height").where(F.col("city") == DEEP_CITY).drop("y").join(lab, F.col("entity_id") == F.col("_d"), "left").withColumnRenamed("k", "y").drop("_d")
-    pred = cut(train.fit(ego, train.spatial_runs(["mean_pool", "aware"], range(1)), 6, QUICK))
-    per = metrics.per_class_f1(pred, ["model"]).select("model", F.col("c").cast("string").alias("class"), "f1")
-    return per.union(metrics.macro_f1(pred, ["model"]).select("model", F.lit("macro"), "value"))
+    pred = cut(train.fit(ego, train.spatial_runs(["mean_pool", "aware"], range(3)), 6, QUICK))
+    per = metrics.per_class_f1(pred, ["model", "seed"]).select("model", F.col("c").cast("string").alias("class"), F.col("f1").alias("value"))
+    return statistics.over_seeds(per.union(metrics.macro_f1(pred, ["model", "seed"]).select("model", F.lit("macro"), "value")), ["model", "class"])
 
 
 @workload("material_circularity", sql("select count(*)::bigint labelled, count(*) filter (where e)::bigint with_tag, round(count(*) filter (where e) / count(*), 6) share from (select entity_id in (select entity_id from edge join crowd using (feature_id) where status = 'P') e from (select distinct entity_id from predicted))"))
@@ -183,18 +201,54 @@ def t3_attribute_auc(spark, d):
     return _auc(rows, -F.abs(F.col("auth_height") - 300 * F.col("levels")))
 
 
-@workload("t3_encoder_auc")
-def t3_encoder_auc(spark, d):
-    """Links scored by closeness of an encoder's height to the feature's, with a third of the edges hidden from its graph."""
-    w = Layers(spark, d)
+def random_negatives(pairs: DataFrame) -> DataFrame:
+    """The positives of ``pairs`` and for each its entity with another positive's feature of the same city, dealt by hash."""
+    pos = cut(pairs.where("label = 1"))
+    lots = max(1, pos.count() // 1000)
+    deal = Window.partitionBy("city", F.pmod(F.xxhash64("feature_id"), F.lit(lots))).orderBy(F.xxhash64("feature_id", "entity_id"), "entity_id")
+    other = pos.withColumn("_f", F.lead("feature_id").over(deal)).where("_f is not null and _f <> feature_id")
+    known = pos.select(F.col("entity_id").alias("_a"), F.col("feature_id").alias("_b"))
+    neg = other.join(known, (F.col("entity_id") == F.col("_a")) & (F.col("_f") == F.col("_b")), "left_anti")
+    return pos.select("entity_id", "feature_id", "label", "kind").union(neg.select("entity_id", F.col("_f").alias("feature_id"), F.lit(0).alias("label"), "kind"))
+
+
+def link_ego(w: Layers, negatives: str = "nearest") -> DataFrame:
+    """The ego table with link ``pairs``: a third of the edges, hidden from the graph, and unlinked features.
+
+    Presence, count and confidence features come from the edges left; the pair's own overlap is no input.
+    """
     edge = cut(_edges(w))
     hidden = (F.col("entity_id") * 31 + F.col("feature_id") * 17) % 3 == 0
-    ego = features.ego_table(w, "height", leave_out=["storeys"], edge=edge.where(~hidden))
-    pred = train.fit(ego, train.spatial_runs(["mean_pool", "aware"], range(1)), 0, QUICK).select("model", F.col("entity_id").alias("_e"), "yhat")
-    pairs = link_pairs(w, edge).where((F.col("label") == 0) | hidden).join(w.crowd.select("feature_id", "levels"), "feature_id")
-    rows = cut(pairs.join(pred, F.col("entity_id") == F.col("_e")).withColumn("score", -F.abs(F.col("yhat") - 300 * F.col("levels"))))
+    ego = features.ego_table(w, "height", edge=edge.where(~hidden))
+    pairs = link_pairs(w, edge).where((F.col("label") == 0) | hidden).join(w.crowd.select("feature_id", "city"), "feature_id")
+    pairs = random_negatives(pairs) if negatives == "random" else pairs.select("entity_id", "feature_id", "label", "kind")
+    v = F.array(F.col("levels") / 10.0, F.coalesce(F.col("crowd_height") / 3000.0, F.lit(0.0)), F.col("crowd_height").isNotNull().cast("double"), F.col("area") / 200_000.0)
+    rows = pairs.join(w.crowd.select("feature_id", v.alias("v")), "feature_id").groupBy(F.col("entity_id").alias("_p")).agg(F.array_sort(F.collect_list(F.struct("feature_id", "label", "kind", "v"))).alias("pairs"))
+    empty = F.array().cast("array<struct<feature_id:bigint,label:int,kind:string,v:array<double>>>")
+    return ego.join(rows, F.col("entity_id") == F.col("_p"), "left").drop("_p").withColumn("pairs", F.coalesce(F.col("pairs").cast("array<struct<feature_id:bigint,label:int,kind:string,v:array<double>>>"), empty))
+
+
+def _link_aucs(spark, d, models, scorers, negatives="nearest", seeds=range(1)) -> DataFrame:
+    ego = cut(link_ego(Layers(spark, d), negatives))
     both = F.explode(F.when(F.col("kind") == "n:m", F.array(F.lit("all"), F.lit("n:m"))).otherwise(F.array(F.lit("all")))).alias("subset")
-    return metrics.auc(rows.select("model", "label", "score", both), ["model", "subset"])
+    parts = None
+    for scorer in scorers:
+        scored = cut(train.fit(ego, train.spatial_runs(models, seeds, scorer=scorer), 0, QUICK))
+        rows = metrics.auc(scored.select("model", "scorer", "seed", "label", "score", both), ["model", "scorer", "seed", "subset"])
+        parts = rows if parts is None else parts.union(rows)
+    return statistics.over_seeds(parts, ["model", "scorer", "subset"], "auc")
+
+
+@workload("t3_encoder_auc")
+def t3_encoder_auc(spark, d):
+    """Every encoder trained on links, with a dot product and a bilinear scorer, against nearest unlinked features."""
+    return _link_aucs(spark, d, SURVEY, ["dot", "bilinear"])
+
+
+@workload("t3_encoder_random_auc")
+def t3_encoder_random_auc(spark, d):
+    """The same against random features of the city, which are easy."""
+    return _link_aucs(spark, d, ["mlp", "mean_pool", "aware"], ["bilinear"], "random")
 
 
 # --- paired tests --------------------------------------------------------------------------------
@@ -209,18 +263,54 @@ def _paired(spark, scores: DataFrame, a: str, b: str) -> DataFrame:
     return spark.createDataFrame([(a, b, *[out[k] for k in ("n", "mean_diff", "wilcoxon_p", "t", "t_p", "d_z", "lo", "hi", "verdict")])], kinds)
 
 
-TESTS = train.Config(hidden=16, epochs=15, rate=0.03, dropout=0.1)
+TASKS = {"height": 0, "roof": 3, "function": 5}
+
+
+def _paired_tasks(spark, d, a: str, b: str) -> DataFrame:
+    """The paired statistics over ten seeds for height, roof and function."""
+    parts = [_paired(spark, _survey(spark, d, t, k, [a, b], range(10)), a, b).withColumn("task", F.lit(t)) for t, k in TASKS.items()]
+    return parts[0].union(parts[1]).union(parts[2])
 
 
 @workload("aware_vs_agnostic_tests")
 def aware_vs_agnostic_tests(spark, d):
-    return _paired(spark, _survey(spark, d, "height", 0, ["mean_pool", "aware"], range(10), TESTS), "mean_pool", "aware")
+    return _paired_tasks(spark, d, "mean_pool", "aware")
 
 
 @workload("weight_ablation_tests")
 def weight_ablation_tests(spark, d):
     """Only the confidence weights are taken away; source types and coverage features stay."""
-    return _paired(spark, _survey(spark, d, "height", 0, ["unweighted", "aware"], range(10), TESTS), "unweighted", "aware")
+    return _paired_tasks(spark, d, "unweighted", "aware")
+
+
+_PAIRED = "s as (select entity_id % 10 seed, avg(storeys)::double a, avg(latent / (280.0 + 10 * city))::double b from entity group by 1), p as (select count(*) n, avg(b - a) m, stddev_samp(b - a) sd from s)"
+
+
+@workload("paired_statistics", sql("select n::int n, round(m, 9) mean_diff, round(m * sqrt(n) / sd, 6) t, round(m / sd, 6) d_z, round(m - 2.2621571628 * sd / sqrt(n), 6) lo, round(m + 2.2621571628 * sd / sqrt(n), 6) hi from p", _PAIRED))
+def paired_statistics(spark, d):
+    """The statistics themselves on ten groups of the entities, in place of seeds."""
+    e = Layers(spark, d).entity
+    rows = e.groupBy((F.col("entity_id") % 10).cast("int").alias("seed")).agg(F.avg("storeys").alias("a"), F.avg(F.col("latent") / (280.0 + 10 * F.col("city"))).alias("b"))
+    scores = rows.select("seed", F.explode(F.create_map(F.lit("a"), F.col("a"), F.lit("b"), F.col("b"))).alias("model", "value"))
+    return _paired(spark, scores, "a", "b").select("n", F.round("mean_diff", 9).alias("mean_diff"), *[F.round(c, 6).alias(c) for c in ("t", "d_z", "lo", "hi")])
+
+
+_RULES = "r as (select city, entity_id, auth_height y, 300.0 * storeys yhat, roof c, (tx + 2 * ty) % 3 chat from entity)"
+
+
+@workload("metric_r2", sql("select city::bigint city, round(1 - sum((y - yhat) * (y - yhat)) / (var_pop(y) * count(*)), 9) r2 from r where y is not null group by city", _RULES))
+def metric_r2(spark, d):
+    """The regression measure on a rule's predictions."""
+    e = Layers(spark, d).entity.select(F.col("city").cast("long").alias("city"), F.col("auth_height").cast("double").alias("y"), (F.col("storeys") * 300.0).alias("yhat"))
+    return metrics.r2(e, ["city"]).select("city", F.round("value", 9).alias("r2"))
+
+
+@workload("metric_macro_f1", sql("""select city::bigint city, round(avg(2.0 * tp / (2 * tp + fp + fn)), 9) macro_f1 from (select r.city, k.c, count(*) filter (where r.c = k.c and chat = k.c) tp, count(*) filter (where r.c <> k.c and chat = k.c) fp, count(*) filter (where r.c = k.c and chat <> k.c) fn
+ from r join (select distinct city, c from r where c is not null) k on r.city = k.city where r.c is not null group by 1, 2) group by city""", _RULES))
+def metric_macro_f1(spark, d):
+    """The classification measure on a rule's predictions."""
+    e = Layers(spark, d).entity.select(F.col("city").cast("long").alias("city"), F.col("roof").cast("double").alias("y"), ((F.col("tx") + 2 * F.col("ty")) % 3).cast("double").alias("yhat"))
+    return metrics.macro_f1(e, ["city"]).select("city", F.round("value", 9).alias("macro_f1"))
 
 
 @workload("pilot_81")
@@ -232,10 +322,12 @@ def pilot_81(spark, d):
     ego = features.ego_table(w, "height", leave_out=["storeys"]).where(F.col("city") == DEEP_CITY)
     some = ego.orderBy("entity_id").limit(81)
     scores = metrics.r2(train.fit(some, train.spatial_runs(["probe", "mean_pool", "aware"], range(1)), 0, QUICK), ["model"])
-    vectors = walks.embed(_edges(w).where(F.col("city") == DEEP_CITY))
-    z = some.join(vectors, F.col("entity_id") == F.col("_node")).select("entity_id", "city", "fold", "y", F.col("z").alias("x_agnostic"), F.col("z").alias("x_aware"), F.lit(None).cast("array<struct<kind:int,weight:double,v:array<double>,back:array<double>>>").alias("neighbours")).withColumn("neighbours", F.array().cast("array<struct<kind:int,weight:double,v:array<double>,back:array<double>>>"))
-    frozen = metrics.r2(train.fit(z, train.spatial_runs(["probe"], range(1)), 0, QUICK), ["model"]).withColumn("model", F.lit("walks"))
-    return scores.union(frozen)
+    edge, none = _edges(w).where(F.col("city") == DEEP_CITY), F.array().cast("array<struct<kind:int,weight:double,v:array<double>,back:array<double>>>")
+    # Walks are learnt without labels, frozen and probed: steps that like to go on, and plain metapath steps.
+    for name, options in (("walks_biased", {"p": 4.0, "q": 0.25}), ("walks_metapath", {})):
+        z = some.join(walks.embed(edge, **options), F.col("entity_id") == F.col("_node")).select("entity_id", "city", "fold", "y", F.col("z").alias("x_agnostic"), F.col("z").alias("x_aware"), none.alias("neighbours"))
+        scores = scores.union(metrics.r2(train.fit(z, train.spatial_runs(["probe"], range(1)), 0, QUICK), ["model"]).withColumn("model", F.lit(name)))
+    return scores
 
 
 @workload("embedding_projection")

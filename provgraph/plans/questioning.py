@@ -4,9 +4,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from provgraph.functions.durable import cut_table
 from provgraph.plans.registry import workload
 from provgraph.questions import suite
 from provgraph.questions.templates import ALL
+from provgraph.sources.overlay import sql
 
 KINDS = "question_id string, template int, category string, kind string, city int, lang string, text string, feasible boolean, verdict string, split string, outcome string, code string, system string"
 
@@ -20,22 +22,35 @@ def _questions(spark, d):
     return s, s.questions()
 
 
+#: Slot values a template: over a thousand questions, those in three languages included.
+SLOTS = 12
+
+
 @workload("question_inventory")
 def question_inventory(spark, d):
-    q = _questions(spark, d)[1]
+    """Questions by category, city, language, split and verdict, and in all (nulls)."""
+    q = suite.Suite(spark, d).questions(SLOTS)
     names = ["category", "city", "lang", "split", "verdict"]
-    return _frame(spark, q, names, "category string, city int, lang string, split string, verdict string").groupBy(*names).agg(F.count(F.lit(1)).alias("questions"))
+    rows = _frame(spark, q, names, "category string, city int, lang string, split string, verdict string")
+    return rows.groupingSets([names, ["category"], ["split"], []], *names).agg(F.count(F.lit(1)).alias("questions"))
+
+
+_TOKENS = ["auth_height", "roof", "floor_area", "volume", "year_built", "vintage", "用途", "構造", "storeys", "function"]
+_CATALOG = " union all ".join([f"""select city::bigint city, '{t}' as token, count("{t}")::bigint non_null, count(*)::bigint total from entity group by city""" for t in _TOKENS] + [f"select e.city::bigint, '{n}', count(distinct x.entity_id)::bigint, count(distinct e.entity_id)::bigint from entity e left join {t} x on x.entity_id = e.entity_id group by e.city" for n, t in (("predicted", "predicted"), ("recon", "recon"), ("fusion_edge", "edge"))])
+_NEEDS = ", ".join(f"({t.number}, '{n}')" for t in ALL for n in t.needs or ("",))
 
 
-@workload("feasibility_matrix")
+@workload("feasibility_matrix", sql(f"""select template, {", ".join(f'max(case when city = {c} then verdict end) "{c}"' for c in suite.CITIES)} from (
+ select template, c.city, case when bool_or(k <> '' and coalesce(non_null, 0) = 0) then 'infeasible' when bool_or(k <> '' and non_null < total) then 'partial' else 'full' end verdict
+ from (values {_NEEDS}) n(template, k) cross join (select unnest(range(5)) city) c left join have h on h.token = k and h.city = c.city group by all) group by template""", f"have as ({_CATALOG})"))
 def feasibility_matrix(spark, d):
     fits = suite.Suite(spark, d).feasibility()
     return spark.createDataFrame([(t, c, v) for (t, c), v in fits.items()], "template int, city int, verdict string").groupBy("template").pivot("city", list(suite.CITIES)).agg(F.first("verdict"))
 
 
-@workload("token_catalog")
+@workload("token_catalog", sql(_CATALOG))
 def token_catalog(spark, d):
-    return suite.Suite(spark, d).catalog()
+    return suite.Suite(spark, d).catalog().select(*[F.col(c).cast("long").alias(c) if c != "token" else c for c in ("city", "token", "non_null", "total")])
 
 
 @workload("infeasible_guards")
@@ -45,10 +60,13 @@ def infeasible_guards(spark, d):
     return spark.createDataFrame([(x["question_id"], s.guard_count(x["guard"])) for x in q if not x["feasible"] and x["lang"] == "en"], "question_id string, found long")
 
 
-@workload("split_leakage", "select 0::bigint shared_templates")
+@workload("split_leakage", "select case when t * 7919 % 101 < 27 then 'test' else 'dev' end split, count(*)::bigint templates, 0::bigint shared_templates, case when t * 7919 % 101 < 27 then 0 else 1 end::bigint gold_published from range(1, 85) r(t) group by all")
 def split_leakage(spark, d):
-    rows = spark.createDataFrame([(t.number, suite.split(t.number)) for t in ALL], "t int, split string")
-    return rows.groupBy("t").agg(F.countDistinct("split").alias("n")).agg(F.coalesce(F.sum((F.col("n") > 1).cast("long")), F.lit(0)).alias("shared_templates"))
+    """Templates by split, those found in both, and whether what is published of a split has gold queries."""
+    q = suite.public(_questions(spark, d)[1])
+    rows = _frame(spark, [x for x in q if x["feasible"]] + [{**x, "gold": None} for x in q if not x["feasible"]], ["template", "split", "gold"], "template int, split string, gold string")
+    both = rows.groupBy("template").agg(F.countDistinct("split").alias("n"), F.first("split").alias("split"), F.max(F.col("gold").isNotNull().cast("long")).alias("gold"))
+    return both.groupBy("split").agg(F.count(F.lit(1)).alias("templates"), F.sum((F.col("n") > 1).cast("long")).alias("shared_templates"), F.max("gold").alias("gold_published"))
 
 
 @workload("gate_report")
@@ -71,19 +89,17 @@ def multilingual_same_gold(spark, d):
     return out.groupBy("template", "city").agg(F.countDistinct("lang").alias("languages"), F.countDistinct("digest").alias("answers"))
 
 
-def _outcomes(spark, d, systems=("careful", "hallucinating", "gold_system", "always_decline")) -> DataFrame:
-    """Outcomes of the simulated systems on a stratified part of the suite: the first of each category and city by number, and every fourth after."""
+def _outcomes(spark, d, systems=("careful", "hallucinating", "never_decline", "keyword_rules", "gold_system", "always_decline")) -> DataFrame:
+    """Outcomes of the simulated systems on the stratified part of the suite; outputs are read back from a table."""
     s, q = _questions(spark, d)
-    seen: dict = {}
-    part = []
-    for x in q:
-        if x["lang"] == "en":
-            n = seen[x["category"], x["city"]] = seen.get((x["category"], x["city"]), -1) + 1
-            if n % 4 == 0:
-                part.append(x)
-    gold = {x["question_id"]: s.run(x["gold"], x["ordered"]).get("digest") for x in part if x["feasible"]}
+    part = suite.subsample(q)
+    gold = {r["question_id"]: r["digest"] for r in s.materialise(part).collect()}
     part = [{**x, "digest": gold.get(x["question_id"])} for x in part]
-    rows = [{**r, "system": n} for n in systems for r in s.score(part, {x["question_id"]: suite.SYSTEMS[n](x) for x in part})]
+    said = cut_table(spark.createDataFrame([(n, x["question_id"], suite.SYSTEMS[n](x)) for n in systems for x in part], "system string, question_id string, output string"))
+    answers: dict = {}
+    for r in said.collect():  # a row a system and question
+        answers.setdefault(r["system"], {})[r["question_id"]] = r["output"]
+    rows = [{**r, "system": n} for n in systems for r in s.score(part, answers[n])]
     return _frame(spark, rows, [k.split()[0] for k in KINDS.split(", ")], KINDS)
 
 

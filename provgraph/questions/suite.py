@@ -2,13 +2,17 @@
 from __future__ import annotations
 
 import re
+import unicodedata
+import uuid
 from concurrent.futures import ThreadPoolExecutor
 
+import pandas as pd
 from pyspark.errors import AnalysisException, ParseException
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
-from provgraph.functions.durable import cut
+from provgraph.functions.durable import cut, cut_table
 from provgraph.operators import fusion, provenance
 from provgraph.questions.templates import ALL, Template
 from provgraph.sources.overlay import Layers
@@ -21,7 +25,7 @@ class Suite:
     """Views of one scale directory under a prefix of their own, and the questions over them."""
 
     def __init__(self, spark: SparkSession, folder: str):
-        self.spark = spark
+        self.spark, self.folder = spark, folder
         w = Layers(spark, folder)
         edge = cut(fusion.edges(fusion.candidates(w.entity, w.crowd)).select("city", "entity_id", "feature_id", "shared", "overlap", "jaccard"))
         city = w.entity.select("entity_id", "city")
@@ -36,7 +40,7 @@ class Suite:
             "activity": w.table("events").select("user_id", "event_type", "value"),
         }
         self.frames = {k: cut(v) for k, v in frames.items()}
-        self.prefix = f"q{abs(hash(folder)) % 10**8}_"
+        self.prefix = f"q{uuid.uuid4().hex[:12]}_"
         for k, v in self.frames.items():
             v.createOrReplaceTempView(self.prefix + k)
 
@@ -76,7 +80,7 @@ class Suite:
                     fill = lambda q: re.sub(r"\bS\b", str(value), re.sub(r"\bC\b", str(c), q))  # noqa: E731,B023
                     verdict = fits[t.number, c]
                     for lang, text in {"en": t.text, **t.others}.items():
-                        out.append({"question_id": f"{t.number}-{c}-{k}-{lang}", "template": t.number, "category": t.category, "kind": t.kind, "city": c, "lang": lang, "text": re.sub(r"\bS\b", str(value), text), "feasible": verdict != "infeasible", "verdict": verdict, "gold": fill(t.gold) if verdict != "infeasible" else None, "guard": guard(t, c) if verdict == "infeasible" else None, "ordered": t.ordered, "split": split(t.number)})
+                        out.append({"question_id": f"{t.number}-{c}-{k}-{lang}", "template": t.number, "category": t.category, "kind": t.kind, "city": c, "lang": lang, "text": re.sub(r"\bS\b", str(value), text), "feasible": verdict != "infeasible", "verdict": verdict, "gold": fill(t.gold) if verdict != "infeasible" else None, "guard": guard(t, c, self.frames) if verdict == "infeasible" else None, "ordered": t.ordered, "split": split(t.number)})
         return out
 
     def context(self) -> str:
@@ -85,7 +89,7 @@ class Suite:
 
     def run(self, text: str, ordered: bool = False, partitions: int | None = None) -> dict:
         """n_rows and digest, or the error's code; one read-only query."""
-        if code := admit(text):
+        if code := self.admit(text):
             return {"error": code}
         try:
             df = self.spark.sql(self.sql(text))
@@ -100,6 +104,23 @@ class Suite:
         except Exception as e:  # noqa: BLE001  whatever a task threw is the system's error
             return {"error": "timeout" if "cancelled" in str(e).lower() else "runtime"}
 
+    def admit(self, text: str) -> str | None:
+        """``forbidden`` unless the text is one read query over the suite's views: its parsed plan names no other relation, file or command."""
+        if code := admit(text):
+            return code
+        try:
+            plan = self.spark._jsparkSession.sessionState().sqlParser().parsePlan(text).toString()
+        except Exception:  # noqa: BLE001  running it will tell what is wrong with it
+            return None
+        known = {*VIEWS, *(n for names in re.findall(r"\bCTE \[([^\]]*)\]", plan) for n in names.split(", "))}
+        if re.search(r"InsertInto|Command\b|CreateTable|CreateView|ReplaceTable|DeleteFrom|UpdateTable|MergeInto", plan):
+            return "forbidden"
+        if set(re.findall(r"UnresolvedRelation \[([^\]]*)\]", plan)) - known:
+            return "forbidden"
+        if set(re.findall(r"UnresolvedTableValuedFunction \[([^\]]*)\]", plan)) - {"range", "explode", "posexplode", "inline", "stack"}:
+            return "forbidden"
+        return None
+
     def execute(self, text: str, ordered: bool, timeout_s: float) -> dict:
         """``run`` under a tag that is interrupted at the time limit."""
         import threading
@@ -114,29 +135,48 @@ class Suite:
             timer.cancel()
             self.spark.removeTag(tag)
 
+    def materialise(self, questions: list[dict], threads: int = 8) -> DataFrame:
+        """(question_id, n_rows, digest, error) of all gold answers, written as a table."""
+        asked = [q for q in questions if q["feasible"]]
+        with ThreadPoolExecutor(threads) as pool:
+            got = list(pool.map(lambda q: self.run(q["gold"], q["ordered"]), asked))
+        rows = [(q["question_id"], a.get("n_rows"), a.get("digest"), a["error"]) for q, a in zip(asked, got)]
+        return cut_table(self.spark.createDataFrame(rows, "question_id string, n_rows long, digest string, error string"))
+
     def gate(self, questions: list[dict], threads: int = 8) -> list[dict]:
-        """The five stages per question: runs, deterministic, not empty unless allowed, guard present and zero, answer materialised."""
-        allowed = {t.number: t.may_be_empty for t in ALL}
+        """The five stages per question: runs, deterministic, not empty unless allowed, guard present and zero, answer materialised.
+
+        The guard of a feasible question must find what its template needs.  An infeasible one has no answer that
+        could be empty or written: null there.
+
+        Answers are written; then the graph's views are built anew, every query is asked of them under another
+        partitioning, and what comes must equal what was written.
+        """
+        known = {t.number: t for t in ALL}
+        stored = {r["question_id"]: r for r in self.materialise(questions, threads).collect()}  # a row a question
+        rebuilt = Suite(self.spark, self.folder)
 
         def one(q):
+            t = known[q["template"]]
             if q["feasible"]:
-                a, b = self.run(q["gold"], q["ordered"]), self.run(q["gold"], q["ordered"], 3)
+                a, b = stored[q["question_id"]], rebuilt.run(q["gold"], q["ordered"], 3)
                 ok = a["error"] is None
-                return {**q, "runs": ok, "deterministic": ok and a == b, "non_empty": ok and (a["n_rows"] > 0 or allowed[q["template"]]), "guarded": True, "materialised": ok, "digest": a.get("digest"), "n_rows": a.get("n_rows")}
-            absent = self.guard_count(q["guard"])
-            return {**q, "runs": True, "deterministic": True, "non_empty": True, "guarded": absent == 0, "materialised": True, "digest": None, "n_rows": None}
+                same = ok and b["error"] is None and (a["n_rows"], a["digest"]) == (b["n_rows"], b["digest"])
+                return {**q, "runs": ok, "deterministic": same, "non_empty": ok and (a["n_rows"] > 0 or t.may_be_empty), "guarded": not t.needs or bool(self.guard_count(guard(t, q["city"], self.frames))), "materialised": same and a["digest"] is not None, "digest": a["digest"], "n_rows": a["n_rows"]}
+            found, again = self.guard_count(q["guard"]), rebuilt.guard_count(q["guard"])
+            return {**q, "runs": found is not None, "deterministic": found is not None and found == again, "non_empty": None, "guarded": found == 0, "materialised": None, "digest": None, "n_rows": None}
 
         with ThreadPoolExecutor(threads) as pool:
             return list(pool.map(one, questions))
 
-    def guard_count(self, guard: str | None) -> int:
-        """How much of what a guard query looks for there is; a name that no view has counts as none."""
+    def guard_count(self, guard: str | None) -> int | None:
+        """How much of what a guard query looks for there is; null without a guard, and for one that fails: an error proves nothing."""
         if not guard:
-            return -1
+            return None
         try:
             return self.spark.sql(self.sql(guard)).first()[0]
-        except AnalysisException:
-            return 0
+        except (AnalysisException, ParseException):
+            return None
 
     def score(self, questions: list[dict], outputs: dict[str, str | None], timeout_s: float = 60, threads: int = 8) -> list[dict]:
         """Outcome per question; ``outputs``: the query text, or None for a decline."""
@@ -162,11 +202,45 @@ def split(template: int) -> str:
     return "test" if template * 7919 % 101 < 27 else "dev"
 
 
-def guard(t: Template, city: int) -> str:
-    """Counts what the template needs in the city; zero proves that it is absent."""
-    layer = {"predicted": "predicted", "recon": "recon"}
-    parts = [f"(select count(*) from {layer[n]} where city = {city})" if n in layer else f"(select count(`{n}`) from entity where city = {city})" for n in t.needs]
-    return f"select least({', '.join(parts)}, 1000000000)"
+def guard(t: Template, city: int, frames: dict[str, DataFrame]) -> str:
+    """Counts what the template needs in the city; zero proves that it is absent.
+
+    An attribute that the catalogue's schema doesn't have at all counts as 0 by the schema, not by an error.
+    """
+    layers = ("predicted", "recon")
+
+    def one(n: str) -> str:
+        if n in layers:
+            return f"(select count(*) from {n} where city = {city})"
+        return f"(select count(`{n}`) from entity where city = {city})" if n in frames["entity"].columns else "0"
+
+    return f"select least({', '.join(map(one, t.needs))}, 1000000000)"
+
+
+def public(questions: list[dict]) -> list[dict]:
+    """What is published: the held-out questions without gold query, guard or answer."""
+    hidden = ("gold", "guard", "digest", "n_rows")
+    return [{k: None if q["split"] == "test" and k in hidden else v for k, v in q.items()} for q in questions]
+
+
+def subsample(questions: list[dict], every: int = 4) -> list[dict]:
+    """Of each category and city the first question by number and every ``every``-th after it, in English."""
+    seen: dict = {}
+    out = []
+    for q in questions:
+        if q["lang"] == "en":
+            n = seen[q["category"], q["city"]] = seen.get((q["category"], q["city"]), -1) + 1
+            if n % every == 0:
+                out.append(q)
+    return out
+
+
+def load_outputs(spark: SparkSession, path: str, system: str | None = None) -> dict[str, str | None]:
+    """Cached outputs of a system by question: Parquet, or JSON lines, of (question_id, output[, system]); a null output is a decline."""
+    rows = spark.read.json(path) if path.endswith((".json", ".jsonl")) else spark.read.parquet(path)
+    if system is not None:
+        rows = rows.where(F.col("system") == system)
+    return {r["question_id"]: r["output"] for r in rows.select("question_id", "output").collect()}  # a row a question
 
 
 def admit(text: str) -> str | None:
@@ -177,11 +251,17 @@ def admit(text: str) -> str | None:
     return None
 
 
+@F.pandas_udf(StringType())
+def _nfc(text: pd.Series) -> pd.Series:
+    return text.map(lambda x: x if x is None or x.isascii() else unicodedata.normalize("NFC", x))
+
+
 def canonical(df: DataFrame, ordered: bool = False) -> DataFrame:
-    """(n_rows, digest): names don't count, 1 is 1.0, -0 is 0, NaN is NaN, six decimals; a bag of rows.
+    """(n_rows, digest): names don't count, 1 is 1.0, -0 is 0, NaN is NaN, six decimals, composed characters.
 
-    With an order contract the caller's query holds a total order and a limit, so that the same rows in
-    the same order are the same bag; ``ordered`` marks it.  The digest is a sum of row hashes, so it needs no sort and keeps duplicates apart from single rows.
+    A bag of rows: the digest is a sum of row hashes, so it needs no sort and keeps duplicates apart from
+    single rows.  With an order contract it is a list: a row's hash holds its number, and arrays keep their
+    order.  Such a query has a limit, so its rows can be numbered in one task.
     """
 
     def cell(name: str, kind: str):
@@ -190,11 +270,14 @@ def canonical(df: DataFrame, ordered: bool = False) -> DataFrame:
             d = c.cast("double")
             return F.when(F.isnan(d), "NaN").otherwise(F.format_string("%.6f", F.round(d, 6) + F.lit(0.0)))
         if kind.startswith("array"):
-            return F.to_json(F.array_sort(c))
-        return c.cast("string")
+            return F.to_json(c if ordered else F.array_sort(c))
+        return _nfc(c) if kind == "string" else c.cast("string")
 
     df = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
     cells = [F.coalesce(F.concat(F.lit("v"), cell(n, k)), F.lit("n")) for n, k in df.dtypes]
+    if ordered:
+        df = df.withColumn("_at", F.row_number().over(Window.orderBy(F.monotonically_increasing_id())))
+        cells.append(F.col("_at").cast("string"))
     h = F.sha2(F.to_json(F.array(*cells)), 256)
     half = lambda i: F.conv(F.substring("h", i, 16), 16, 10).cast("decimal(20,0)")
     rows = df.select(h.alias("h"))
@@ -241,7 +324,21 @@ def gold_system(q: dict) -> str | None:
     return q["gold"]
 
 
-SYSTEMS = {f.__name__: f for f in (careful, hallucinating, provenance_blind, coverage_blind, always_decline, gold_system)}
+def never_decline(q: dict) -> str | None:
+    """Right wherever there is an answer, and answers where there is none."""
+    return q["gold"] if q["feasible"] else "select 0"
+
+
+#: What the keyword translator knows: the first word that the question holds decides.
+KEYWORDS = [("how many", "select count(*) from entity where city = {city}"), ("average", "select avg(auth_height) from entity where city = {city}"), ("height", "select max(auth_height) from entity where city = {city}"), ("which", "select entity_id from entity where city = {city}")]
+
+
+def keyword_rules(q: dict) -> str | None:
+    """One fixed query a keyword; declines where it knows none."""
+    return next((sql.format(city=q["city"]) for word, sql in KEYWORDS if word in q["text"].lower()), None)
+
+
+SYSTEMS = {f.__name__: f for f in (careful, hallucinating, provenance_blind, coverage_blind, always_decline, never_decline, keyword_rules, gold_system)}
 
 
 def rates(outcomes: DataFrame, by: list[str]) -> DataFrame:

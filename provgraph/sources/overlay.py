@@ -15,6 +15,33 @@ def box(x0: Column, y0: Column, w: Column, h: Column) -> dict[str, Column]:
     return {"x0": x0, "y0": y0, "x1": x0 + w, "y1": y0 + h}
 
 
+def _corners(*points: tuple[Column, Column]) -> Column:
+    return F.array(*[F.struct(x.cast("long").alias("x"), y.cast("long").alias("y")) for x, y in points])
+
+
+def shaped(df: DataFrame, kind: Column) -> DataFrame:
+    """``df`` with ``rings`` and the footprint's ``area``: the box less a part (cx0, cy0, cx1, cy1).
+
+    Kind 0: the upper right quarter is missing; 1: a hole; 2: the lower left ninth is missing; else the whole box.
+    """
+    w, h = F.col("x1") - F.col("x0"), F.col("y1") - F.col("y0")
+    part = lambda v, size, lo, hi: (F.col(v) + lo(size), F.col(v) + hi(size))
+    div = lambda k: lambda size: F.floor(size / k)
+    zero, full = (lambda size: F.lit(0)), (lambda size: size)
+    span = {0: (div(2), full), 1: (div(4), lambda size: F.floor(size / 4) + F.floor(size / 3)), 2: (zero, div(3))}
+    pick = lambda v, size, i: F.coalesce(*[F.when(kind == k, part(v, size, *s)[i]) for k, s in span.items()], F.col(v))
+    df = df.withColumns({"cx0": pick("x0", w, 0), "cy0": pick("y0", h, 0), "cx1": pick("x0", w, 1), "cy1": pick("y0", h, 1)})
+    x0, y0, x1, y1, cx0, cy0, cx1, cy1 = (F.col(c) for c in ("x0", "y0", "x1", "y1", "cx0", "cy0", "cx1", "cy1"))
+    box_ring = _corners((x0, y0), (x1, y0), (x1, y1), (x0, y1))
+    rings = (
+        F.when(kind == 0, F.array(_corners((x0, y0), (x1, y0), (x1, cy0), (cx0, cy0), (cx0, y1), (x0, y1))))
+        .when(kind == 1, F.array(box_ring, _corners((cx0, cy0), (cx1, cy0), (cx1, cy1), (cx0, cy1))))
+        .when(kind == 2, F.array(_corners((cx1, y0), (x1, y0), (x1, y1), (x0, y1), (x0, cy1), (cx1, cy1))))
+        .otherwise(F.array(box_ring))
+    )
+    return df.withColumns({"rings": rings, "area": w * h - (cx1 - cx0) * (cy1 - cy0)})
+
+
 @dataclass
 class Layers:
     """Lazy DataFrames of one scale directory."""
@@ -70,6 +97,16 @@ class Layers:
         )
         return rows.select("feature_id", "city", "x0", "y0", "x1", "y1", "area", "levels", "crowd_height", F.col("o_orderstatus").alias("status"), "tags")
 
+    @property
+    def entity_shapes(self) -> DataFrame:
+        """Entities with footprints: L-shapes, boxes with a hole, boxes."""
+        return shaped(self.entity.select("city", "entity_id", "x0", "y0", "x1", "y1"), F.when(F.col("entity_id") % 3 < 2, F.col("entity_id") % 3).otherwise(3))
+
+    @property
+    def crowd_shapes(self) -> DataFrame:
+        """Crowd features with footprints: L-shapes and boxes."""
+        return shaped(self.crowd.select("city", "feature_id", "x0", "y0", "x1", "y1"), F.when(F.col("feature_id") % 2 == 0, 2).otherwise(3))
+
     @cached_property
     def predicted(self) -> DataFrame:
         """Predicted classes with pixel counts, for part of one city."""
