@@ -27,9 +27,9 @@ STATE = 16
 HEAD_CLASSES, HEAD_SIZE = 16, 32
 TAIL_CLASSES = 24
 WINDOW = 24
-PASSES, ROUNDS = 2, 3
+PASSES, ROUNDS, RATE = 1, 2, 0.02
 LANES = 192
-CHUNK = 1 << 20  # tokens learnt from or scored at once; a longer document is a chunk of its own
+CHUNK, STEP_TOKENS = 1 << 20, 1 << 22  # tokens learnt from, and scored, at once; a longer document is a chunk of its own
 #: Texts that ask for their counts together, and such batches in a task.
 BATCH_BYTES, BATCHES_A_TASK = 8 << 20, 4
 POOL = 1 << 19  # hashes that are held before they are made distinct
@@ -221,32 +221,32 @@ class Network:
             at += x.size
 
     def log_likelihood(self, docs: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
-        """Natural log-likelihood of each document's classes and head words; documents run in step, longest first."""
-        size = np.array([len(c) for c, _ in docs])
+        """``likelihoods`` of documents given as classes and items."""
+        return self.likelihoods([self.symbol(c, i).astype(np.uint16) for c, i in docs])
+
+    def likelihoods(self, docs: list[np.ndarray]) -> np.ndarray:
+        """Natural log-likelihood of each document's classes and head words, from its input rows; documents run in step, longest first."""
+        size = np.array([len(x) for x in docs])
         order = np.argsort(-size, kind="stable")
         out = np.zeros(len(docs))
         h = np.zeros((len(docs), self.d), np.float32)
-        t = 0
-        top = int(size.max(initial=0))
-        flat_c = np.concatenate([docs[i][0] for i in order]) if len(docs) else np.empty(0, np.int64)
-        flat_i = np.concatenate([docs[i][1] for i in order]) if len(docs) else np.empty(0, np.int64)
-        flat_x = self.symbol(flat_c, flat_i)
-        base, sorted_size = np.concatenate([[0], np.cumsum(size[order])])[:-1], size[order]
+        t, top = 0, int(size.max(initial=0))
+        flat = np.concatenate([docs[i] for i in order]) if len(docs) else np.empty(0, np.uint16)
+        base, falling = np.concatenate([[0], np.cumsum(size[order])])[:-1], -size[order]
         while t < top:
-            states, spots, lanes = [], [], []
-            budget = 0
+            states, read, lanes, budget = [], [], [], 0
             while t < top and budget < 32_768:
-                live = int(np.searchsorted(-sorted_size, -t, "left"))
+                live = int(np.searchsorted(falling, -t, "left"))
                 h = h[:live]
-                at = base[:live] + t
+                x = flat[base[:live] + t].astype(np.int64)
                 states.append(h)
-                spots.append(at)
-                lanes.append(np.arange(live))
-                h = self.step(flat_x[at], h)[0]
+                read.append(x)
+                lanes.append(live)
+                h = self.step(x, h)[0]
                 t += 1
                 budget += live
-            at, who = np.concatenate(spots), np.concatenate(lanes)
-            got = self.outputs(np.concatenate(states), flat_c[at], flat_i[at])
+            got = self.outputs(np.concatenate(states), *self.place(np.concatenate(read)))
+            who = np.concatenate([np.arange(n) for n in lanes])
             out[order] += np.bincount(who, got, len(docs))
         return out
 
@@ -403,7 +403,7 @@ def encode(docs: DataFrame, counts: DataFrame, vocabulary: Vocabulary, *, batch_
     return dealt.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(run, ENCODED)
 
 
-def fit(encoded: DataFrame, vocabulary: Vocabulary, *, state: int = STATE, passes: int = PASSES, rounds: int = ROUNDS, rate: float = 0.01) -> Network:
+def fit(encoded: DataFrame, vocabulary: Vocabulary, *, state: int = STATE, passes: int = PASSES, rounds: int = ROUNDS, rate: float = RATE) -> Network:
     """Learns from every token of the rows that are ``learnt``, ``passes`` times, each time in ``rounds`` parts by hash."""
     net = Network(state)
     net.prepare((np.concatenate([vocabulary.head_counts.sum(axis=1), vocabulary.mass, [1.0]]), vocabulary.head_counts))
@@ -453,10 +453,10 @@ def score(encoded: DataFrame, vocabulary: Vocabulary, net: Network) -> DataFrame
             size = np.cumsum(batch.column("n_tokens").to_numpy())
             lo = 0
             while lo < len(size):
-                hi = max(lo + 1, int(np.searchsorted(size, (size[lo - 1] if lo else 0) + CHUNK, "right")))
+                hi = max(lo + 1, int(np.searchsorted(size, (size[lo - 1] if lo else 0) + STEP_TOKENS, "right")))
                 rows = batch.slice(lo, hi - lo)
-                docs = [Network.place(np.frombuffer(x.as_buffer(), "<u2") & ~RARE) for x in rows.column("tokens")]
-                ll = sent.value.log_likelihood(docs) / np.log(10) + rows.column("fixed").to_numpy()
+                docs = [np.frombuffer(x.as_buffer(), "<u2") & ~RARE for x in rows.column("tokens")]
+                ll = sent.value.likelihoods(docs) / np.log(10) + rows.column("fixed").to_numpy()
                 names = ["doc_id", "held_out", "n_tokens", "n_known", "base_score"]
                 doc, out, n, seen, base = (rows.column(c) for c in names)
                 yield pa.RecordBatch.from_arrays([doc, out, n, seen, pa.array(np.full(hi - lo, known, np.int64)), base, pa.array(ll)], KIND.names)

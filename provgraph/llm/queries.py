@@ -121,9 +121,9 @@ g as (select list(lot order by lot) ls, list(w order by lot) ws, list_sum(list(w
 r(t, a, pick) as (select 0::bigint, list_transform(ws, lambda x: 0::bigint), 0::bigint from g
  union all select t + 1, list_transform(range(1, len(ws) + 1), lambda k: a[k] + (case when k = p then 1 else 0 end)::bigint), p
  from (select t, a, ws, d, list_min(list_transform(list_filter(range(1, len(ws) + 1), lambda k: a[k] * d // ws[k] <= t), lambda k: struct_pack(due := ((a[k] + 1) * d + ws[k] - 1) // ws[k], k := k))).k p from r, g where t < d)),
-s as (select ls[pick] lot, t - 1 at, row_number() over (partition by pick order by t) - 1 j from r, g where t > 0),
+s as (select ls[pick] lot, t - 1 spot, row_number() over (partition by pick order by t) - 1 j from r, g where t > 0),
 n as (select doc_id, source, coalesce('s:' || source, 'null') lot, row_number() over (partition by source order by md5(coalesce(doc_id::varchar, ''))) - 1 p, md5(coalesce(text, '')) text_md5 from documents)
-select n.doc_id, n.source, text_md5, p // 16 block, (p % 16)::int pos, p // 16 * d // w as release, ((p // 16 + 1) * d + w - 1) // w deadline, p // 16 // w * d + s.at slot
+select n.doc_id, n.source, text_md5, p // 16 block, (p % 16)::int pos, p // 16 * d // w as release, ((p // 16 + 1) * d + w - 1) // w deadline, p // 16 // w * d + s.spot slot
 from n join lots using (lot) cross join g join s on s.lot = n.lot and s.j = p // 16 % w
 """
 
