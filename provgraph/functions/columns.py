@@ -3,6 +3,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 
 def column(name: str) -> Column:
@@ -26,7 +27,18 @@ def packed(df: DataFrame, **own: Column) -> DataFrame:
 def unpacked(df: DataFrame, columns: list[str], **added: Column) -> DataFrame:
     """The packed table's ``columns`` and what the operator adds; a column of the same name as an added one gives way to it."""
     gone = {k.lower() for k in added}
-    return df.select(*[F.col("row").getField(c).alias(c) for c in columns if c.lower() not in gone], *[v.alias(k) for k, v in added.items()])
+    df = df.select("row", *[v.alias(f"added{i}") for i, v in enumerate(added.values())])  # before any name of the table's comes up
+    return df.select(*[F.col("row").getField(c).alias(c) for c in columns if c.lower() not in gone], *[F.col(f"added{i}").alias(k) for i, k in enumerate(added)])
+
+
+def schema_with(df: DataFrame, **added: str) -> StructType:
+    """The schema of ``df`` and fields of these names and types (DDL) after it."""
+    return StructType([*df.schema.fields, *(StructField(name, StructType.fromDDL(f"x {kind}")[0].dataType) for name, kind in added.items())])
+
+
+def mapped(df: DataFrame, run, schema: StructType) -> DataFrame:
+    """``df.mapInArrow`` for columns of any names: ``run`` gets batches whose columns are in order, but named c0, c1 and so on."""
+    return df.toDF(*[f"c{i}" for i in range(len(df.columns))]).mapInArrow(run, schema)
 
 
 def hashable(df: DataFrame) -> list[Column]:

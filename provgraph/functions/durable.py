@@ -25,14 +25,23 @@ def checkpoint_folder(spark: SparkSession) -> str:
     return jsc.getCheckpointDir().get()
 
 
+#: Files of an intermediate table for each core of the cluster, at most: many tiny files cost more than they hold.
+FILES_A_CORE = 4
+
+
+def _packed_up(df: DataFrame) -> DataFrame:
+    """``df`` in no more partitions than FILES_A_CORE for each core; nothing is shuffled for that."""
+    return df.coalesce(max(8, FILES_A_CORE * df.sparkSession.sparkContext.defaultParallelism))
+
+
 def cut(df: DataFrame) -> DataFrame:
     """``df`` computed once and kept in the shared checkpoint folder."""
     checkpoint_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    return _packed_up(df).checkpoint(eager=True)
 
 
 def cut_table(df: DataFrame) -> DataFrame:
     """``df`` as Parquet in the shared checkpoint folder: compressed, read by column, without a partitioning."""
     path = f"{checkpoint_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    _packed_up(df).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -5,12 +5,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from provgraph.functions.durable import cut
+from provgraph.functions.ranking import salted_join
 
 
 def _minimum_of_closed_neighbourhood(pairs: DataFrame) -> DataFrame:
-    """(u, v) pairs -> (u, v, m) with m the least of u and its neighbours; the minimum is map-side combined."""
+    """(u, v) pairs -> (u, v, m) with m the least of u and its neighbours; the minimum is map-side combined, a hub's pairs are dealt over several tasks."""
     least = pairs.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("_u"), F.least("u", "m").alias("m"))
-    return pairs.join(least, F.col("u") == F.col("_u")).drop("_u")
+    return salted_join(pairs, least, "u", "_u", F.xxhash64("v"), lots=8).drop("_u")
 
 
 def _large_star(edges: DataFrame) -> DataFrame:

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from provgraph.functions.durable import cut
+from provgraph.functions.geometry import polygon_area
 from provgraph.operators import fusion, provenance
 from provgraph.sources.overlay import Layers
 
@@ -45,6 +46,22 @@ class PropertyGraph:
         fused = edge.select("city", F.lit("fusion").alias("kind"), F.col("entity_id").alias("src"), F.col("feature_id").alias("dst"), "overlap", "jaccard")
         return cls(reduce(DataFrame.unionByName, all_nodes), reduce(DataFrame.unionByName, [fused, link(recon, "facade", "recon_id"), link(pred, "material", "entity_id")]))
 
+    def with_external(self, rows: DataFrame, layer: str, kind: str, ident: str, attrs: list[str], links: DataFrame | None = None) -> PropertyGraph:
+        """The graph and the objects of a further source: each is a node of its own, with its id, box (if ``rows`` has one) and attributes.
+
+        ``links`` (city, src, dst, jaccard) ties them to entities; nothing that is there already changes.
+        """
+        if layer == "auth":
+            raise ValueError("the authoritative layer is not external")
+        box = [F.col(c).cast("long").alias(c) if c in rows.columns else F.lit(None).cast("long").alias(c) for c in ("x0", "y0", "x1", "y1")]
+        pairs = [x for a in attrs for x in (F.lit(a), F.col(a).cast("string"))]
+        kept = F.map_filter(F.create_map(*pairs), lambda k, v: v.isNotNull())
+        nodes = rows.select("city", F.lit(layer).alias("layer"), F.lit(kind).alias("kind"), F.col(ident).alias("node_id"), F.coalesce(provenance.trust_of(F.lit(layer)), F.lit(0)).alias("trust"), *box, kept.alias("attrs"))
+        edges = self.edges
+        if links is not None:
+            edges = edges.unionByName(links.select("city", F.lit(kind).alias("kind"), "src", "dst", F.lit(None).cast("double").alias("overlap"), "jaccard"))
+        return PropertyGraph(self.nodes.unionByName(nodes), edges)
+
     def tier(self, n: int) -> PropertyGraph:
         """Tier 1: the two layers that every city has.  Tier 2: all four."""
         if n == 2:
@@ -57,8 +74,10 @@ class PropertyGraph:
 
     def invariants(self) -> DataFrame:
         """(name, violations): no overwriting of authoritative values, identity of external nodes, confidence of fusion edges, one trust class a fact."""
+        # The authoritative layer's own keys, a few dozen by schema: no other layer may bring a value under one of them.
+        own = [r[0] for r in self.nodes.where("layer = 'auth'").select(F.explode(F.map_keys("attrs")).alias("k")).distinct().collect()]
         n = self.nodes.agg(
-            F.sum(((F.col("layer") != "auth") & F.array_contains(F.map_keys("attrs"), "auth_height")).cast("long")).alias("no_overwrite"),
+            F.sum(((F.col("layer") != "auth") & F.arrays_overlap(F.map_keys("attrs"), F.array(*map(F.lit, own)).cast("array<string>"))).cast("long")).alias("no_overwrite"),
             F.sum(((F.col("layer") != "auth") & F.col("node_id").isNull()).cast("long")).alias("external_identity"),
             F.sum(F.col("trust").isNull().cast("long")).alias("one_trust_class"),
         )
@@ -89,6 +108,29 @@ def validate_boxes(df: DataFrame, ident: str, *, span: int = 10_000_000) -> Data
     return rows.union(repeated)
 
 
+def validate_rings(df: DataFrame, ident: str, *, rings: str = "rings", crs: str | None = None, expected: str | None = None) -> DataFrame:
+    """(rule, id): unclosed rings (fewer than three corners, or an end that isn't the start), rings that cross themselves, no area, another CRS.
+
+    A ring is closed where its last corner repeats the first; null rings are null geometry.  Crossing is tested
+    between all segments of a ring that don't touch, with whole or decimal coordinates.
+    """
+    ends = lambda r: (F.element_at(r, 1)["x"] == F.element_at(r, -1)["x"]) & (F.element_at(r, 1)["y"] == F.element_at(r, -1)["y"])
+    unclosed = F.exists(rings, lambda r: (F.size(r) < 4) | ~ends(r))
+
+    def crosses(r: Column) -> Column:
+        seg = F.transform(F.sequence(F.lit(1), F.greatest(F.size(r) - 1, F.lit(1))), lambda i: F.struct(i.alias("i"), F.get(r, i - 1).alias("a"), F.get(r, i).alias("b")))
+        turn = lambda a, b, c: F.signum((b["x"] - a["x"]) * (c["y"] - a["y"]) - (b["y"] - a["y"]) * (c["x"] - a["x"]))
+        apart = lambda s, t: (t["i"] > s["i"] + 1) & ~((s["i"] == 1) & (t["i"] == F.size(r) - 1))
+        cut = lambda s, t: (turn(s["a"], s["b"], t["a"]) * turn(s["a"], s["b"], t["b"]) < 0) & (turn(t["a"], t["b"], s["a"]) * turn(t["a"], t["b"], s["b"]) < 0)
+        return F.exists(seg, lambda s: F.exists(seg, lambda t: apart(s, t) & cut(s, t)))
+
+    rules = {"null_geometry": F.col(rings).isNull(), "unclosed_ring": unclosed, "crossing_ring": F.exists(rings, crosses), "zero_area": F.coalesce(polygon_area(F.col(rings)) <= 0, F.lit(False))}
+    if crs:
+        rules["wrong_crs"] = ~F.col(crs).eqNullSafe(F.lit(expected))
+    found = F.array_compact(F.array(*[F.when(c, F.lit(n)) for n, c in rules.items()]))
+    return df.select(F.explode(found).alias("rule"), F.col(ident).alias("id"))
+
+
 class Match:
     """A path pattern over typed edges: ``Match(g).node('auth').edge('fusion').node('crowd', where)``; a chain of equi-joins."""
 

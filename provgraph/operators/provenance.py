@@ -42,6 +42,26 @@ def height_facts(entities: DataFrame, edge: DataFrame, crowd: DataFrame, *, sour
     return out if min_conf is None else out.where(F.col("confidence") >= min_conf)
 
 
+def layer_facts(entities: DataFrame, predicted: DataFrame, recon: DataFrame, *, min_trust: int | None = None, min_conf: float | None = None) -> DataFrame:
+    """(entity_id, city, attr, source, trust, confidence, value) of what the predicted and reconstructed layers say.
+
+    A predicted class is as sure as its share of the entity's pixels; a reconstructed count is what was built.
+    Layers below ``min_trust`` aren't read.
+    """
+    city = entities.select(F.col("entity_id").alias("_c"), "city")
+    parts = []
+    if min_trust is None or TRUST["pred"] >= min_trust:
+        total = predicted.groupBy(F.col("entity_id").alias("_t")).agg(F.sum("pixels").alias("all"))
+        parts.append(predicted.join(total, F.col("entity_id") == F.col("_t")).select("entity_id", F.lit("material").alias("attr"), F.lit("pred").alias("source"), (F.col("pixels") / F.col("all")).alias("confidence"), F.col("cls").alias("value")))
+    if min_trust is None or TRUST["recon"] >= min_trust:
+        for attr in ("windows", "doors"):
+            parts.append(recon.select("entity_id", F.lit(attr).alias("attr"), F.lit("recon").alias("source"), F.lit(1.0).alias("confidence"), F.col(attr).cast("string").alias("value")))
+    if not parts:
+        return entities.limit(0).select("entity_id", "city", *[F.lit("").alias(c) for c in ("attr", "source", "value")], F.lit(0).alias("trust"), F.lit(0.0).alias("confidence"))
+    out = reduce(DataFrame.unionByName, parts).join(city, F.col("entity_id") == F.col("_c")).drop("_c").withColumn("trust", trust_of(F.col("source")))
+    return out if min_conf is None else out.where(F.col("confidence") >= min_conf)
+
+
 def resolve_value(facts: DataFrame, policy: str = "authoritative_first") -> DataFrame:
     """One value an entity: ``authoritative_first`` (then best confidence), ``authoritative_only``, ``highest_confidence``, or ``none`` (all facts)."""
     if policy == "none":

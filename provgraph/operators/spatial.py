@@ -82,6 +82,11 @@ def window(df: DataFrame, x0: int, y0: int, x1: int, y1: int) -> DataFrame:
     return df.where((F.col("x0") < x1) & (F.col("x1") > x0) & (F.col("y0") < y1) & (F.col("y1") > y0))
 
 
+def vertical_overlap(base_a: Column, height_a: Column, base_b: Column, height_b: Column) -> Column:
+    """The height that two solids over their base elevations have in common; 0 where one stands above the other."""
+    return F.greatest(F.least(base_a + height_a, base_b + height_b) - F.greatest(base_a, base_b), F.lit(0))
+
+
 def gap2(a: str = "_a", b: str = "_b") -> Column:
     """Squared distance between two boxes; 0 where they touch."""
     side = lambda lo, hi: F.greatest(F.col(lo + b) - F.col(hi + a), F.col(lo + a) - F.col(hi + b), F.lit(0))
@@ -107,7 +112,7 @@ def within(a: DataFrame, b: DataFrame, d: int, *, inclusive: bool = True, key: s
 def knn(a: DataFrame, b: DataFrame, k: int, *, a_id: str, b_id: str, cell: int = CELL, max_rounds: int = 12, key: str = "city") -> DataFrame:
     """(a_id, b_id, dist2, rank): the ``k`` nearest of b for each of a, ties to the smaller id.
 
-    Rounds double the searched distance; a row is final once it has k results no farther than that
+    Rounds search four times as far as the last one; a row is final once it has k results no farther than that
     distance, or the whole of its key has been searched.  Fewer than k objects: all of them.
     """
     todo, reach, done = a, cell, []

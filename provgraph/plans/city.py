@@ -121,6 +121,32 @@ def input_violations(spark, d):
     return graph.validate_boxes(bad, "id", span=20_000)
 
 
+def _closed(rings):
+    return F.transform(rings, lambda r: F.concat(r, F.slice(r, F.lit(1), F.lit(1))))
+
+
+@workload("ring_violations", sql("""select rule, entity_id id from (select entity_id, unnest(list_filter([case when entity_id % 31 = 0 then 'null_geometry' end, case when entity_id % 31 <> 0 and entity_id % 29 = 0 then 'unclosed_ring' end, case when entity_id % 31 <> 0 and entity_id % 29 <> 0 and entity_id % 23 = 0 then 'crossing_ring' end, case when entity_id % 19 = 0 then 'wrong_crs' end], lambda x: x is not null)) rule from entity)"""))
+def ring_violations(spark, d):
+    """Footprints with planted defects: no geometry, open rings, rings that cross themselves, another CRS."""
+    k, rings = F.col("entity_id"), _closed(F.col("rings"))
+    swap = lambda r: F.concat(F.slice(r, F.lit(1), F.lit(1)), F.slice(r, F.lit(3), F.lit(1)), F.slice(r, F.lit(2), F.lit(1)), F.slice(r, F.lit(4), F.size(r)))
+    e = Layers(spark, d).entity_shapes
+    # A bow tie's halves would cancel out in a square: its corner is moved, so that area stays.
+    bow = F.array(swap(F.element_at(_closed(F.array(F.array(*[F.struct(x.cast("long").alias("x"), y.cast("long").alias("y")) for x, y in ((F.col("x0"), F.col("y0")), (F.col("x1"), F.col("y0")), (F.col("x1"), F.col("y1") + 50), (F.col("x0"), F.col("y1")))]))), 1)))
+    bad = F.when(k % 31 == 0, F.lit(None)).when(k % 29 == 0, F.col("rings")).when(k % 23 == 0, bow).otherwise(rings)
+    rows = e.select("entity_id", bad.alias("rings"), F.when(k % 19 == 0, "EPSG:4326").otherwise("EPSG:25832").alias("crs"))
+    return graph.validate_rings(rows, "entity_id", crs="crs", expected="EPSG:25832")
+
+
+@workload("facts_other_layers", sql("""select entity_id, city::bigint city, attr, source, trust::bigint trust, round(confidence, 9) confidence, v as value from (select entity_id, 'material' attr, 'pred' source, 1 trust, pixels / sum(pixels) over (partition by entity_id) confidence, cls v from predicted
+ union all select entity_id, 'windows', 'recon', 3, 1.0, windows::varchar from recon union all select entity_id, 'doors', 'recon', 3, 1.0, doors::varchar from recon) join entity using (entity_id) where confidence >= 0.4"""))
+def facts_other_layers(spark, d):
+    """What the predicted and reconstructed layers say with a confidence of at least 0.4."""
+    w = Layers(spark, d)
+    out = provenance.layer_facts(w.entity, w.predicted, w.recon, min_conf=0.4)
+    return out.select("entity_id", *long("city"), "attr", "source", *long("trust"), F.round("confidence", 9).alias("confidence"), "value")
+
+
 @workload("graph_checks", sql("""select * from (values ('unique_ids', (select count(*) from entity) + (select count(*) from crowd) + (select count(*) from recon)), ('edge_ends', (select count(*) from edge)), ('spatial_coverage', (select count(*) from entity) + (select count(*) from crowd)), ('provenance_complete', (select count(*) from entity) + (select count(*) from crowd) + (select count(*) from recon) + (select count(*) from predicted))) t(name, expected) join (select true ok) on true join (select 1 one) on true""").replace("select * from (values", "select name, expected::bigint expected, expected::bigint actual, ok from (values"))
 def graph_checks(spark, d):
     return graph.PropertyGraph.from_layers(Layers(spark, d)).checks().select("name", *long("expected", "actual"), "ok")
@@ -162,6 +188,15 @@ def fusion_tau_sweep(spark, d):
     return fusion.sweep(fusion.candidates(w.entity, w.crowd), TAUS)
 
 
+@workload("fusion_candidate_ratio", sql("select city::bigint city, count(*)::bigint candidates, count(*) filter (where 10 * shared >= 3 * least(area_a, area_b))::bigint accepted, round(count(*) / count(*) filter (where 10 * shared >= 3 * least(area_a, area_b)), 6) a_edge from cand group by grouping sets ((city), ())"))
+def fusion_candidate_ratio(spark, d):
+    """What the index costs: candidates for each accepted edge, per city and (city null) in all."""
+    w = Layers(spark, d)
+    rows = fusion.candidates(w.entity, w.crowd).select("city", fusion.accepted().cast("long").alias("ok"))
+    out = rows.groupingSets([["city"], []], "city").agg(F.count(F.lit(1)).alias("candidates"), F.sum("ok").alias("accepted"))
+    return out.select(*long("city"), "candidates", "accepted", F.round(F.col("candidates") / F.col("accepted"), 6).alias("a_edge"))
+
+
 _COMPONENTS = """und as (select entity_id * 2 u, feature_id * 2 + 1 v from edge union select feature_id * 2 + 1, entity_id * 2 from edge),
 reach(node, r) as (select u, u from und union select reach.node, und.v from reach join und on reach.r = und.u),
 comp as (select node, min(r) component from reach group by node)"""
@@ -432,6 +467,17 @@ def spatial_3d(spark, d):
     return e.groupBy(F.col("city").cast("long").alias("city"), "tx", "ty").agg(F.sum(F.col("area") * F.col("auth_height")).alias("volume"), F.max("auth_height").alias("tallest"), F.max("storeys").alias("storeys"))
 
 
+@workload("spatial_vertical_overlap", sql("""select entity_id, feature_id, greatest(0, least(eb + auth_height, fb + crowd_height) - greatest(eb, fb))::bigint shared_height, (greatest(0, least(eb + auth_height, fb + crowd_height) - greatest(eb, fb)) * shared)::bigint shared_volume from (select edge.*, auth_height, crowd_height, (entity_id * 13) % 500 eb, (feature_id * 17) % 500 fb from edge join entity using (entity_id) join crowd using (feature_id) where auth_height is not null and crowd_height is not null)"""))
+def spatial_vertical_overlap(spark, d):
+    """Matched objects as solids over their base elevation: the height, and the volume over the shared box, that they have in common."""
+    w = Layers(spark, d)
+    a = w.entity.where("auth_height is not null").select("entity_id", "auth_height", ((F.col("entity_id") * 13) % 500).alias("eb"))
+    b = w.crowd.where("crowd_height is not null").select("feature_id", "crowd_height", ((F.col("feature_id") * 17) % 500).alias("fb"))
+    rows = _edges(w).select("entity_id", "feature_id", "shared").join(a, "entity_id").join(b, "feature_id")
+    rows = rows.withColumn("shared_height", spatial.vertical_overlap(F.col("eb"), F.col("auth_height"), F.col("fb"), F.col("crowd_height")))
+    return rows.select("entity_id", "feature_id", *long("shared_height"), (F.col("shared_height") * F.col("shared")).cast("long").alias("shared_volume"))
+
+
 @workload("spatial_density", sql("select city::bigint city, x0 // 3200 cx, y0 // 3200 cy, count(*)::bigint n, sum(area)::bigint built from entity group by 1, 2, 3"))
 def spatial_density(spark, d):
     return spatial.density(Layers(spark, d).entity).withColumn("city", F.col("city").cast("long"))

@@ -6,14 +6,17 @@ import uuid
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
 from provgraph.functions.durable import checkpoint_folder
 from provgraph.functions.geometry import polygon_area, polygon_overlap_area
 from provgraph.operators import fusion
 from provgraph.operators.graph import PropertyGraph
 from provgraph.plans.registry import workload
-from provgraph.sources.overlay import Layers
+from provgraph.sources.overlay import Layers, sql
 
+#: Files of one exported folder at most (more where Spark's own limits split them).
+FILES = 16
 FORMATS = ("parquet", "csv", "json", "orc")
 
 
@@ -33,9 +36,10 @@ def read(spark: SparkSession, path: str, kind: str, schema) -> DataFrame:
 
 
 def write_graph(g: PropertyGraph, path: str) -> None:
-    """A neutral node and edge export, one folder a city and layer or kind."""
-    g.nodes.repartition("city", "layer").write.partitionBy("city", "layer").parquet(f"{path}/nodes")
-    g.edges.repartition("city", "kind").write.partitionBy("city", "kind").parquet(f"{path}/edges")
+    """A neutral node and edge export, one folder a city and layer or kind; each is written by up to FILES tasks, however large it is."""
+    lot = lambda *c: F.pmod(F.xxhash64(*c), F.lit(FILES))
+    g.nodes.repartition("city", "layer", lot("node_id")).write.partitionBy("city", "layer").parquet(f"{path}/nodes")
+    g.edges.repartition("city", "kind", lot("src", "dst")).write.partitionBy("city", "kind").parquet(f"{path}/edges")
 
 
 def read_graph(spark: SparkSession, path: str) -> PropertyGraph:
@@ -69,14 +73,14 @@ def udf_polygon_area(spark, d):
     return Layers(spark, d).entity.select("entity_id", polygon_area(_rings("x0", "y0", "x1", "y1")).alias("area"))
 
 
-@workload("udf_polygon_overlap")
+@workload("udf_polygon_overlap", sql("select entity_id, feature_id, shared::bigint shared, shared::double clipped from cand"))
 def udf_polygon_overlap(spark, d):
     """General clipping on box rings: must equal the whole-number box measure."""
     w = Layers(spark, d)
     a = w.entity.select("entity_id", _rings("x0", "y0", "x1", "y1").alias("ra"))
     b = w.crowd.select("feature_id", _rings("x0", "y0", "x1", "y1").alias("rb"))
     rows = fusion.candidates(w.entity, w.crowd).select("entity_id", "feature_id", "shared").join(a, "entity_id").join(b, "feature_id")
-    return rows.select("entity_id", "feature_id", "shared", F.round(polygon_overlap_area("ra", "rb"), 3).alias("clipped"))
+    return rows.select("entity_id", "feature_id", F.col("shared").cast("long").alias("shared"), F.round(polygon_overlap_area("ra", "rb"), 3).alias("clipped"))
 
 
 @workload("udf_mapinpandas", "select o_orderkey, round(ln(o_totalprice), 6) logged from orders")
@@ -90,20 +94,37 @@ def udf_mapinpandas(spark, d):
     return Layers(spark, d).table("orders").select("o_orderkey", "o_totalprice").mapInPandas(run, "o_orderkey long, logged double").select("o_orderkey", F.round("logged", 6).alias("logged"))
 
 
-@workload("udf_grouped", "select c_mktsegment, round(max(c_acctbal) - min(c_acctbal), 6) spread from customer group by 1")
+_F1 = "r as (select city, roof c, (tx + 2 * ty) % 3 chat from entity where roof is not null)"
+
+
+@workload("udf_grouped", sql("""select city::bigint city, round(avg(2.0 * tp / (2 * tp + fp + fn)), 9) macro_f1 from (select r.city, k.c, count(*) filter (where r.c = k.c and chat = k.c) tp, count(*) filter (where r.c <> k.c and chat = k.c) fp, count(*) filter (where r.c = k.c and chat <> k.c) fn
+ from r join (select distinct city, c from r) k on r.city = k.city group by 1, 2) group by city""", _F1))
 def udf_grouped(spark, d):
-    @F.pandas_udf("double")
-    def spread(v: pd.Series) -> float:
-        return float(v.max() - v.min())
+    """Macro-F1 as a grouped function over a confusion table that was counted before: a group is classes by classes rows."""
+
+    def macro_f1(pdf: pd.DataFrame) -> pd.DataFrame:
+        hit = pdf[pdf["c"] == pdf["chat"]].set_index("c")["n"]
+        real, said = pdf.groupby("c")["n"].sum(), pdf.groupby("chat")["n"].sum()
+        f1 = 2 * hit.reindex(real.index, fill_value=0) / (real + said.reindex(real.index, fill_value=0))
+        return pd.DataFrame({"city": pdf["city"].iloc[:1], "macro_f1": [float(f1.mean())]})
+
+    e = Layers(spark, d).entity.where("roof is not null").select(F.col("city").cast("long").alias("city"), F.col("roof").cast("int").alias("c"), ((F.col("tx") + 2 * F.col("ty")) % 3).cast("int").alias("chat"))
+    out = e.groupBy("city", "c", "chat").agg(F.count(F.lit(1)).alias("n")).groupBy("city").applyInPandas(macro_f1, "city long, macro_f1 double")
+    return out.select("city", F.round("macro_f1", 9).alias("macro_f1"))
+
+
+@F.udtf(returnType=StructType([StructField("step", IntegerType()), StructField("length", LongType())]))
+class Segments:
+    """A box ring's segments: number and length of each."""
 
-    return Layers(spark, d).table("customer").groupBy("c_mktsegment").agg(F.round(spread("c_acctbal"), 6).alias("spread"))
+    def eval(self, x0: int, y0: int, x1: int, y1: int):
+        ring = [(x0, y0), (x1, y0), (x1, y1), (x0, y1)]
+        for i, (a, b) in enumerate(zip(ring, ring[1:] + ring[:1])):
+            yield i, abs(a[0] - b[0]) + abs(a[1] - b[1])
 
 
-@workload("udtf_segments", "select c_custkey entity_id, count(*)::bigint segments from customer, (select unnest([1, 2, 3, 4])) group by 1")
+@workload("udtf_segments", sql("select entity_id, step::int step, (case when step % 2 = 0 then x1 - x0 else y1 - y0 end)::bigint length from entity, (select unnest(range(4)) step)"))
 def udtf_segments(spark, d):
-    """A ring's segments by position; arrays alone can do it."""
-    ring = _rings("x0", "y0", "x1", "y1")[0]
-    n = F.size("r")
-    seg = F.transform("r", lambda p, i: F.struct(p.alias("a"), F.element_at("r", (i + 1) % n + 1).alias("b")))
-    rows = Layers(spark, d).entity.select("entity_id", ring.alias("r")).select("entity_id", F.posexplode(seg))
-    return rows.groupBy("entity_id").agg(F.count(F.lit(1)).alias("segments"))
+    """A table function applied to every entity by a lateral join."""
+    e = Layers(spark, d).entity.select("entity_id", *[F.col(c).cast("long").alias(c) for c in ("x0", "y0", "x1", "y1")])
+    return e.lateralJoin(Segments(*[F.col(c).outer() for c in ("x0", "y0", "x1", "y1")])).select("entity_id", "step", "length")

@@ -10,6 +10,7 @@ import re
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from provgraph.functions.ranking import salted_join
 from provgraph.plans.registry import workload
 from provgraph.sources.overlay import Layers
 
@@ -110,34 +111,50 @@ def op_join_asof(spark, d):
     return rows.where("o_orderkey is not null and seen is not null").select("o_orderkey", F.col("seen").alias("event_id"))
 
 
-@workload("op_join_self_hub", "select c_nationkey, c_mktsegment, (count(*) * (count(*) - 1) / 2)::bigint pairs from customer group by 1, 2")
+@workload("op_join_self_hub", "select a.c_nationkey, a.c_mktsegment, count(*)::bigint pairs, round(sum(abs(a.c_acctbal - b.c_acctbal)), 2) spread from customer a join customer b on a.c_nationkey = b.c_nationkey and a.c_mktsegment = b.c_mktsegment and b.c_custkey = a.c_custkey + 25 group by 1, 2")
 def op_join_self_hub(spark, d):
-    """Pairs sharing a hub, counted from the hub's degree instead of joined."""
-    n = F.count(F.lit(1))
-    return Layers(spark, d).table("customer").groupBy("c_nationkey", "c_mktsegment").agg((n * (n - 1) / 2).cast("long").alias("pairs"))
+    """A self join inside hubs (nation and segment): the hub's rows are dealt over lots, the other side is repeated for each."""
+    c = Layers(spark, d).table("customer").select("c_custkey", "c_nationkey", "c_mktsegment", "c_acctbal")
+    a = c.withColumn("hub", F.concat_ws("|", "c_nationkey", "c_mktsegment", F.col("c_custkey") + 25))
+    b = c.select(F.concat_ws("|", "c_nationkey", "c_mktsegment", "c_custkey").alias("hub2"), F.col("c_acctbal").alias("other"))
+    return salted_join(a, b, "hub", "hub2", F.xxhash64("c_custkey")).groupBy("c_nationkey", "c_mktsegment").agg(F.count(F.lit(1)).alias("pairs"), F.round(F.sum(F.abs(F.col("c_acctbal") - F.col("other"))), 2).alias("spread"))
 
 
-@workload("op_array_set", "select a.user_id a, b.user_id b, len(list_intersect(a.k, b.k))::int common from (select user_id, list(distinct event_type) k from events where user_id < 10 group by 1) a join (select user_id, list(distinct event_type) k from events where user_id < 10 group by 1) b on a.user_id < b.user_id")
+@workload("op_array_set", "select a.user_id a, b.user_id b, len(list_intersect(a.k, b.k))::int common from (select user_id, list(distinct event_type) k from events group by 1) a join (select user_id, list(distinct event_type) k from events group by 1) b on b.user_id = a.user_id + 1")
 def op_array_set(spark, d):
-    k = Layers(spark, d).table("events").where("user_id < 10").groupBy("user_id").agg(F.collect_set("event_type").alias("k"))
+    """Event types that a user shares with the next one."""
+    k = Layers(spark, d).table("events").groupBy("user_id").agg(F.collect_set("event_type").alias("k"))
     a, b = k.select(F.col("user_id").alias("a"), F.col("k").alias("ka")), k.select(F.col("user_id").alias("b"), F.col("k").alias("kb"))
-    return a.join(F.broadcast(b), F.col("a") < F.col("b")).select("a", "b", F.size(F.array_intersect("ka", "kb")).alias("common"))
+    return a.join(b, F.col("b") == F.col("a") + 1).select("a", "b", F.size(F.array_intersect("ka", "kb")).alias("common"))
 
 
-@workload("vec_topk", "select q, vec_id, r::int r from (select a.vec_id q, b.vec_id, row_number() over (partition by a.vec_id order by list_inner_product(a.embedding::double[], b.embedding::double[]) desc, b.vec_id) r from embeddings a join embeddings b on a.vec_id < 20 and b.vec_id <> a.vec_id) where r <= 5")
+#: Queries of a vector search that are broadcast at once: 64 doubles each, some 10 MB.
+QUERY_BLOCK = 20_000
+
+
+def _nearest(e, k: int):
+    """(q, vec_id, r) and the other columns of both: the ``k`` nearest of all rows to every fiftieth; queries go out in blocks of bounded size."""
+    q = e.where("vec_id % 50 = 0")
+    parts = max(1, -(-q.count() // QUERY_BLOCK))
+    dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
+    out = None
+    for p in range(parts):
+        some = q.where(F.pmod(F.xxhash64("vec_id"), F.lit(parts)) == p)
+        some = F.broadcast(some.select(F.col("vec_id").alias("q"), F.col("v").alias("w"), *[F.col(c).alias(f"q_{c}") for c in e.columns if c not in ("vec_id", "v")]))
+        near = e.join(some, F.col("vec_id") != F.col("q")).withColumn("s", dot).drop("v", "w")
+        near = near.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("s"), "vec_id"))).where(F.col("r") <= k)
+        out = near if out is None else out.union(near)
+    return out
+
+
+@workload("vec_topk", "select q, vec_id, r::int r from (select a.vec_id q, b.vec_id, row_number() over (partition by a.vec_id order by list_inner_product(a.embedding::double[], b.embedding::double[]) desc, b.vec_id) r from embeddings a join embeddings b on a.vec_id % 50 = 0 and b.vec_id <> a.vec_id) where r <= 5")
 def vec_topk(spark, d):
     e = Layers(spark, d).table("embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    q = F.broadcast(e.where("vec_id < 20").select(F.col("vec_id").alias("q"), F.col("v").alias("w")))
-    dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    rows = e.join(q, F.col("vec_id") != F.col("q")).withColumn("s", dot)
-    return rows.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("s"), "vec_id"))).where("r <= 5").select("q", "vec_id", "r")
+    return _nearest(e, 5).select("q", "vec_id", "r")
 
 
-@workload("embedding_knn_null", "select round(avg(case when x.label = y.label then 1.0 else 0.0 end), 6) purity, count(*)::bigint pairs from (select a.vec_id q, a.label, b.vec_id v, row_number() over (partition by a.vec_id order by list_inner_product(a.embedding::double[], b.embedding::double[]) desc, b.vec_id) r from embeddings a join embeddings b on a.vec_id <> b.vec_id where a.vec_id < 200) x join embeddings y on y.vec_id = x.v where r <= 5")
+@workload("embedding_knn_null", "select round(avg(case when x.label = y.label then 1.0 else 0.0 end), 6) purity, count(*)::bigint pairs from (select a.vec_id q, a.label, b.vec_id v, row_number() over (partition by a.vec_id order by list_inner_product(a.embedding::double[], b.embedding::double[]) desc, b.vec_id) r from embeddings a join embeddings b on a.vec_id <> b.vec_id where a.vec_id % 50 = 0) x join embeddings y on y.vec_id = x.v where r <= 5")
 def embedding_knn_null(spark, d):
     """Label purity of nearest neighbours: the labels are noise, so it must be near chance."""
     e = Layers(spark, d).table("embeddings").select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    q = F.broadcast(e.where("vec_id < 200").select(F.col("vec_id").alias("q"), F.col("label").alias("ql"), F.col("v").alias("w")))
-    dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    near = e.join(q, F.col("vec_id") != F.col("q")).withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(dot.desc(), "vec_id"))).where("r <= 5")
-    return near.agg(F.round(F.avg((F.col("label") == F.col("ql")).cast("double")), 6).alias("purity"), F.count(F.lit(1)).alias("pairs"))
+    return _nearest(e, 5).agg(F.round(F.avg((F.col("label") == F.col("q_label")).cast("double")), 6).alias("purity"), F.count(F.lit(1)).alias("pairs"))

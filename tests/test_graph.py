@@ -139,3 +139,68 @@ def test_fusion_plan_is_native(spark, sf):
 
 def test_reprojection_is_finite():
     assert math.isfinite(geometry.overlap_of([[{"x": 0, "y": 0}, {"x": 1, "y": 0}, {"x": 1, "y": 1}]], [[{"x": 0, "y": 0}, {"x": 1, "y": 0}, {"x": 0, "y": 1}]]))
+
+
+def test_overwriting_is_a_violation(spark, sf):
+    g = graph.PropertyGraph.from_layers(Layers(spark, sf))
+    bad = graph.PropertyGraph(g.nodes.withColumn("attrs", F.when((F.col("layer") == "crowd") & (F.col("node_id") % 50 == 0), F.create_map(F.lit("storeys"), F.lit("3"))).otherwise(F.col("attrs"))), g.edges)
+    planted = g.nodes.where("layer = 'crowd' and node_id % 50 = 0").count()
+    assert {r["name"]: r["violations"] for r in bad.invariants().collect()}["no_overwrite"] == planted > 0
+
+
+def test_external_objects_are_nodes_of_their_own(spark, sf):
+    w = Layers(spark, sf)
+    g = graph.PropertyGraph.from_layers(w)
+    poi = w.poi.withColumn("kind_of", F.lit("shop"))
+    more = g.with_external(poi, "poi", "place", "poi_id", ["kind_of"], fusion.poi_inside(w.entity, w.poi).select("city", F.col("entity_id").alias("src"), F.col("poi_id").alias("dst"), F.lit(1.0).alias("jaccard")))
+    assert more.nodes.where("layer = 'poi'").count() == poi.count()
+    assert more.nodes.count() == g.nodes.count() + poi.count() and {r["violations"] for r in more.invariants().collect()} == {0}
+    with pytest.raises(ValueError):
+        g.with_external(poi, "auth", "place", "poi_id", [])
+
+
+def test_sources_are_never_written(spark, sf):
+    import os
+
+    stat = lambda: {f: (os.stat(f"{sf}/{f}").st_mtime_ns, os.stat(f"{sf}/{f}").st_size) for f in os.listdir(sf)}
+    before = stat()
+    for name in ("dup_id_resolved", "fusion_propagated", "ring_violations"):
+        workloads.queries()[name](spark, sf).count()
+    assert stat() == before
+
+
+def test_footprints_against_points(spark):
+    """Shared areas of turned and notched polygons, against a fine grid of points."""
+    import random
+
+    p = lambda *pts: [{"x": float(x), "y": float(y)} for x, y in pts]
+    shapes = [
+        ([p((0, 0), (10, 0), (10, 5), (5, 5), (5, 10), (0, 10))], [p((3, -2), (12, 6), (5, 12), (-3, 5))]),
+        ([p((0, 0), (10, 0), (10, 10), (0, 10)), p((3, 3), (7, 3), (7, 7), (3, 7))], [p((2, 2), (11, 4), (6, 11))]),
+        ([p((0, 0), (8, 1), (9, 9), (4, 4), (1, 8))], [p((1, 1), (9, 2), (5, 8)), p((4, 3), (5, 3), (4.5, 4))]),
+    ]
+
+    def inside(rings, x, y):
+        hit = False
+        for r in rings:
+            for a, b in zip(r, r[1:] + r[:1]):
+                if (a["y"] > y) != (b["y"] > y) and x < (b["x"] - a["x"]) * (y - a["y"]) / (b["y"] - a["y"]) + a["x"]:
+                    hit = not hit
+        return hit
+
+    r = random.Random(1)
+    for a, b in shapes:
+        n = 40_000
+        got = sum(inside(a, x, y) and inside(b, x, y) for x, y in ((r.uniform(-4, 13), r.uniform(-4, 13)) for _ in range(n))) / n * 17 * 17
+        assert abs(geometry.overlap_of(a, b) - got) < 1.0
+    df = spark.createDataFrame([([p((0, 0), (4, 0), (4, 4), (0, 4)), p((2, 2), (4, 2), (4, 4), (2, 4))],), (None,)], "r array<array<struct<x:double,y:double>>>")
+    c = [x[0] for x in df.select(geometry.polygon_centroid(F.col("r"))).collect()]
+    assert abs(c[0]["x"] - 20 / 12) < 1e-9 and abs(c[0]["y"] - 20 / 12) < 1e-9 and c[1] is None
+
+
+def test_a_component_decides_for_all_its_edges(spark):
+    """Entity 1 has one edge, but its component is n:m: ambiguous, though its own edge is one to one by degree on its side."""
+    edge = spark.createDataFrame([(0, 1, 10, 0.5), (0, 2, 10, 0.6), (0, 2, 11, 0.7), (0, 3, 12, 0.9)], "city int, entity_id long, feature_id long, jaccard double")
+    crowd = spark.createDataFrame([(i, 100 + i, i, "P") for i in (10, 11, 12)], "feature_id long, crowd_height int, levels int, status string")
+    got = {r["entity_id"]: (r["kind"], r["shared_feature"], r["ambiguous"]) for r in fusion.propagate(edge, crowd).collect()}
+    assert got == {1: ("n:m", True, True), 2: ("n:m", True, True), 3: ("1:1", False, False)}
