@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.functions.columns import column, free_name
+from provgraph.functions.columns import column, free_name, mapped, schema_with
 from provgraph.functions.durable import cut_table
 from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of, window_hashes
 
@@ -100,7 +100,7 @@ def _scanned(docs: DataFrame, text: str, out: str, sent) -> DataFrame:
                     rows.append({"n_words": int(k), "n_hit": n_hit, "items": sorted(items[d]), "spans": _spans(b, d, hit) if n_hit else []})
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rows, KIND)], [*names, out])
 
-    return docs.mapInArrow(run, docs.withColumn(out, F.lit(None).cast(SCAN)).schema)
+    return mapped(docs, run, schema_with(docs, **{out: SCAN}))
 
 
 def _merged(docs: DataFrame, text: str, out: str, found: DataFrame) -> DataFrame:
@@ -124,7 +124,7 @@ def _merged(docs: DataFrame, text: str, out: str, found: DataFrame) -> DataFrame
                 rows += [{"n_words": int(k), "n_hit": int(hit[b.first[d] : b.first[d + 1]].sum()), "items": which[lo + d] or [], "spans": _spans(b, d, hit)} for d, k in enumerate(b.count)]
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(rows, KIND)], [*names, out])
 
-    return joined.mapInArrow(run, docs.withColumn(out, F.lit(None).cast(SCAN)).schema)
+    return mapped(joined, run, schema_with(docs, **{out: SCAN}))
 
 
 def scan(docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_id: str = "item_id", item_text: str = "text", n: int = N, max_part_bytes: int = MAX_PART_BYTES, out: str = "scan") -> DataFrame:
@@ -135,7 +135,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_id:
     empty benchmark hits nothing.  Columns of ``docs`` pass through, but for one named as ``out``,
     which is replaced; equal rows stay separate.
     """
-    docs = docs.drop(out)
+    docs = docs.select(*[column(c) for c in docs.columns if c.lower() != out.lower()])
     pieces = cut_table(_pieces(benchmark, item_id, item_text, n))
     size = pieces.agg(F.sum(F.octet_length("words"))).first()[0] or 0
     parts = -(-size // max_part_bytes) or 1
@@ -172,10 +172,11 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, *, mode: str = "drop",
     out = free_name(docs.columns, "scan")
     s, got = scan(docs, benchmark, text=text, out=out, **options), F.col(out)
     if mode == "drop":
-        return s.where(got["n_hit"] == 0).drop(out)
+        return s.where(got["n_hit"] == 0).select(*map(column, docs.columns))
     raw = F.encode(column(text), "utf-8")
     pieces = F.transform(
         F.arrays_zip(F.concat(F.array(F.lit(0)), got["spans"]["hi"]).alias("a"), F.concat(got["spans"]["lo"], F.array(F.octet_length(column(text)))).alias("b")),
         lambda z: F.decode(F.substring(raw, z["a"] + 1, z["b"] - z["a"]), "utf-8"),
     )
-    return s.withColumn(text, F.when(F.size(got["spans"]) > 0, F.array_join(pieces, "")).otherwise(column(text))).drop(out)
+    cut = F.when(F.size(got["spans"]) > 0, F.array_join(pieces, "")).otherwise(column(text))
+    return s.select(*[cut.alias(c) if c == text else column(c) for c in docs.columns])

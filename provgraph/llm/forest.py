@@ -2,8 +2,9 @@
 
 The trees' planes come from a bounded sample; every row is filed under its leaf in each tree.  A
 query walks all trees through one priority queue, always opening the branch whose planes it is
-nearest to, until the leaves opened hold the asked share of rows; the rows of these leaves are scored
-exactly.  Vectors get one more component so that the largest inner product is the nearest vector.
+nearest to, until the leaves opened hold the asked share of rows; rows that stand in enough of the
+opened leaves are scored exactly.  Vectors get one more component so that the largest inner product
+is the nearest vector.
 """
 from __future__ import annotations
 
@@ -16,13 +17,13 @@ from pyspark.sql import functions as F
 
 from provgraph.functions.durable import cut
 
-TREES = 4
-SAMPLE = 16_384
-LEAF_SAMPLE = 128
-#: Share of the rows whose leaves a query opens, counted in all trees together.
-SHARE = 2.4
-ROW_BLOCK = 8192
-QUERY_BLOCK = 512
+TREES = 64
+SAMPLE = 8192
+LEAF_SAMPLE = 32
+#: Share of the rows whose leaves a query opens, counted in all trees together, and how many of these leaves a row must stand in.
+SHARE, VOTES = 10.0, 11
+#: Rows, and queries, that meet in one task.
+ROW_BLOCK, QUERY_BLOCK = 8192, 2048
 
 
 class Forest:
@@ -86,10 +87,11 @@ def _norm2():
     return F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)
 
 
-def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str = "vec_id", vector: str = "embedding", trees: int = TREES, share: float = SHARE, sample: int = SAMPLE, leaf: int = LEAF_SAMPLE) -> DataFrame:
+def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str = "vec_id", vector: str = "embedding", trees: int = TREES, share: float = SHARE, votes: int = VOTES, sample: int = SAMPLE, leaf: int = LEAF_SAMPLE) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's ``k`` nearest rows found, ties to the smaller id.
 
-    Queries are the ids divisible by ``every``.  Rows that are null, zero or not finite take no part;
+    Queries are the ids divisible by ``every``.  A row counts as found if it is in at least ``votes`` of the
+    leaves opened; in a block of rows where fewer than k are, those with most votes stand in.  Rows that are null, zero or not finite take no part;
     vectors of the most common length only can be compared, so others take none either.  Repeated
     rows of one id and vector count once.  Fewer rows than k: all of them.
     """
@@ -103,6 +105,7 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
     lifted = lambda x: np.hstack([x, np.sqrt(np.maximum(0, most - (x * x).sum(axis=1)))[:, None]])
     forest = Forest(lifted(drawn), trees, leaf)
     sent = rows.sparkSession.sparkContext.broadcast(forest)  # planes: trees * 2**depth vectors, bounded by the sample
+    depth = forest.depth
 
     def file_rows(batches):
         for pdf in batches:
@@ -112,7 +115,7 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
     def walk(batches):
         for pdf in batches:
             opened = [sent.value.open_leaves(np.append(np.asarray(v), 0.0), share) for v in pdf["v"]]
-            yield pd.DataFrame({"query_id": pdf["vec_id"], "v": pdf["v"], "opened": [[t << 24 | n for t, n in o] for o in opened]})
+            yield pd.DataFrame({"query_id": pdf["vec_id"], "v": pdf["v"], "opened": [[(t << depth) + n for t, n in o] for o in opened]})
 
     row_blocks, query_blocks = -(-total // ROW_BLOCK), -(-total // every // QUERY_BLOCK) + 1
     filed = rows.mapInPandas(file_rows, "vec_id long, v array<double>, leaf array<int>")
@@ -125,14 +128,21 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
         if len(a) and len(b):
             a = a.sort_values("vec_id")
             ids, x, leaf = a["vec_id"].to_numpy(), np.array(a["v"].tolist()), np.array(a["leaf"].tolist())
+            # The rows of every (tree, leaf), one after another.
+            code = (np.arange(leaf.shape[1]) * (1 << depth) + leaf).ravel()
+            row = np.argsort(code, kind="stable")
+            start = np.searchsorted(code[row], np.arange(leaf.shape[1] * (1 << depth) + 1))
+            row //= leaf.shape[1]
             for qid, v, opened in zip(b["query_id"], b["v"], b["opened"]):
-                mark = np.zeros((len(forest.trees), 1 << forest.depth), bool)
                 o = np.asarray(opened, np.int64)
-                mark[o >> 24, o & 0xFFFFFF] = True
-                near = np.zeros(len(ids), bool)
-                for t in range(len(mark)):
-                    near |= mark[t][leaf[:, t]]
-                at = np.flatnonzero(near & (ids != qid))
+                first, n = start[o], start[o + 1] - start[o]
+                at = np.repeat(first - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(int(n.sum()))
+                got = np.bincount(row[at], minlength=len(ids))
+                got[ids == qid] = 0
+                at = np.flatnonzero(got >= votes)
+                if len(at) < k:
+                    at = np.sort(np.argsort(-got, kind="stable")[:k])
+                    at = at[ids[at] != qid]
                 s = x[at] @ np.asarray(v)
                 if len(at) > k:
                     least = np.partition(s, len(s) - k)[len(s) - k]
@@ -148,4 +158,4 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
 
 def exact(vectors: DataFrame, k: int = 20, every: int = 20) -> DataFrame:
     """The same by brute force, to measure recall with: one leaf, searched whole."""
-    return neighbours(vectors, k, every, trees=1, share=2.0, leaf=1 << 30)
+    return neighbours(vectors, k, every, trees=1, share=2.0, votes=1, leaf=1 << 30)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.functions.columns import column
+from provgraph.functions.columns import column, schema_with
 from provgraph.functions.durable import cut, cut_table
 from provgraph.llm import bloom
 from provgraph.llm.fm_index import FMIndex
@@ -184,7 +184,7 @@ def dedup_substrings(docs: DataFrame, *, id_col: str = "doc_id", text: str = "te
     names = [c for c in (docs.columns if columns is None else columns) if c.lower() not in ("n_words", "n_removed", "removed", "kept_text")]
     flat = docs.select(column(text), column(id_col).cast("long"), F.xxhash64(column(text)), *map(column, names)).toDF("f0", "f1", "f2", *[f"c{i}" for i in range(len(names))])
     joined = flat.join(lost, (F.col("f1") == F.col("doc_id")) & (F.col("f2") == F.col("th")), "left").select("f0", "starts", *[f"c{i}" for i in range(len(names))])
-    schema = docs.select(*map(column, names)).withColumns({"n_words": F.lit(0).cast("long"), "n_removed": F.lit(0).cast("long"), "removed": F.lit(None).cast("array<struct<lo:int,hi:int>>"), "kept_text": F.lit("")}).schema
+    schema = schema_with(docs.select(*map(column, names)), n_words="long", n_removed="long", removed="array<struct<lo:int,hi:int>>", kept_text="string")
     for f in schema:
         f.nullable = True
     spans = pa.list_(pa.struct([("lo", pa.int32()), ("hi", pa.int32())]))

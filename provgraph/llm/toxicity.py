@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from provgraph.functions.columns import column, free_name
+from provgraph.functions.columns import column, free_name, mapped, schema_with
 from provgraph.functions.durable import cut_table
 from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of, hash_spans
 
@@ -302,9 +302,9 @@ def fit(docs: DataFrame, labels: DataFrame, *, text: str = "text", positives: in
 
 def score(docs: DataFrame, model: Model, *, text: str = "text", out: str = "score") -> DataFrame:
     """``docs`` with the probability ``out`` that the text is toxic; a null text scores as an empty one, a column named as ``out`` is replaced."""
-    docs = docs.drop(out)
+    docs = docs.select(*[column(c) for c in docs.columns if c.lower() != out.lower()])
     names, at = docs.columns, docs.columns.index(text)
-    schema = docs.withColumn(out, F.lit(0.0).cast("double")).schema
+    schema = schema_with(docs, **{out: "double"})
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -312,7 +312,7 @@ def score(docs: DataFrame, model: Model, *, text: str = "text", out: str = "scor
             got = [sent.value.probability(sent.value.margin(b)) for _, _, b in blocks(bytes_of(batch.column(at)), ALNUM_LOWER)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(got) if got else np.empty(0))], [*names, out])
 
-    return docs.mapInArrow(run, schema)
+    return mapped(docs, run, schema)
 
 
 def digest(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
@@ -324,4 +324,4 @@ def digest(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 def drop_toxic(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """``docs`` without those whose score reaches the threshold; same columns, whatever their names; null and repeated rows are scored like all others."""
     out = free_name(docs.columns, "score")
-    return score(docs, fit(docs, labels, **options), out=out).where(F.col(out) < THRESHOLD).drop(out)
+    return score(docs, fit(docs, labels, **options), out=out).where(F.col(out) < THRESHOLD).select(*map(column, docs.columns))

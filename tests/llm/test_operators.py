@@ -561,3 +561,92 @@ def test_pipeline(spark, sf):
     assert 0 < len(ids) == out.count() < docs.count() and not any(x[4] for x in brute_hits(kept, bench).values())
     n = [r["count"] for r in out.groupBy("shard").count().collect()]
     assert max(n) - min(n) <= 1
+
+
+# --- any columns, any rows ----------------------------------------------------------------------
+
+#: Names that the operators use inside, or give to what they add.
+CLASHING = ["row", "size", "first", "share", "start", "lot", "block", "pos", "slot", "shard", "place", "curve", "s", "h", "c", "t", "n", "w", "b", "n0", "b0", "n1", "hi", "sub", "tie", "digest", "at", "of", "places", "release", "deadline", "score", "scan", "_scan", "lines", "th", "th2", "id2", "gone", "_gone", "fp", "nid", "key", "items", "spans", "starts", "removed", "kept_text", "n_words", "n_lines", "n_dropped", "n_removed", "_norm", "_all", "detections", "mix_slot", "law", "m0", "code", "f0", "f1", "c0", "Label", "a.b", "a b", "x`y"]
+
+
+def crowded(spark):
+    """Documents with every clashing name, nulls, empty, repeated and long texts."""
+    rows = [(r[0], r[1], r[2], r[3], r[4], *[f"{c}-{i}" for c in CLASHING]) for i, r in enumerate(awkward(5, 12))]
+    rows += [rows[3], rows[3], (900, "word " * 30_000, "en", None, 1, *CLASHING), (901, None, None, "s0", None, *[None] * len(CLASHING))]
+    names = [f"`{c.replace('`', '``')}` string" for c in CLASHING]
+    return spark.createDataFrame(rows, ", ".join([KINDS, *names])).repartition(3)
+
+
+def operators(spark):
+    bench = spark.createDataFrame([(1, "one"), (2, None)], "item_id long, text string")
+    labels = spark.createDataFrame([(i, 1, int(i % 3 == 0)) for i in range(40)] + [(None, 1, 1), (3, None, None)], "doc_id long, quality int, toxic int")
+    return {
+        "mix": lambda d: pfair.mix(d, {"s0": 2}), "mixed": pfair.mixed, "shard": lambda d: hilbert.shard(d, ["source", "lang", "n_chars"]), "shard_bytes": lambda d: hilbert.shard(d, ["source", "n_chars"], law="bytes", size=F.col("n_chars")),
+        "scan": lambda d: decontamination.scan(d, bench), "drop": lambda d: decontamination.decontaminate(d, bench), "spans": lambda d: decontamination.decontaminate(d, bench, mode="spans"), "parts": lambda d: decontamination.decontaminate(d, bench, max_part_bytes=2),
+        "keep_one": near_duplicates.keep_one, "detect": licenses.detect, "lines": lambda d: line_dedup.dedup_lines(d, bits=21), "substrings": lambda d: substring_dedup.dedup_substrings(d, bits=21), "toxic": lambda d: toxicity.drop_toxic(d, labels),
+    }
+
+
+#: What each adds; columns of these names give way to it.
+ADDED = {"mix": ["block", "pos", "release", "deadline", "slot"], "shard": ["curve", "place", "shard", "slot"], "shard_bytes": ["curve", "place", "shard", "slot"], "scan": ["scan"], "detect": ["_norm", "detections"], "lines": ["n_lines", "n_dropped", "kept_text"], "substrings": ["n_words", "n_removed", "removed", "kept_text"]}
+
+
+@pytest.fixture(scope="module")
+def crowd(spark):
+    return crowded(spark).cache()
+
+
+@pytest.mark.parametrize("name", ["mix", "mixed", "shard", "shard_bytes", "scan", "drop", "spans", "parts", "keep_one", "detect", "lines", "substrings", "toxic"])
+def test_clashing_columns(spark, crowd, name):
+    run, added = operators(spark)[name], ADDED.get(name, [])
+    out = run(crowd)
+    kept = [c for c in crowd.columns if c not in added]
+    assert sorted(out.columns) == sorted(kept + added)
+    side = lambda d: Counter(map(repr, d.select(*[F.col("`" + c.replace("`", "``") + "`") for c in kept if name not in ("spans",) or c != "text"]).collect()))
+    got, want = side(out), side(crowd)
+    assert got == want if name not in ("drop", "parts", "keep_one", "toxic") else got <= want and got
+    assert run(crowd.limit(0)).count() == 0
+
+
+def test_pipeline_with_clashing_columns(spark, crowd, tmp_path):
+    import corpus_pipeline
+
+    crowd.write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(1, "one")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    spark.createDataFrame([(i, 1, int(i % 3 == 0)) for i in range(40)], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    docs = crowd
+    for i, (name, stage) in enumerate(corpus_pipeline.STAGES):
+        docs = stage(spark, docs, str(tmp_path))
+        if name != "sharding":
+            assert docs.columns == crowd.columns
+        docs.write.parquet(str(tmp_path / f"out{i}"))
+        docs = spark.read.parquet(str(tmp_path / f"out{i}"))
+    assert {"mix_slot", "curve", "place", "shard", "slot"} <= set(docs.columns) and docs.count() > 10
+    order = [(r["shard"], r["mix_slot"]) for r in docs.select("shard", "mix_slot").collect()]
+    spread = [max(m for s, m in order if s == x) - min(m for s, m in order if s == x) for x in {s for s, _ in order}]
+    assert sum(spread) / len(spread) < max(m for _, m in order) + 1  # shards are stretches of the mix
+
+
+def test_one_key_may_hold_half_of_the_rows(spark, monkeypatch):
+    """Near copies of one text, far from each other: blocks of a bucket find every link, whatever the block size."""
+    r = random.Random(4)
+    base = [f"b{i}" for i in range(300)]
+    rows = [(0, " ".join(base))]
+    for k in range(1, 160):
+        w = list(base)
+        for _ in range(8):
+            w[r.randrange(300)] = f"x{r.randrange(10**6)}"
+        rows.append((k, " ".join(w)))
+    rows += [(1000 + k, " ".join(f"z{r.randrange(10**6)}" for _ in range(40))) for k in range(160)]
+    monkeypatch.setattr(near_duplicates, "BLOCK_ROWS", 16)
+    monkeypatch.setattr(near_duplicates, "BLOCK_ITEMS", 3000)
+    got = near_duplicates.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(4), shingle=2).collect()
+    assert {x["doc_id"]: (x["n_shingles"], x["component_id"]) for x in got} == brute_components([(d, t) for d, t in rows], 2)
+
+
+def test_common_counts():
+    r = np.random.default_rng(0)
+    sets = [np.unique(r.integers(0, 3000, r.integers(1, 2500))) for _ in range(30)]
+    left, right = np.arange(0, 12), np.arange(12, 30)
+    got = near_duplicates.common_counts(sets, left, right)
+    assert all(got[i, j] == len(np.intersect1d(sets[a], sets[b])) for i, a in enumerate(left) for j, b in enumerate(right))
