@@ -13,7 +13,7 @@ from provgraph.plans.registry import workload
 from provgraph.sources.overlay import DEEP_CITY, Layers, sql
 
 #: Short budgets for the registered workloads; ``train.Config()`` has the full one.
-QUICK = train.Config(hidden=16, epochs=25, rate=0.03, dropout=0.1)
+QUICK = train.Config(hidden=16, epochs=40, rate=0.03, dropout=0.1)
 SURVEY = ["mlp", "contrastive", "mean_pool", "attention", "typed_attention", "metapath", "relational", "aware"]
 
 
@@ -152,8 +152,10 @@ def material_circularity(spark, d):
 # --- links --------------------------------------------------------------------------------------
 
 
-def link_pairs(w: Layers, edge: DataFrame, k: int = 32) -> DataFrame:
-    """(city, entity_id, feature_id, label, dist2, kind): the edges and, per entity, as many of its nearest unlinked features.
+def link_pairs(w: Layers, edge: DataFrame) -> DataFrame:
+    """(entity_id, feature_id, label, dist2, kind): the edges and, per entity, as many of its nearest unlinked features.
+
+    An entity of n edges finds n unlinked features among its 2 n nearest, so twice the largest degree is enough for all.
 
     kind is the correspondence class of the entity's edges: the n:m ones are the ambiguous subset.
     dist2 is between box centres, in half centimetres squared.
@@ -162,6 +164,7 @@ def link_pairs(w: Layers, edge: DataFrame, k: int = 32) -> DataFrame:
     a, b = centre(w.entity, "entity_id"), centre(w.crowd, "feature_id")
     known = cut(fusion.edge_classes(edge).select("city", "entity_id", "feature_id", "kind"))
     n = known.groupBy(F.col("entity_id").alias("_e")).agg(F.count(F.lit(1)).alias("n"), F.first("kind").alias("kind"))
+    k = 2 * (n.agg(F.max("n")).first()[0] or 1)
     own = a.join(n.select("_e"), F.col("entity_id") == F.col("_e"), "left_semi")
     near = spatial.knn(spatial.as_boxes(own), spatial.as_boxes(b), k, a_id="entity_id", b_id="feature_id", cell=1600).select("entity_id", "feature_id", "dist2")
     free = near.join(known.select(F.col("entity_id").alias("_a"), F.col("feature_id").alias("_b")), (F.col("entity_id") == F.col("_a")) & (F.col("feature_id") == F.col("_b")), "left_anti")

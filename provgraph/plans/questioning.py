@@ -40,9 +40,11 @@ _CATALOG = " union all ".join([f"""select city::bigint city, '{t}' as token, cou
 _NEEDS = ", ".join(f"({t.number}, '{n}')" for t in ALL for n in t.needs or ("",))
 
 
-@workload("feasibility_matrix", sql(f"""select template, {", ".join(f'max(case when city = {c} then verdict end) "{c}"' for c in suite.CITIES)} from (
- select template, c.city, case when bool_or(k <> '' and coalesce(non_null, 0) = 0) then 'infeasible' when bool_or(k <> '' and non_null < total) then 'partial' else 'full' end verdict
- from (values {_NEEDS}) n(template, k) cross join (select unnest(range(5)) city) c left join have h on h.token = k and h.city = c.city group by all) group by template""", f"have as ({_CATALOG})"))
+_VERDICTS = [f"have as ({_CATALOG})", f"""verdicts as (select template, c.city, case when bool_or(k <> '' and coalesce(non_null, 0) = 0) then 'infeasible' when bool_or(k <> '' and non_null < total) then 'partial' else 'full' end verdict
+ from (values {_NEEDS}) n(template, k) cross join (select unnest(range(5)) city) c left join have h on h.token = k and h.city = c.city group by all)"""]
+
+
+@workload("feasibility_matrix", sql(f"""select template, {", ".join(f'max(case when city = {c} then verdict end) "{c}"' for c in suite.CITIES)} from verdicts group by template""", *_VERDICTS))
 def feasibility_matrix(spark, d):
     fits = suite.Suite(spark, d).feasibility()
     return spark.createDataFrame([(t, c, v) for (t, c), v in fits.items()], "template int, city int, verdict string").groupBy("template").pivot("city", list(suite.CITIES)).agg(F.first("verdict"))
@@ -53,7 +55,7 @@ def token_catalog(spark, d):
     return suite.Suite(spark, d).catalog().select(*[F.col(c).cast("long").alias(c) if c != "token" else c for c in ("city", "token", "non_null", "total")])
 
 
-@workload("infeasible_guards")
+@workload("infeasible_guards", sql("select template || '-' || city || '-0-en' question_id, 0::bigint found from verdicts where verdict = 'infeasible'", *_VERDICTS))
 def infeasible_guards(spark, d):
     """Every infeasible question's guard; all counts must be 0."""
     s, q = _questions(spark, d)
