@@ -98,8 +98,21 @@ def as_boxes(points: DataFrame, x: str = "x", y: str = "y") -> DataFrame:
     return points.withColumns({"x0": F.col(x), "y0": F.col(y), "x1": F.col(x), "y1": F.col(y)}).drop(x, y)
 
 
-def within(a: DataFrame, b: DataFrame, d: int, *, inclusive: bool = True, key: str = "city") -> DataFrame:
-    """Pairs of one key at most (or, not inclusive, less than) ``d`` apart, with dist2; no pair twice."""
+def centres(df: DataFrame) -> DataFrame:
+    """``df`` with each box shrunk to its centre."""
+    x, y = (F.col("x0") + F.col("x1")) / 2, (F.col("y0") + F.col("y1")) / 2
+    return df.withColumns({"x0": x, "x1": x, "y0": y, "y1": y})
+
+
+def within(a: DataFrame, b: DataFrame, d: int, *, inclusive: bool = True, key: str = "city", metric: str = "box") -> DataFrame:
+    """Pairs of one key at most (or, not inclusive, less than) ``d`` apart, with dist2; no pair twice.
+
+    ``box``: the distance between the boxes, 0 where they touch; ``centre``: between their centres.
+    """
+    if metric not in ("box", "centre"):
+        raise ValueError(metric)
+    if metric == "centre":
+        a, b = centres(a), centres(b)
     cell = max(CELL, d)
     left = _suffixed(a.withColumns({"cx": F.explode(_cells(F.col("x0") - d, F.col("x1") + d, cell))}).withColumn("cy", F.explode(_cells(F.col("y0") - d, F.col("y1") + d, cell))), key, "_a")
     right = _suffixed(b.withColumn("cx", F.explode(_cells(F.col("x0"), F.col("x1"), cell))).withColumn("cy", F.explode(_cells(F.col("y0"), F.col("y1"), cell))), key, "_b")

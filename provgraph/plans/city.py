@@ -1,8 +1,6 @@
 """Experiment workloads over the layered graph: statistics, identity, fusion, provenance, coverage, space."""
 from __future__ import annotations
 
-from functools import cache
-
 from pyspark.sql import functions as F
 
 from provgraph.operators import fusion, graph, identity, provenance, spatial
@@ -448,6 +446,15 @@ def spatial_proximity(spark, d):
     return spatial.within(spatial.as_boxes(w.poi), w.entity.select("city", "entity_id", "x0", "y0", "x1", "y1"), 500).select("poi_id", "entity_id", *long("dist2"))
 
 
+@workload("spatial_proximity_centres", sql("select e.city::bigint city, entity_id, poi_id, round(power((x0 + x1) / 2.0 - x, 2) + power((y0 + y1) / 2.0 - y, 2), 6) dist2 from entity e join poi p on e.city = p.city where power((x0 + x1) / 2.0 - x, 2) + power((y0 + y1) / 2.0 - y, 2) <= 90000"))
+def spatial_proximity_centres(spark, d):
+    """Points of interest at most 300 from an entity's centre."""
+    w = Layers(spark, d)
+    e = w.entity.select("city", "entity_id", "x0", "y0", "x1", "y1")
+    out = spatial.within(e, spatial.as_boxes(w.poi), 300, metric="centre")
+    return out.select(F.col("city_a").cast("long").alias("city"), "entity_id", "poi_id", F.round(F.col("dist2").cast("double"), 6).alias("dist2"))
+
+
 @workload("spatial_knn", sql(f"select poi_id, entity_id, dist2::bigint dist2, r::bigint rank from (select poi_id, entity_id, {_GAP} dist2, row_number() over (partition by poi_id order by {_GAP}, entity_id) r from {_POIBOX} a join entity b on a.city = b.city) where r <= 3"))
 def spatial_knn(spark, d):
     w = Layers(spark, d)

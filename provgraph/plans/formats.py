@@ -63,6 +63,18 @@ def io_graph_export(spark, d):
     return read_graph(spark, path).nodes.groupBy("layer").agg(F.count(F.lit(1)).alias("nodes"))
 
 
+@workload("graph_sizes")
+def graph_sizes(spark, d):
+    """MB of the graph's nodes per city and layer: as a store (columnar) and as a dump (compressed lines)."""
+    g = PropertyGraph.from_layers(Layers(spark, d))
+    write_graph(g, path := folder(spark))
+    lines = g.nodes.withColumn("attrs", F.to_json("attrs"))
+    lines.repartition("city", "layer", F.pmod(F.xxhash64("node_id"), F.lit(FILES))).write.partitionBy("city", "layer").option("compression", "gzip").json(f"{path}/dump")
+    files = lambda df: df.select("city", "layer", "_metadata.file_path", "_metadata.file_size").distinct().groupBy("city", "layer").agg((F.sum("file_size") / 1e6).alias("mb"))
+    store, dump = files(spark.read.parquet(f"{path}/nodes")), files(spark.read.schema(lines.schema).json(f"{path}/dump"))
+    return store.select("city", "layer", F.col("mb").alias("store_mb")).join(dump.select("city", "layer", F.col("mb").alias("dump_mb")), ["city", "layer"])
+
+
 def _rings(x0, y0, x1, y1):
     p = lambda x, y: F.struct(F.col(x).cast("double").alias("x"), F.col(y).cast("double").alias("y"))
     return F.array(F.array(p(x0, y0), p(x1, y0), p(x1, y1), p(x0, y1)))
