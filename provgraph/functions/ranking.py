@@ -26,3 +26,22 @@ def salted_join(rows: DataFrame, small: DataFrame, key: str, small_key: str, spr
     left = rows.withColumn("_lot", salt)
     right = small.withColumn("_lot2", F.explode(F.sequence(F.lit(0), F.lit(lots - 1))))
     return left.join(right, (F.col(key) == F.col(small_key)) & (F.col("_lot") == F.col("_lot2"))).drop("_lot", "_lot2")
+
+
+def hash_sample(df: DataFrame, key: list[Column], n: int, total: int) -> DataFrame:
+    """The first ``n`` of ``total`` rows by a hash of ``key`` (ties by the key itself).
+
+    A threshold on the hash leaves some 2 n rows before anything is sorted: a top n alone would bring n rows
+    of every partition to one place.
+    """
+    part = F.pmod(F.xxhash64(*key), F.lit(1 << 32))
+    if total > 2 * n + 1000:
+        df = df.where(part < int((2 * n + 1000) / total * (1 << 32)))
+    return df.orderBy(part, *key).limit(n)
+
+
+def first_rows(df: DataFrame, order: list[Column], n: int, spread: list[Column], lots: int = 64) -> DataFrame:
+    """The first ``n`` rows by ``order``: the first of each of ``lots`` hash lots, and then of these, so that no place gets n rows of every partition."""
+    inside = Window.partitionBy("_lot").orderBy(*order)
+    some = df.withColumn("_lot", F.pmod(F.xxhash64(*spread), F.lit(lots))).withColumn("_at", F.row_number().over(inside)).where(F.col("_at") <= n)
+    return some.drop("_lot", "_at").orderBy(*order).limit(n)
