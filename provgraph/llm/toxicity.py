@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 
 from provgraph.functions.columns import column, free_name, mapped, schema_with
 from provgraph.functions.durable import cut_table
+from provgraph.functions.ranking import hash_sample
 from provgraph.llm.words import ALNUM_LOWER, U64, Block, blocks, bytes_of, hash_spans
 
 POSITIVES, CHECKED = 6_000, 12_000
@@ -266,12 +267,12 @@ def fit(docs: DataFrame, labels: DataFrame, *, text: str = "text", positives: in
     marks = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic")).withColumnRenamed("doc_id", "_id")
     known = docs.select("doc_id", column(text).alias("text")).where(~held_out(F.col("doc_id")) & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
     ids = cut_table(known.select("doc_id").join(marks, F.col("doc_id") == F.col("_id"), "left").select("doc_id", "toxic"))
-    count = ids.agg(F.count(F.lit(1)).alias("rows"), F.count_if(F.col("toxic") == 1).alias("pos"), F.avg("toxic").alias("prior")).first()
+    count = ids.agg(F.count(F.lit(1)).alias("rows"), F.count_if(F.col("toxic") == 1).alias("pos"), F.count_if(F.col("toxic") == 0).alias("neg"), F.avg("toxic").alias("prior")).first()
     if not count["pos"] or count["pos"] == count["rows"]:
         return Model(np.empty(0, U64), np.zeros((2, 0)), -3.0, (1.0, 0.0))
     prior = min(max(float(count["prior"]), 1e-3), 0.5)
-    drawn = lambda which, n: ids.where(which).select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
-    chosen = cut_table(drawn("toxic = 1", positives).select(F.col("doc_id").alias("_id"), F.lit(1).alias("y")).union(drawn("toxic = 0", checked).select("doc_id", F.lit(0))))
+    drawn = lambda which, n, total: hash_sample(ids.where(which).select("doc_id").distinct(), [F.col("doc_id")], n, total)
+    chosen = cut_table(drawn("toxic = 1", positives, count["pos"]).select(F.col("doc_id").alias("_id"), F.lit(1).alias("y")).union(drawn("toxic = 0", checked, count["neg"]).select("doc_id", F.lit(0))))
     toxic = known.join(F.broadcast(chosen.where("y = 1")), F.col("doc_id") == F.col("_id")).select("doc_id", "text")  # at most ``positives`` ids
     n_p = ids.join(F.broadcast(chosen.where("y = 1")), F.col("doc_id") == F.col("_id"), "left_semi").count()
     n_u = count["rows"] - count["pos"]
