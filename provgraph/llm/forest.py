@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from provgraph.functions.durable import cut
+from provgraph.functions.ranking import hash_sample
 
 TREES = 64
 SAMPLE = 8192
@@ -24,6 +24,8 @@ LEAF_SAMPLE = 32
 SHARE, VOTES = 10.0, 11
 #: Rows, and queries, that meet in one task.
 ROW_BLOCK, QUERY_BLOCK = 8192, 2048
+#: Queries that walk the trees in one task.
+WALKS = 256
 
 
 class Forest:
@@ -101,7 +103,7 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
         return rows.select(F.col("vec_id").alias("query_id"), F.lit(1).alias("rank"), "vec_id", F.lit(0.0).alias("score"))
     dim, total, most = shape[0]["d"], shape[0]["n"], shape[0]["m"]
     rows = rows.where(F.size("v") == dim)
-    drawn = np.array([r["v"] for r in rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()])
+    drawn = np.array([r["v"] for r in hash_sample(rows, [F.col("vec_id")], sample, total).collect()])
     lifted = lambda x: np.hstack([x, np.sqrt(np.maximum(0, most - (x * x).sum(axis=1)))[:, None]])
     forest = Forest(lifted(drawn), trees, leaf)
     sent = rows.sparkSession.sparkContext.broadcast(forest)  # planes: trees * 2**depth vectors, bounded by the sample
@@ -120,7 +122,8 @@ def neighbours(vectors: DataFrame, k: int = 20, every: int = 20, *, id_col: str
     row_blocks, query_blocks = -(-total // ROW_BLOCK), -(-total // every // QUERY_BLOCK) + 1
     filed = rows.mapInPandas(file_rows, "vec_id long, v array<double>, leaf array<int>")
     filed = filed.withColumn("rb", F.pmod(F.xxhash64("vec_id"), F.lit(row_blocks)).cast("int")).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))))
-    asked = rows.where(F.col("vec_id") % every == 0).mapInPandas(walk, "query_id long, v array<double>, opened array<int>")
+    walks = -(-total // every // WALKS) + 1
+    asked = rows.where(F.col("vec_id") % every == 0).repartition(walks, "vec_id").mapInPandas(walk, "query_id long, v array<double>, opened array<int>")
     asked = asked.withColumn("qb", F.pmod(F.xxhash64("query_id", F.lit(1)), F.lit(query_blocks)).cast("int")).withColumn("rb", F.explode(F.sequence(F.lit(0), F.lit(row_blocks - 1))))
 
     def search(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
