@@ -306,6 +306,21 @@ def test_forest_searches_part_of_the_leaves(spark):
     assert len(few & {(q, i) for q, a in got.items() for i in a}) < 0.9 * 900
 
 
+def test_forest_on_clusters(spark):
+    """Over 20,000 rows in clusters, the registered settings: recall against brute force."""
+    r = np.random.default_rng(8)
+    centres = r.normal(size=(300, 32))
+    x = centres[r.integers(0, 300, 21_000)] + 0.3 * r.normal(size=(21_000, 32))
+    import pandas as pd
+
+    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(len(x)), "embedding": x.tolist()})).repartition(4)
+    got = defaultdict(set)
+    for q in forest.neighbours(df, every=700).collect():
+        got[q["query_id"]].add(q["vec_id"])
+    hits = sum(len(got[q] & set(np.argsort(-np.where(np.arange(len(x)) == q, -np.inf, x @ x[q]))[:20].tolist())) for q in range(0, len(x), 700))
+    assert set(got) == set(range(0, len(x), 700)) and hits >= 0.9 * 20 * len(got)
+
+
 # --- language model -----------------------------------------------------------------------------
 
 
