@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 
 from provgraph.functions.columns import column, free_name
 from provgraph.functions.durable import cut_table
+from provgraph.functions.ranking import salted_join
 from provgraph.llm.words import BLANK_LOWER, U64, blocks, bytes_of, mix
 from provgraph.operators.components import connected
 
@@ -238,7 +239,7 @@ def near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "tex
 
     named = groups.join(comp, F.col("fp") == F.col("node"), "left").select(F.col("fp").alias("_fp"), "min_id", F.coalesce("component", "fp").alias("comp"))
     smallest = named.groupBy("comp").agg(F.min("min_id").alias("component_id"))
-    named = named.join(smallest.withColumnRenamed("comp", "_comp"), F.col("comp") == F.col("_comp")).select("_fp", "component_id")
+    named = salted_join(named, smallest.withColumnRenamed("comp", "_comp"), "comp", "_comp", F.xxhash64("_fp")).select("_fp", "component_id")
     out = signed.select("doc_id", "n", "fp").join(named, F.col("fp") == F.col("_fp"), "left")
     component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept"))
