@@ -21,6 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from provgraph.functions.durable import cut_table
+from provgraph.functions.ranking import first_rows
 from provgraph.llm.words import BLANK_LOWER, U64, Block, blocks, bytes_of
 
 STATE = 16
@@ -307,7 +308,7 @@ def count_tokens(docs: DataFrame) -> DataFrame:
 
 def build_vocabulary(counts: DataFrame) -> Vocabulary:
     """Head words and tail classes from all counts; the driver gets a table of distinct counts and the head."""
-    head = [(r["h"], r["n"]) for r in counts.orderBy(F.desc("n"), "h").limit(HEAD_CLASSES * HEAD_SIZE).collect()]
+    head = [(r["h"], r["n"]) for r in first_rows(counts, [F.desc("n"), F.col("h")], HEAD_CLASSES * HEAD_SIZE, [F.col("h")]).collect()]
     chosen = counts.sparkSession.createDataFrame(head or [(0, 0)], "h long, x long").select(F.col("h").alias("_h"))
     tail = counts.join(F.broadcast(chosen), F.col("h") == F.col("_h"), "left_anti")
     # Counts to two significant digits: at most a few thousand rows however large the corpus.
