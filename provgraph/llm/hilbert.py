@@ -10,7 +10,6 @@ from pyspark.sql import functions as F
 
 from provgraph.functions.columns import column, hashable, packed, unpacked
 from provgraph.functions.durable import cut
-from provgraph.functions.ranking import hash_sample
 
 BITS = 4
 SHARDS = 24
@@ -19,8 +18,8 @@ SUB_BUCKETS = 1024
 CELLS_A_TASK = 64
 #: The curve is looked up in a broadcast table of up to 2**so many cells, and worked out row by row beyond.
 TABLE_BITS = 16
-#: Rows that strings' edges are drawn from.
-SAMPLE = 4096
+#: Ranges of values in which strings are counted in order.
+RANGES = 64
 
 
 def as_measure(column: Column, kind: str) -> Column:
@@ -31,11 +30,29 @@ def as_measure(column: Column, kind: str) -> Column:
     return F.coalesce(F.when(F.isnan(number), F.lit(float("inf"))).otherwise(number), F.lit(float("-inf")))
 
 
-def bin_edges(df: DataFrame, dims: dict[str, Column], strings: set[str], bits: int, spread: list[Column]) -> dict[str, list]:
+def string_edges(df: DataFrame, value: Column, at: list[float]) -> list[str]:
+    """The values at the shares ``at`` of all rows in order of ``value`` (nulls left out), without repeats; the driver gets only these.
+
+    Values are counted first, so a frequent one is one row; counts add up inside ranges of values, whose totals
+    (a row a range) are added to them.
+    """
+    counts = df.groupBy(value.alias("v")).agg(F.count(F.lit(1)).alias("n")).where("v is not null")
+    ranges = cut(counts.repartitionByRange(RANGES, "v").withColumn("part", F.spark_partition_id()))
+    totals, before, n = {r["part"]: r["n"] for r in ranges.groupBy("part").agg(F.sum("n").alias("n")).collect()}, {}, 0
+    for part in sorted(totals):
+        before[part], n = n, n + totals[part]
+    if not n:
+        return []
+    start = F.element_at(F.create_map(*[F.lit(x) for kv in before.items() for x in kv]), F.col("part"))
+    upto = ranges.withColumn("upto", F.sum("n").over(Window.partitionBy("part").orderBy("v")) + start)
+    row = upto.agg(*[F.min(F.when(F.col("upto") > int(n * x), F.col("v"))).alias(f"e{i}") for i, x in enumerate(at)]).first()
+    return sorted(set(row), key=lambda v: v.encode())
+
+
+def bin_edges(df: DataFrame, dims: dict[str, Column], strings: set[str], bits: int) -> dict[str, list]:
     """Per dimension the inner edges of 2**bits bins of near equal share; the driver gets only these.
 
-    Numbers by approximate percentiles of all rows.  Strings, whole ones, by the values of SAMPLE rows, the
-    first by a hash of ``spread``: the sample moves edges and nothing else, for every row is binned by them.
+    Numbers by approximate percentiles of all rows, whole strings by exact counts of all rows.
     """
     at = [i / (1 << bits) for i in range(1, 1 << bits)]
     numbers = {n: c for n, c in dims.items() if n not in strings}
@@ -43,13 +60,7 @@ def bin_edges(df: DataFrame, dims: dict[str, Column], strings: set[str], bits: i
     if numbers:
         row = df.agg(*[F.percentile_approx(F.greatest(F.least(c, F.lit(1e300)), F.lit(-1e300)), at, 10_000).alias(n) for n, c in numbers.items()]).first()
         out = {n: sorted(set(row[n] or [])) for n in numbers}
-    if strings:
-        rows = df.select(F.xxhash64(*spread).alias("h"), *[dims[n].alias(n) for n in sorted(strings)])
-        drawn = hash_sample(rows, [F.col("h")], SAMPLE, df.count()).collect()
-        for n in strings:
-            values = sorted((r[n] for r in drawn if r[n] is not None), key=lambda v: v.encode())
-            out[n] = sorted({values[int(len(values) * x)] for x in at}, key=lambda v: v.encode()) if values else []
-    return out
+    return out | {n: string_edges(df, dims[n], at) for n in sorted(strings)}
 
 
 def with_curve(df: DataFrame, bins: list[Column], bits: int, out: str = "curve") -> DataFrame:
@@ -97,7 +108,7 @@ def shard(df: DataFrame, dims: list[str], *, shards: int = SHARDS, bits: int = B
     names = [f"m{i}" for i in range(len(dims))]
     measures = {n: as_measure(column(d), kinds[d]) for n, d in zip(names, dims)}
     strings = {n for n, d in zip(names, dims) if kinds[d] == "string"}
-    edges = bin_edges(df, measures, strings, bits, spread or hashable(df))
+    edges = bin_edges(df, measures, strings, bits)
     bins = {n: sum((F.when(m > e, 1).otherwise(0) for e in edges[n]), F.lit(0)) for n, m in measures.items()}
     total = bits * len(dims)
     rows = packed(df, **bins, w=(size if size is not None else F.lit(1)).cast("long"), s=F.xxhash64(*(spread or hashable(df))), tie=F.xxhash64(*hashable(df)))
