@@ -92,3 +92,14 @@ def test_small_tables_use_all_cores(spark):
     assert lots == 8 and sorted(r["lot"] for r in flat.select("lot").collect()) == list(range(8))
     runs = train.spatial_runs(["mlp"], range(1))
     assert train.fit(ego(40), runs, 0, train.Config(hidden=4, epochs=2)).count() == 40
+
+
+def test_near_sets_shuffle_no_shingle_rows(spark):
+    """Pairs carry sets as arrays; texts that differ in one word of forty are found with the exact share."""
+    from provgraph.operators import fusion
+
+    words = [f"w{i}" for i in range(40)]
+    docs = spark.createDataFrame([(0, " ".join(words)), (1, " ".join(words[:-1] + ["x"])), (2, " ".join(words)), (3, "a b c d e f"), (4, None)], "doc_id long, text string")
+    out = fusion.near_sets(docs, "doc_id", "text")
+    assert [tuple(r) for r in out.collect()] == [(0, 1, 35, 35 / 37)]
+    assert "item" not in out._jdf.queryExecution().executedPlan().toString()
