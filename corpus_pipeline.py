@@ -67,6 +67,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for name, stage in STAGES[:-1]:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
+        spark.sparkContext._jvm.System.gc()  # the driver gives the stage's plans, generated classes and heap back
     return STAGES[-1][1](spark, docs, sf_dir)
 
 
