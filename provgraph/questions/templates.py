@@ -27,9 +27,11 @@ def _box(n: int) -> str:
     return f"x0 < {9000 + n} and x1 > 2000 and y0 < 6000 and y1 > 1000"
 
 
-_GAP = "pow(greatest(b.x0 - a.x1, a.x0 - b.x1, 0), 2) + pow(greatest(b.y0 - a.y1, a.y0 - b.y1, 0), 2)"
-_POI = "(select poi_id, city, x x0, y y0, x x1, y y1 from poi)"
-_NEAR = "from {a} a join {b} b on a.city = b.city and a.city = C and " + _GAP
+#: The squared distance between boxes a and b.
+GAP = "pow(greatest(b.x0 - a.x1, a.x0 - b.x1, 0), 2) + pow(greatest(b.y0 - a.y1, a.y0 - b.y1, 0), 2)"
+#: Points of interest as boxes.
+POINTS = "(select poi_id, city, x x0, y y0, x x1, y y1 from poi)"
+_NEAR = "from {a} a join {b} b on a.city = b.city and a.city = C and " + GAP
 _DEG = "(select entity_id, count(*) n from fusion_edge where city = C group by 1)"
 _AGREE = "fusion_edge join entity using (entity_id, city) join crowd using (feature_id, city) where city = C"
 
@@ -42,12 +44,12 @@ def _templates() -> list[tuple]:
         (s, "window", "List the buildings in the box.", f"select entity_id from entity where city = C and {_box(500)}", ()),
         (s, "window", "What is the built area in the box?", f"select sum(area) from entity where city = C and {_box(900)}", ()),
         (s, "proximity", "How many buildings are within 500 of building S?", near("(select * from entity where entity_id = S)", "entity", 500, "count(*)"), (), "entity_id"),
-        (s, "proximity", "Which buildings are within 400 of a point of interest?", near(_POI, "entity", 400, "distinct b.entity_id"), ()),
+        (s, "proximity", "Which buildings are within 400 of a point of interest?", near(POINTS, "entity", 400, "distinct b.entity_id"), ()),
         (s, "proximity", "How many pairs of buildings are within 60?", near("entity", "entity", 60, "count(*)") + " and a.entity_id < b.entity_id", ()),
-        (s, "nearest", "Which point of interest is nearest to building S?", f"select b.poi_id from (select * from entity where entity_id = S) a join {_POI} b on a.city = b.city order by {_GAP}, b.poi_id limit 1", (), "entity_id"),
-        (s, "nearest", "Which three buildings are nearest to building S?", f"select b.entity_id from (select * from entity where entity_id = S) a join entity b on a.city = b.city and a.entity_id <> b.entity_id order by {_GAP}, b.entity_id limit 3", (), "entity_id"),
-        (s, "nearest", "Which crowd feature is nearest to building S without being linked?", f"select b.feature_id from (select * from entity where entity_id = S) a join crowd b on a.city = b.city where b.feature_id not in (select feature_id from fusion_edge where entity_id = S) order by {_GAP}, b.feature_id limit 1", (), "entity_id"),
-        (s, "multi_hop", "Which buildings are linked to a crowd feature within 300 of a point of interest?", f"select distinct entity_id from fusion_edge where feature_id in (select b.feature_id {_NEAR.format(a=_POI, b='crowd')} <= 90000)", ()),
+        (s, "nearest", "Which point of interest is nearest to building S?", f"select b.poi_id from (select * from entity where entity_id = S) a join {POINTS} b on a.city = b.city order by {GAP}, b.poi_id limit 1", (), "entity_id"),
+        (s, "nearest", "Which three buildings are nearest to building S?", f"select b.entity_id from (select * from entity where entity_id = S) a join entity b on a.city = b.city and a.entity_id <> b.entity_id order by {GAP}, b.entity_id limit 3", (), "entity_id"),
+        (s, "nearest", "Which crowd feature is nearest to building S without being linked?", f"select b.feature_id from (select * from entity where entity_id = S) a join crowd b on a.city = b.city where b.feature_id not in (select feature_id from fusion_edge where entity_id = S) order by {GAP}, b.feature_id limit 1", (), "entity_id"),
+        (s, "multi_hop", "Which buildings are linked to a crowd feature within 300 of a point of interest?", f"select distinct entity_id from fusion_edge where feature_id in (select b.feature_id {_NEAR.format(a=POINTS, b='crowd')} <= 90000)", ()),
         (s, "multi_hop", "How many tiles touch a tile of five or more buildings?", "select count(distinct e.tx * 100 + e.ty) from entity e join (select tx, ty from entity where city = C group by 1, 2 having count(*) >= 5) d on abs(e.tx - d.tx) + abs(e.ty - d.ty) = 1 where e.city = C", ()),
         (s, "multi_hop", "How many households are within 200 of a factory?", near("(select * from entity where function = 'MACHINERY')", "(select * from entity where function = 'HOUSEHOLD')", 200, "count(distinct b.entity_id)"), ()),
         (s, "solid", "What is the volume of building stock by district?", "select district, sum(area * auth_height) from entity where city = C group by 1", ("auth_height",)),
