@@ -22,3 +22,14 @@ def test_hub_join_has_all_pairs(spark, tmp_path):
     rows += [(9001, 3, "A", 5.0), (9002, None, "A", 5.0), (9003, None, "A", 6.0), (9004, 4, "C", None), (9005, 4, "C", None), (9006, 4, "D", None), (9007, 4, "D", 2.0), (9008, 1, None, 3.0), (9009, 5, "E", 4.5), (9010, 5, "E", 4.5)]
     got, want = same(spark, tmp_path, "op_join_self_hub", customer=spark.createDataFrame(rows, "c_custkey long, c_nationkey int, c_mktsegment string, c_acctbal double"))
     assert got == want and (1, "A", 67 * 66 // 2) in {r[:3] for r in got} and (5, "E", 1, 0.0) in got and (4, "C", 1, None) in got
+
+
+def test_names_of_other_sizes_are_compared(spark, tmp_path):
+    """Parts of one brand pair up whatever their sizes; every two of them get the distance of their names through their classes."""
+    rows = [(i, f"Brand#{i % 2}", None if i == 5 else i % 4, f"part{'x' * (i % 7)}{i % 3}") for i in range(40)]
+    got, want = same(spark, tmp_path, "op_str_similarity", part=spark.createDataFrame(rows, "p_partkey long, p_brand string, p_size int, p_name string"))
+    assert got == want
+    rep = {b: a for kind, a, b, _ in got if kind == "member"}
+    apart = {(a, b) for kind, a, b, _ in got if kind == "pair"}
+    same_brand = [(a, b) for a in rows for b in rows if a[0] < b[0] and a[1] == b[1] and a[3] != b[3]]
+    assert any(a[2] != b[2] for a, b in same_brand) and all(tuple(sorted((rep[a[0]], rep[b[0]]))) in apart for a, b in same_brand)
